@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import host_rules, mixing, near_dedup
+from . import bpe, host_rules, kneser_ney, mixing, near_dedup, unigram_counts
 from .store import read_table
 
 
@@ -19,10 +19,32 @@ def op2_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return host_rules.judge(read_table(spark, sf_dir, "documents"))
 
 
+def op3_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return kneser_ney.train_and_score(read_table(spark, sf_dir, "documents"))
+
+
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixed_words(read_table(spark, sf_dir, "documents"))
 
 
+def tokenizer_file(spark: SparkSession, name: str) -> str:
+    """A public tokenizer file: in the folder ``phasewise.tokenizers.dir`` of the session, if set."""
+    folder = spark.conf.get("phasewise.tokenizers.dir", None)
+    if folder:
+        return f"{folder}/{name}"
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op5_word_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digests(read_table(spark, sf_dir, "documents"), tokenizer_file(spark, "word_bpe_49k.json"))
+
+
+def op7_unigram_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return unigram_counts.token_counts(read_table(spark, sf_dir, "documents"), tokenizer_file(spark, "piece_bpe_32k.model"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f) and name[2].isdigit()}
 
