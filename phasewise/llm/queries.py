@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, host_rules, kneser_ney, mixing, near_dedup, unigram_counts
+from . import bpe, compression_quality, host_rules, kneser_ney, mixing, near_dedup, one_bit_search, unigram_counts
 from .store import read_table
 
 
@@ -45,6 +46,15 @@ def op7_unigram_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return unigram_counts.token_counts(read_table(spark, sf_dir, "documents"), tokenizer_file(spark, "piece_bpe_32k.model"))
 
 
+def op8_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    return compression_quality.scored(docs, compression_quality.train(docs, read_table(spark, sf_dir, "labels")))
+
+
+def op9_one_bit_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return one_bit_search.search(read_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f) and name[2].isdigit()}
 
