@@ -220,6 +220,21 @@ def encoded(docs: DataFrame, path: str) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>, decoded string")
 
 
+def encoded_documents(docs: DataFrame, path: str) -> DataFrame:
+    """Per row of ``docs``: doc_id, source, n_tokens, ids (array<int>)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bpe = coder(path)
+        for batch in batches:
+            texts = _texts(batch.column(2))
+            for at in range(0, max(1, len(texts)), 500):
+                ids = [[int(x) for x in joined.split()] for _, joined, _ in bpe.coded_all(texts[at : at + 500])]
+                counts = pa.array([len(i) for i in ids], pa.int64())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, 500), batch.column(1).slice(at, 500), counts, pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "source", "n_tokens", "ids"])
+
+    return docs.select("doc_id", "source", "text").mapInArrow(run, "doc_id long, source string, n_tokens long, ids array<int>")
+
+
 def decoded(coded: DataFrame, path: str) -> DataFrame:
     """Per row of ``coded(doc_id, ids)``: doc_id, text; null ids give an empty text."""
 
