@@ -57,11 +57,23 @@ class MinerResult:
         return self.medians.join(last, "stream_key").where("phase = last").drop("last"), self.outliers.join(last, "stream_key").where("settled_phase = last").drop("last")
 
 
-def rows_of(log, stream_key: str) -> pd.DataFrame:
-    frames = [pd.DataFrame(rows).assign(kind=kind) for kind, rows in (("phase_log", log.phases), ("run_log", log.runs), ("medians", log.medians), ("verdicts", log.verdicts)) if rows]
-    if not frames:
-        return pd.DataFrame(columns=COLUMNS)
-    return pd.concat(frames, ignore_index=True).assign(stream_key=stream_key).reindex(columns=COLUMNS)
+ARROW = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "array<double>": pa.list_(pa.float64())}
+SCHEMA = pa.schema([(f.split()[0], ARROW[f.split()[1]]) for f in TAGGED.split(", ")])
+
+
+def rows_of(log, stream_key: str) -> pa.Table:
+    """The log of a stream as rows of the tagged table."""
+    plain = lambda v: v.item() if isinstance(v, np.generic) else v
+    rows = [{"stream_key": stream_key, "kind": kind} | {c: plain(v) for c, v in r.items()} for kind, rows in (("phase_log", log.phases), ("run_log", log.runs), ("medians", log.medians), ("verdicts", log.verdicts)) for r in rows]
+    return pa.Table.from_pylist(rows, schema=SCHEMA)
+
+
+def _columns(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(point ids, coordinates, weights) in stream order."""
+    table = table.sort_by("ordinal")
+    vec = table.column("vec").combine_chunks()
+    x = vec.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(table), -1)
+    return table.column("point_id").to_numpy(), x, table.column("weight").to_numpy()
 
 
 def _arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -72,11 +84,11 @@ def _arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 def mine_outliers(points: DataFrame, settings: Settings = Settings()) -> MinerResult:
     """Every stream on its own: one exchange by stream key, then the phases in the stream's task."""
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids, x, w = _arrays(pdf)
-        return rows_of(Miner(settings, x.shape[1]).run(ids, x, w), pdf["stream_key"].iloc[0])
+    def run(table: pa.Table) -> pa.Table:
+        ids, x, w = _columns(table)
+        return rows_of(Miner(settings, x.shape[1]).run(ids, x, w), table.column("stream_key")[0].as_py())
 
-    return MinerResult(points.select("stream_key", "ordinal", "point_id", "vec", "weight").groupBy("stream_key").applyInPandas(run, TAGGED))
+    return MinerResult(points.select("stream_key", "ordinal", "point_id", "vec", "weight").groupBy("stream_key").applyInArrow(run, TAGGED))
 
 
 class _SparkRuns(Miner):
@@ -122,15 +134,8 @@ def mine_single_stream(points: DataFrame, settings: Settings = Settings()) -> Mi
             miner.spark = spark
         at += miner.step(ids, x, w, declared)
         phases += 1
-    rows = rows_of(miner.finish(), key) if miner else pd.DataFrame(columns=COLUMNS)
-    rows = rows.astype(object).where(rows.notna(), None)
-    kinds = {f.split()[0]: f.split()[1] for f in TAGGED.split(", ")}
-    for c in rows.columns:
-        if kinds[c] in ("int", "long"):
-            rows[c] = [None if v is None else int(v) for v in rows[c]]
-        elif kinds[c] == "double":
-            rows[c] = [None if v is None else float(v) for v in rows[c]]
-    return MinerResult(spark.createDataFrame([tuple(r) for r in rows.itertuples(index=False)], TAGGED))
+    table = rows_of(miner.finish(), key) if miner else SCHEMA.empty_table()
+    return MinerResult(spark.createDataFrame(table, TAGGED))
 
 
 def sharded_medians(points: DataFrame, *, shards: int, price: float, settings: Settings = Settings(), fan_in: int = 64) -> DataFrame:
