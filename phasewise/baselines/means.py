@@ -18,7 +18,7 @@ def lloyd(points: DataFrame, k: int, iters: int, d: int) -> DataFrame:
     centres = points.where(F.col("ordinal") <= k).select((F.col("ordinal") - 1).cast("int").alias("cluster"), *(F.col("vec")[i].alias(f"c{i}") for i in range(d)))
     for _ in range(iters):
         gap = distance_expr("sqeuclidean", vector("vec", d), [F.col(f"c{i}") for i in range(d)])
-        near = points.join(F.broadcast(centres), F.lit(True)).groupBy("point_id", "vec", "weight").agg(F.min(F.struct(gap.alias("dist"), "cluster")).alias("m"))
+        near = points.join(F.broadcast(centres.drop("weight")), F.lit(True)).groupBy("point_id", "vec", "weight").agg(F.min(F.struct(gap.alias("dist"), "cluster")).alias("m"))
         total = F.sum("weight")
         centres = near.groupBy(F.col("m.cluster").alias("cluster")).agg(total.alias("weight"), *((F.sum(F.col("vec")[i] * F.col("weight")) / total).alias(f"c{i}") for i in range(d)))
         rows = centres.collect()  # k rows

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("core",)
+MODULES = ("core", "compare", "relational", "runs")
 
 
 def _modules():
