@@ -36,8 +36,8 @@ from pyspark.sql import functions as F
 from .store import new_path
 from .words import U, WordHashes, mix, texts
 
-#: Tokens that are counted or looked up at a time.
-PORTION = 3_000_000
+#: Tokens that are read at a time, and bigrams that a counting task holds.
+PORTION, HELD = 1_000_000, 3_000_000
 BEGIN, END = U(0x1B873593CC9E2D51), U(0x85EBCA6B27D4EB2F)
 WORD_COLUMNS = (("count", np.int64), ("left", np.int64))
 LEFT_COLUMNS = (("total", np.int64), ("n1", np.int64), ("n2", np.int64), ("n3", np.int64))
@@ -165,11 +165,10 @@ def _count(parts: int):
             for _, u, w in token_arrays(texts(batch.column(0)), seen):
                 held.append((u, w, np.ones(len(u), U)))
                 size += len(u)
-                if size >= PORTION:
+                if size >= HELD:
                     held = [merged()]
-                    # what is left grows with the task's own input only; a large rest is sent on
                     size = len(held[0][0])
-                    if size >= PORTION:
+                    if size >= HELD:  # too many different ones to go on: they are sent
                         yield from _blocks(held[0], parts)
                         held, size = [], 0
         if held:
