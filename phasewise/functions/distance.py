@@ -48,6 +48,18 @@ def distances(kind: str, block: np.ndarray, x: np.ndarray) -> np.ndarray:
     raise ValueError(f"distance must be one of {KINDS}, not {kind!r}")
 
 
+def block_distances(kind: str, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """All distances of two blocks (the rows of ``a`` are cut where memory asks for it)."""
+    rows = max(1, 4_000_000 // max(b.size, 1))
+    if len(a) > rows:
+        return np.concatenate([block_distances(kind, a[i : i + rows], b) for i in range(0, len(a), rows)])
+    gap = a[:, None, :] - b[None]
+    if kind in ("euclidean", "sqeuclidean"):
+        total = np.einsum("ijk,ijk->ij", gap, gap)
+        return np.sqrt(total) if kind == "euclidean" else total
+    return np.abs(gap).sum(2) if kind == "manhattan" else np.abs(gap).max(2)
+
+
 def pairwise(kind: str, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """All distances of two blocks, one row of ``a`` at a time where memory asks for it."""
+    """All distances of two blocks, row by row (low memory)."""
     return np.stack([distances(kind, b, x) for x in a]) if len(a) else np.zeros((0, len(b)))

@@ -8,11 +8,14 @@ the pass stops before it.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 
-from ..functions.distance import distances
+from ..functions.distance import block_distances, distances
+
+#: Points whose distances are taken at a time.
+BLOCK = 64
 
 
 @dataclass(frozen=True)
@@ -41,7 +44,6 @@ class Pass:
     ssq: float = 0.0
     max_dist: float = 0.0
     run: int = 0
-    costs: list[float] = field(default_factory=list)
 
     @property
     def facility(self) -> float:
@@ -52,47 +54,81 @@ class Pass:
         return self.service + self.facility
 
 
+def _opens(theta: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, rule: str) -> np.ndarray:
+    load = theta * w
+    if rule == "priced":
+        load = load / price if price > 0 else np.where(load > 0, 1.0, 0.0)
+    return u < np.minimum(load, 1.0)
+
+
 def facility_pass(x: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, *, rule: str = "priced", distance: str = "euclidean", limits: StopLimits = StopLimits(), carried: int = 0, run: int = 0) -> Pass:
     """``carried`` leading rows are medians of earlier phases (for ``gained_raw``)."""
     if rule not in ("priced", "unpriced"):
         raise ValueError(f"unknown opening rule {rule!r}")
     n, d = x.shape
     at = np.empty((min(max(n, 1), 256), d))
-    rows, weight, gained, raw = [], [], [], []
+    rows: list[int] = []
+    weight, gained, raw = np.zeros(len(at)), np.zeros(len(at), bool), np.zeros(len(at), bool)
     to, dist = np.zeros(n, np.int64), np.zeros(n)
-    service = ssq = most = 0.0
+    service = 0.0
     reason, read = "end", n
-    for i in range(n):
-        opens, theta, near = True, 0.0, 0
+    for start in range(0, n, BLOCK):
+        xb, wb, ub = x[start : start + BLOCK], w[start : start + BLOCK], u[start : start + BLOCK]
+        size = len(xb)
+        # distances to the medians opened before this block, then only corrections by new ones
+        theta, near = np.full(size, np.inf), np.zeros(size, np.int64)
         if rows:
-            gap = distances(distance, at[: len(rows)], x[i])
-            near = int(gap.argmin())
-            theta = float(gap[near])
-            load = theta * w[i]
-            chance = 1.0 if rule == "priced" and price <= 0 and load > 0 else min(load / price if rule == "priced" and price > 0 else load, 1.0)
-            opens = u[i] < chance
-        next_service = service if opens else service + theta * w[i]
-        facilities = len(rows) + opens
-        cost = next_service + (price * facilities if limits.cost_basis == "total" else 0.0)
-        if cost > limits.cost_cap:
-            reason, read = "cost", i
-            break
-        if facilities > limits.median_cap:
-            reason, read = "medians", i
+            gaps = block_distances(distance, xb, at[: len(rows)])
+            near = gaps.argmin(1)
+            theta = gaps[np.arange(size), near]
+        opens = _opens(theta, wb, ub, price, rule)
+        if not rows:
+            opens[0] = True
+        j = 0
+        while j < size:
+            stop = j + int(opens[j:].argmax())
+            if not opens[stop]:
+                stop = size
+            if stop > j:  # points j..stop-1 are assigned
+                costs = np.cumsum(np.concatenate([[service], theta[j:stop] * wb[j:stop]]))[1:]
+                base = price * len(rows) if limits.cost_basis == "total" else 0.0
+                over = costs + base > limits.cost_cap
+                upto = j + int(over.argmax()) if over.any() else stop
+                some = slice(start + j, start + upto)
+                to[some], dist[some] = near[j:upto], theta[j:upto]
+                np.add.at(weight, near[j:upto], wb[j:upto])
+                gained[near[j:upto]] = True
+                raw[near[max(j, min(upto, carried - start)) : upto]] = True
+                service = float(costs[upto - j - 1]) if upto > j else service
+                if upto < stop:
+                    reason, read = "cost", start + upto
+                    break
+            if stop < size:  # point ``stop`` opens a median
+                i, m = start + stop, len(rows)
+                if service + (price * (m + 1) if limits.cost_basis == "total" else 0.0) > limits.cost_cap:
+                    reason, read = "cost", i
+                    break
+                if m + 1 > limits.median_cap:
+                    reason, read = "medians", i
+                    break
+                if m == len(at):
+                    at = np.concatenate([at, np.empty_like(at)])
+                    weight, gained, raw = (np.concatenate([v, np.zeros_like(v)]) for v in (weight, gained, raw))
+                at[m], to[i], weight[m] = x[i], m, w[i]
+                rows.append(i)
+                if stop + 1 < size:
+                    gap = distances(distance, xb[stop + 1 :], x[i])
+                    closer = (gap < theta[stop + 1 :]).nonzero()[0]  # ties stay with the earlier median
+                    if len(closer):
+                        gap, closer = gap[closer], closer + (stop + 1)
+                        theta[closer] = gap
+                        near[closer] = m
+                        opens[closer] = _opens(gap, wb[closer], ub[closer], price, rule)
+            j = stop + 1
+        if reason != "end":
             break
-        service = next_service
-        if opens:
-            if len(rows) == len(at):
-                at = np.concatenate([at, np.empty_like(at)])
-            at[len(rows)] = x[i]
-            to[i] = len(rows)
-            rows.append(i), weight.append(w[i]), gained.append(False), raw.append(False)
-        else:
-            to[i], dist[i] = near, theta
-            weight[near] += w[i]
-            gained[near] = True
-            raw[near] = raw[near] or i >= carried
-            squared = theta if distance == "sqeuclidean" else theta * theta
-            ssq += w[i] * squared
-            most = max(most, theta)
-    return Pass(np.array(rows, np.int64), np.array(weight), np.array(gained, bool), np.array(raw, bool), to[:read], dist[:read], read, service, price, reason, ssq, most, run)
+    m = len(rows)
+    squared = dist[:read] if distance == "sqeuclidean" else dist[:read] * dist[:read]
+    ssq, most = float((w[:read] * squared).sum()), float(dist[:read].max(initial=0.0))
+    weight, gained, raw = weight[:m], gained[:m], raw[:m]
+    return Pass(np.array(rows, np.int64), weight, gained, raw, to[:read], dist[:read], read, service, price, reason, ssq, most, run)
