@@ -31,11 +31,12 @@ from pyspark.sql import functions as F
 from .store import stored
 
 MIN_CHARS = 20
-BROADCAST_ROWS = 500_000
+#: Broadcast bounds: pairs of hashes, and places of lines (12 to 24 bytes each).
+BROADCAST_ROWS, BROADCAST_PLACES = 500_000, 1_000_000
 
 
 def _trimmed(line: Column) -> Column:
-    return F.regexp_replace(line, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
+    return F.btrim(line, F.lit("\x20\x09\x0a\x0b\x0c\x0d"))
 
 
 def _identity() -> list[Column]:
@@ -52,15 +53,16 @@ def _hashes() -> list[Column]:
     return [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit("again"), "line").alias("h2")]
 
 
-def _gates(n: Column, line: Column) -> Column:
-    """The four (short, side, key): ``short`` is the shorter partner's length."""
+def _gates(n: Column, line: Column) -> list[Column]:
+    """Four keys: the first and the last half (of the shorter partner's length) if this line is the
+    shorter partner, then if it is the longer one."""
     out = []
     for less in (0, 1):
         short = n - less
         half = F.floor(short / 2).cast("int")
-        out.append(F.struct(short.alias("short"), F.lit(0).alias("side"), F.xxhash64(short, F.lit(0), F.substr(line, F.lit(1), half)).alias("key")))
-        out.append(F.struct(short.alias("short"), F.lit(1).alias("side"), F.xxhash64(short, F.lit(1), F.substr(line, n - (short - half) + 1)).alias("key")))
-    return F.array(*out)
+        out.append(F.xxhash64(short, F.lit(0), F.substr(line, F.lit(1), half)).alias(f"g{2 * less}"))
+        out.append(F.xxhash64(short, F.lit(1), F.substr(line, n - (short - half) + 1)).alias(f"g{2 * less + 1}"))
+    return out
 
 
 def _variants(n: Column, short: Column, side: Column, line: Column) -> Column:
@@ -84,22 +86,22 @@ def _few(df: DataFrame) -> DataFrame:
 
 def dropped_lines(docs: DataFrame, *, min_chars: int = MIN_CHARS) -> DataFrame:
     """(d, t, drop): per document that loses lines, their places (from 0)."""
-    line, n = F.col("line"), F.length("line")
-    every = _lines(docs, min_chars).select("d", "t", "pos", *_hashes(), n.alias("n"), F.transform(_gates(n, line), lambda g: g["key"]).alias("g"))
-    every = stored(every.select("d", "t", "pos", "h1", "h2", "n", *(F.get("g", F.lit(i)).alias(f"g{i}") for i in range(4))), "lines")
-    first = F.min(F.struct("d", "t", "pos")).alias("first")
-    lines = every.groupBy("h1", "h2", "n", *(f"g{i}" for i in range(4))).agg(first, F.count("*").alias("times"))
-    lines = stored(lines, "distinct")
-
-    sides = [(i // 2, i % 2, f"g{i}") for i in range(4)]
-    gates = lines.select("h1", "h2", "n", F.explode(F.array(*(F.struct((F.col("n") - less).alias("short"), F.lit(side).alias("side"), F.col(g).alias("key")) for less, side, g in sides))).alias("gate")).select("h1", "h2", "n", "gate.*")
-    shared = gates.groupBy("key").agg(F.count("*").alias("c"), F.max(F.col("n") == F.col("short")).alias("has_short")).where("c > 1 and has_short").select("key")
-    gated = stored(gates.join(shared, "key"), "gated")
-    need = _few(gated.select("h1", "h2").distinct())
-    found = _lines(docs, min_chars).select(*_hashes(), "line").join(need, ["h1", "h2"]).groupBy("h1", "h2").agg(F.min("line").alias("line"))
+    line, n = F.col("line"), F.col("n")
+    every = _lines(docs, min_chars).withColumn("n", F.length("line")).select("d", "t", "pos", *_hashes(), "n", *_gates(n, line))
+    every = stored(every, "lines")
+    lines = stored(every.groupBy("h1", "h2", "n", "g0", "g1", "g2", "g3").agg(F.count("*").alias("times")), "distinct")
+
+    gates = lines.select("h1", "h2", "n", F.explode(F.array(*(F.struct((F.col("n") - i // 2).alias("short"), F.lit(i % 2).alias("side"), F.col(f"g{i}").alias("key")) for i in range(4)))).alias("gate")).select("h1", "h2", "n", "gate.*")
+    shared = gates.groupBy("key").agg(F.count("*").alias("c"), F.max(F.when(F.col("n") == F.col("short"), 1).otherwise(0)).alias("has_short")).where("c > 1 and has_short = 1").select("key")
+    gated = stored(gates.join(_few(stored(shared, "gates")), "key"), "gated")
+    near = stored(gated.select("h1", "h2").distinct(), "near")
+    found = _lines(docs, min_chars).select(*_hashes(), "line").join(_few(near), ["h1", "h2"]).groupBy("h1", "h2").agg(F.min("line").alias("line"))
     found = stored(found, "texts")
 
-    small = lines.select("h1", "h2", "first")
+    # places matter only for lines that stand twice or may have a near-duplicate
+    some = stored(lines.where("times > 1").select("h1", "h2").union(near).distinct(), "some")
+    places = stored(every.select("d", "t", "pos", "h1", "h2").join(_few(some), ["h1", "h2"]), "places")
+    small = stored(places.groupBy("h1", "h2").agg(F.min(F.struct("d", "t", "pos")).alias("first")), "first")
     made = gated.join(found, ["h1", "h2"]).join(small, ["h1", "h2"])
     made = made.select("h1", "h2", "key", "first", F.explode(_variants(F.col("n"), F.col("short"), F.col("side"), line)).alias("x"))
     made = stored(made.select("h1", "h2", "key", "first", "x.v", "x.kind"), "variants")
@@ -111,14 +113,16 @@ def dropped_lines(docs: DataFrame, *, min_chars: int = MIN_CHARS) -> DataFrame:
     both = edges.join(found.toDF("h1", "h2", "line"), ["h1", "h2"]).join(found.toDF("o1", "o2", "earlier"), ["o1", "o2"])
     gone = both.where((F.levenshtein("line", "earlier") <= 1)).select("h1", "h2").distinct().withColumn("gone", F.lit(True))
 
-    verdict = lines.join(gone, ["h1", "h2"], "left").where("times > 1 or gone").select("h1", "h2", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
-    lost = every.select("d", "t", "pos", "h1", "h2").join(verdict, ["h1", "h2"]).where(F.col("gone") | (F.struct("d", "t", "pos") != F.col("first")))
+    verdict = small.join(gone, ["h1", "h2"], "left").select("h1", "h2", "first", F.coalesce("gone", F.lit(False)).alias("gone"))
+    lost = places.join(verdict, ["h1", "h2"]).where(F.col("gone") | (F.struct("d", "t", "pos") != F.col("first")))
     return lost.groupBy("d", "t").agg(F.collect_set("pos").alias("drop"))
 
 
 def without_copies(docs: DataFrame, *, min_chars: int = MIN_CHARS) -> DataFrame:
     """``docs`` with cleaned ``text`` and a struct column ``lines_`` (n_lines, n_dropped, had_text)."""
     drops = stored(dropped_lines(docs, min_chars=min_chars), "drops").toDF("d_", "t_", "drop_")
+    places = drops.agg(F.coalesce(F.sum(F.size("drop_")), F.lit(0))).head()[0]
+    drops = F.broadcast(drops) if places <= BROADCAST_PLACES else drops
     d, t = _identity()
     out = docs.join(drops, (d == F.col("d_")) & (t == F.col("t_")), "left")
     pieces = F.split("text", "\n")
