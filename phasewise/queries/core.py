@@ -137,8 +137,8 @@ s(i, locs, ids, wts, service) as (
 select unnest(ids)::bigint as median_id, unnest(wts)::bigint as weight, service as service_cost from s where i = {upto}"""
 
 
-def _pass(spark, sf, rule: str = "priced", weighted: bool = False, price: float = 2000.0):
-    p = events_points(spark, sf, upto=400, scale=100.0)
+def _pass(spark, sf, rule: str = "priced", weighted: bool = False, price: float = 2000.0, upto: int | None = None):
+    p = events_points(spark, sf, upto=upto, scale=100.0)
     if weighted:
         p = p.withColumn("weight", (F.col("point_id") % 3 + 1).cast("double"))
     done = mn.pass_assignments(p, price, Settings(opening_rule=rule))
@@ -148,17 +148,17 @@ def _pass(spark, sf, rule: str = "priced", weighted: bool = False, price: float
 
 @query("facility_pass_prefix", _pass_sql("u < least(th * w / 2000.0, 1)", "1::bigint"))
 def facility_pass_prefix(spark, sf):
-    return _pass(spark, sf)
+    return _pass(spark, sf, upto=400)
 
 
 @query("facility_pass_unpriced", _pass_sql("u < least(th * w * 1.0, 1)", "1::bigint"))
 def facility_pass_unpriced(spark, sf):
-    return _pass(spark, sf, "unpriced")
+    return _pass(spark, sf, "unpriced", upto=400)
 
 
 @query("facility_pass_weighted", _pass_sql("u < least(th * w / 2000.0, 1)", "(id % 3 + 1)::bigint"))
 def facility_pass_weighted(spark, sf):
-    return _pass(spark, sf, weighted=True)
+    return _pass(spark, sf, weighted=True, upto=400)
 
 
 @query("stop_audit", "with recursive " + _pass_sql("u < least(th * w / 2000.0, 1)", "1::bigint").split("with recursive ", 1)[1].rsplit("\nselect", 1)[0] + "\nselect min(i) as first_over from s where service + 2000 * len(locs) > 60000")
@@ -167,6 +167,30 @@ def stop_audit(spark, sf):
     return mn.stop_audit(done, 2000.0, 60000.0).select("first_over")
 
 
+# The queries above stay on the prefix that their recursive SQL covers; these take all events.
+
+
+@query("facility_pass_all")
+def facility_pass_all(spark, sf):
+    return _pass(spark, sf)
+
+
+@query("facility_pass_unpriced_all")
+def facility_pass_unpriced_all(spark, sf):
+    return _pass(spark, sf, "unpriced")
+
+
+@query("facility_pass_weighted_all")
+def facility_pass_weighted_all(spark, sf):
+    return _pass(spark, sf, weighted=True)
+
+
+@query("stop_audit_all")
+def stop_audit_all(spark, sf):
+    done = mn.pass_assignments(events_points(spark, sf, scale=100.0), 2000.0, Settings())
+    return mn.stop_audit(done, 2000.0, 60000.0).select("first_over")
+
+
 @query("runs_compare")
 def runs_compare(spark, sf):
     r = mn.mine_outliers(events_points(spark, sf, upto=2000), Settings(k=2, num=500, runs=6))
