@@ -1,9 +1,9 @@
 """License scans by ordered signature rules, in DataFrame functions only.
 
 A text becomes its words (A-Z in lower case) with one blank between.  Rules are regular
-expressions over those words, hand-written, each with a keyword without which it cannot match,
-a label, a priority and a confidence.  A cheap test for the few stems that all keywords hold
-comes first; then a document meets only the rules whose keyword it has.  Every match becomes an
+expressions over those words, hand-written, each with a label, a priority and a confidence.  The
+strings that every match of a rule holds are read off its pattern.  A cheap test for the few stems
+that they share comes first; then a document meets only the rules whose strings it has.  Every match becomes an
 interval of words; an interval inside another one of higher priority (or of equal priority and
 greater length, or equal in both and earlier in the list) is suppressed, so that "apache license
 version 2" is not reported as the family "apache" again.  Base phrases are counted at all their
@@ -16,109 +16,161 @@ repeated rows; extra columns are ignored.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from re import _parser as parser
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: The base phrases and their labels, and the characters between words.
+#: The base phrases and their labels, strings taken from a pattern at a time, and the characters between words.
 BASE = (("under the mit license", "mit"), ("apache license version 2", "apache-2"), ("cc by nc", "cc-by-nc"))
+MOST_SPELLINGS = 10
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: Every rule's keyword holds one of these.
+#: Pieces that most rules' words hold; ``gate`` adds the words of the other rules.
 STEMS = ("licen", "copyright", "copyleft", "spdx", "public domain", "all rights reserved", "cc by", "cc0", "gpl", "creative commons", "redistribution", "free of charge", "warrant", "unlicense", "wtfpl", "patent", "cc zero")
 
 
 @dataclass(frozen=True)
 class Rule:
     label: str
-    keyword: str
     pattern: str
     priority: int
     confidence: float
 
 
-#: name of a license in words (as a pattern), its label, and a word that the name always holds
+#: label of a license, and its name in words (as a pattern)
 NAMES = (
-    ("mit", "mit", r"mit"), ("mit-0", "mit", r"mit (?:no attribution|0)"), ("x11", "x11", r"x11"), ("isc", "isc", r"isc"), ("0bsd", "0bsd", r"(?:0bsd|bsd zero clause)"),
-    ("bsd-1", "bsd", r"(?:bsd 1 clause|1 clause bsd|one clause bsd)"), ("bsd-2", "bsd", r"(?:bsd 2 clause|2 clause bsd|two clause bsd|simplified bsd|freebsd)"), ("bsd-3", "bsd", r"(?:bsd 3 clause|3 clause bsd|three clause bsd|new bsd|modified bsd|revised bsd)"), ("bsd-4", "bsd", r"(?:bsd 4 clause|4 clause bsd|four clause bsd|original bsd)"), ("bsd", "bsd", r"bsd(?: style)?"),
-    ("apache-1", "apache", r"apache(?: software)?(?: license)?(?: version)? 1 0"), ("apache-1.1", "apache", r"apache(?: software)?(?: license)?(?: version)? 1 1"), ("apache-2", "apache", r"apache(?: software)?(?: license)?(?: version| v)? ?2(?: 0)?"), ("apache", "apache", r"apache(?: software)?"),
-    ("gpl-1", "g", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?1(?: 0)?"), ("gpl-2", "g", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?2(?: 0)?"), ("gpl-3", "g", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?3(?: 0)?"), ("gpl", "g", r"(?:gnu )?(?:gpl|general public)"),
-    ("lgpl-2", "l", r"(?:gnu )?(?:lgpl|library general public license)(?: version| v)? ?2(?: 0)?"), ("lgpl-2.1", "l", r"(?:gnu )?(?:lgpl|lesser general public license)(?: version| v)? ?2 1"), ("lgpl-3", "l", r"(?:gnu )?(?:lgpl|lesser general public license)(?: version| v)? ?3(?: 0)?"), ("lgpl", "l", r"(?:gnu )?(?:lgpl|lesser general public|library general public)"),
-    ("agpl-3", "a", r"(?:gnu )?(?:agpl|affero general public license)(?: version| v)? ?3(?: 0)?"), ("agpl", "a", r"(?:gnu )?(?:agpl|affero general public)"), ("gfdl", "free", r"(?:gnu )?(?:gfdl|free documentation)"),
-    ("mpl-1.1", "m", r"(?:mpl|mozilla public license)(?: version| v)? ?1 1"), ("mpl-2", "m", r"(?:mpl|mozilla public license)(?: version| v)? ?2(?: 0)?"), ("mpl", "m", r"(?:mpl|mozilla public)"),
-    ("epl-1", "e", r"(?:epl|eclipse public license)(?: version| v)? ?1(?: 0)?"), ("epl-2", "e", r"(?:epl|eclipse public license)(?: version| v)? ?2(?: 0)?"), ("epl", "e", r"(?:epl|eclipse public)"),
-    ("cddl", "c", r"(?:cddl|common development and distribution)"), ("cpl", "c", r"common public"), ("eupl", "e", r"(?:eupl|european union public)"), ("artistic-2", "artistic", r"artistic license 2(?: 0)?"), ("artistic", "artistic", r"artistic"), ("perl", "perl", r"perl"), ("php", "php", r"php"), ("python", "python", r"(?:python software foundation|psf|python)"),
-    ("zlib", "zlib", r"zlib(?: libpng)?"), ("libpng", "libpng", r"libpng"), ("boost", "boost", r"boost(?: software)?"), ("bsl-1.1", "business", r"business source"), ("elastic-2", "elastic", r"elastic(?: license)?(?: version)? 2(?: 0)?"), ("elastic", "elastic", r"elastic"), ("sspl", "server", r"server side public"), ("unlicense", "unlicense", r"unlicense"), ("wtfpl", "wtfpl", r"(?:wtfpl|do what the fuck you want to public)"),
-    ("openssl", "openssl", r"openssl"), ("ofl", "font", r"(?:sil )?open font"), ("ms-pl", "microsoft", r"microsoft public"), ("ms-rl", "microsoft", r"microsoft reciprocal"), ("ncsa", "ncsa", r"(?:university of illinois )?ncsa(?: open source)?"), ("postgresql", "postgresql", r"postgresql"), ("vim", "vim", r"vim"), ("ruby", "ruby", r"ruby"), ("osl-3", "open", r"open software license(?: version)? 3 0"), ("afl-3", "academic", r"academic free(?: license)?(?: version)? 3 0"), ("odbl", "open", r"(?:open database|odbl)"), ("odc-by", "open", r"open data commons attribution"), ("pddl", "public", r"public domain dedication"), ("cecill", "cecill", r"cecill"), ("upl", "universal", r"universal permissive"), ("openrail", "rail", r"(?:open ?rail(?: m)?|responsible ai)"), ("community-model", "community", r"community"),
+    ("mit", r"mit"), ("mit-0", r"mit (?:no attribution|0)"), ("x11", r"x11"), ("isc", r"isc"), ("0bsd", r"(?:0bsd|bsd zero clause)"),
+    ("bsd-1", r"(?:bsd 1 clause|1 clause bsd|one clause bsd)"), ("bsd-2", r"(?:bsd 2 clause|2 clause bsd|two clause bsd|simplified bsd|freebsd)"), ("bsd-3", r"(?:bsd 3 clause|3 clause bsd|three clause bsd|new bsd|modified bsd|revised bsd)"), ("bsd-4", r"(?:bsd 4 clause|4 clause bsd|four clause bsd|original bsd)"), ("bsd", r"bsd(?: style)?"),
+    ("apache-1", r"apache(?: software)?(?: license)?(?: version)? 1 0"), ("apache-1.1", r"apache(?: software)?(?: license)?(?: version)? 1 1"), ("apache-2", r"apache(?: software)?(?: license)?(?: version| v)? ?2(?: 0)?"), ("apache", r"apache(?: software)?"),
+    ("gpl-1", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?1(?: 0)?"), ("gpl-2", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?2(?: 0)?"), ("gpl-3", r"(?:gnu )?(?:gpl|general public license)(?: version| v)? ?3(?: 0)?"), ("gpl", r"(?:gnu )?(?:gpl|general public)"),
+    ("lgpl-2", r"(?:gnu )?(?:lgpl|library general public license)(?: version| v)? ?2(?: 0)?"), ("lgpl-2.1", r"(?:gnu )?(?:lgpl|lesser general public license)(?: version| v)? ?2 1"), ("lgpl-3", r"(?:gnu )?(?:lgpl|lesser general public license)(?: version| v)? ?3(?: 0)?"), ("lgpl", r"(?:gnu )?(?:lgpl|lesser general public|library general public)"),
+    ("agpl-3", r"(?:gnu )?(?:agpl|affero general public license)(?: version| v)? ?3(?: 0)?"), ("agpl", r"(?:gnu )?(?:agpl|affero general public)"), ("gfdl", r"(?:gnu )?(?:gfdl|free documentation)"),
+    ("mpl-1.1", r"(?:mpl|mozilla public license)(?: version| v)? ?1 1"), ("mpl-2", r"(?:mpl|mozilla public license)(?: version| v)? ?2(?: 0)?"), ("mpl", r"(?:mpl|mozilla public)"),
+    ("epl-1", r"(?:epl|eclipse public license)(?: version| v)? ?1(?: 0)?"), ("epl-2", r"(?:epl|eclipse public license)(?: version| v)? ?2(?: 0)?"), ("epl", r"(?:epl|eclipse public)"),
+    ("cddl", r"(?:cddl|common development and distribution)"), ("cpl", r"common public"), ("eupl", r"(?:eupl|european union public)"), ("artistic-2", r"artistic license 2(?: 0)?"), ("artistic", r"artistic"), ("perl", r"perl"), ("php", r"php"), ("python", r"(?:python software foundation|psf|python)"),
+    ("zlib", r"zlib(?: libpng)?"), ("libpng", r"libpng"), ("boost", r"boost(?: software)?"), ("bsl-1.1", r"business source"), ("elastic-2", r"elastic(?: license)?(?: version)? 2(?: 0)?"), ("elastic", r"elastic"), ("sspl", r"server side public"), ("unlicense", r"unlicense"), ("wtfpl", r"(?:wtfpl|do what the fuck you want to public)"),
+    ("openssl", r"openssl"), ("ofl", r"(?:sil )?open font"), ("ms-pl", r"microsoft public"), ("ms-rl", r"microsoft reciprocal"), ("ncsa", r"(?:university of illinois )?ncsa(?: open source)?"), ("postgresql", r"postgresql"), ("vim", r"vim"), ("ruby", r"ruby"), ("osl-3", r"open software license(?: version)? 3 0"), ("afl-3", r"academic free(?: license)?(?: version)? 3 0"), ("odbl", r"(?:open database|odbl)"), ("odc-by", r"open data commons attribution"), ("pddl", r"public domain dedication"), ("cecill", r"cecill"), ("upl", r"universal permissive"), ("openrail", r"(?:open ?rail(?: m)?|responsible ai)"), ("community-model", r"community"),
 )
-#: what stands around a name: (pattern with %s for the name, its keyword, priority, confidence)
+#: what stands around a name: (pattern with %s for the name, priority, confidence)
 SETTINGS = (
-    (r"(?:released|licensed|distributed|available|published|covered|provided|redistributed|made available) under (?:the )?(?:terms of )?(?:the )?(?:a )?%s(?: license| licence)?", "under", 60, 0.95),
-    (r"under (?:the )?(?:terms|conditions|provisions) (?:and conditions )?of (?:the )?%s(?: license| licence)?", "under", 50, 0.9),
-    (r"spdx license identifier %s", "spdx", 80, 1.0),
-    (r"(?:the )?%s (?:license|licence)", "licen", 40, 0.8),
-    (r"licen[sc]e(?:d)?(?: is| as| type)? %s", "licen", 35, 0.7),
+    (r"(?:released|licensed|distributed|available|published|covered|provided|redistributed|made available) under (?:the )?(?:terms of )?(?:the )?(?:a )?%s(?: license| licence)?", 60, 0.95),
+    (r"under (?:the )?(?:terms|conditions|provisions) (?:and conditions )?of (?:the )?%s(?: license| licence)?", 50, 0.9),
+    (r"spdx license identifier %s", 80, 1.0),
+    (r"(?:the )?%s (?:license|licence)", 40, 0.8),
+    (r"licen[sc]e(?:d)?(?: is| as| type)? %s", 35, 0.7),
 )
 #: hand-written passages and notices
 NOTICES = (
-    Rule("mit", "free of charge", r"permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", 90, 1.0),
-    Rule("mit", "free of charge", r"permission is hereby granted free of charge", 30, 0.7),
-    Rule("isc", "warrant", r"permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", 90, 1.0),
-    Rule("bsd", "redistribution", r"redistribution and use in source and binary forms with or without modification are permitted", 70, 0.95),
-    Rule("bsd-3", "redistribution", r"neither the name of .{1,80} nor the names of its contributors may be used to endorse", 75, 0.95),
-    Rule("apache-2", "licen", r"you may not use this file except in compliance with the license", 70, 0.9),
-    Rule("apache-2", "licen", r"apache org licenses license 2 0", 85, 1.0),
-    Rule("gpl", "licen", r"this program is free software you can redistribute it and or modify it", 65, 0.9),
-    Rule("gpl-2-or-later", "licen", r"either version 2 of the license or (?:at your option )?any later version", 75, 0.9),
-    Rule("gpl-3-or-later", "licen", r"either version 3 of the license or (?:at your option )?any later version", 75, 0.9),
-    Rule("gpl-3", "licen", r"gnu general public license version 3", 70, 1.0),
-    Rule("gpl-2", "licen", r"gnu general public license version 2", 70, 1.0),
-    Rule("gpl", "licen", r"gnu org licenses(?: gpl)?(?: html| txt)?", 45, 0.8),
-    Rule("cc0", "cc0", r"cc0(?: 1 0)?(?: universal)?", 70, 0.95),
-    Rule("cc0", "creative commons", r"creative commons (?:zero|0|public domain dedication)(?: 1 0)?(?: universal)?", 70, 0.95),
-    Rule("cc-by-nc-nd", "cc by", r"cc by nc nd(?: [1-4] [05])?", 78, 1.0),
-    Rule("cc-by-nc-sa", "cc by", r"cc by nc sa(?: [1-4] [05])?", 78, 1.0),
-    Rule("cc-by-nc", "cc by", r"cc by nc(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by-nd", "cc by", r"cc by nd(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by-sa", "cc by", r"cc by sa(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by", "cc by", r"cc by(?: [1-4] [05])?", 70, 0.9),
-    Rule("cc-by-nc-sa", "creative commons", r"creative commons attribution non ?commercial share ?alike(?: [1-4] [05])?", 78, 1.0),
-    Rule("cc-by-nc-nd", "creative commons", r"creative commons attribution non ?commercial no ?deriv(?:ative)?s?(?: works)?(?: [1-4] [05])?", 78, 1.0),
-    Rule("cc-by-nc", "creative commons", r"creative commons attribution non ?commercial(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by-sa", "creative commons", r"creative commons attribution share ?alike(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by-nd", "creative commons", r"creative commons attribution no ?deriv(?:ative)?s?(?: works)?(?: [1-4] [05])?", 74, 1.0),
-    Rule("cc-by", "creative commons", r"creative commons attribution(?: [1-4] [05])?", 70, 0.95),
-    Rule("creative-commons", "creative commons", r"creative commons", 20, 0.5),
-    Rule("public-domain", "public domain", r"(?:released|dedicated|placed|put) (?:in|in to|into|to) the public domain", 70, 0.95),
-    Rule("public-domain", "public domain", r"(?:this work is|is) in the public domain", 60, 0.8),
-    Rule("public-domain", "public domain", r"public domain", 15, 0.4),
-    Rule("unlicense", "public domain", r"this is free and unencumbered software released into the public domain", 90, 1.0),
-    Rule("all-rights-reserved", "all rights reserved", r"all rights reserved", 25, 0.6),
-    Rule("copyright", "copyright", r"copyright(?: c)? (?:19|20)[0-9]{2}(?: (?:19|20)[0-9]{2})*", 25, 0.5),
-    Rule("copyright", "copyright", r"copyright", 5, 0.2),
-    Rule("copyleft", "copyleft", r"copyleft", 10, 0.4),
-    Rule("patent-grant", "patent", r"(?:royalty free|irrevocable) patent license", 40, 0.6),
-    Rule("no-warranty", "warrant", r"without warranty of any kind express or implied", 30, 0.5),
-    Rule("no-warranty", "warrant", r"without any warranty without even the implied warranty of merchantability", 30, 0.5),
-    Rule("non-commercial", "licen", r"(?:for )?non ?commercial (?:use|purposes)(?: only)?", 30, 0.6),
-    Rule("research-only", "licen", r"(?:for )?research (?:use|purposes) only", 30, 0.6),
-    Rule("proprietary", "licen", r"proprietary (?:license|licence|software)", 35, 0.7),
-    Rule("dual-license", "licen", r"(?:dual|dually|multi|triple) licen[sc]ed", 35, 0.6),
-    Rule("end-user-license", "licen", r"end user licen[sc]e agreement", 40, 0.8),
-    Rule("license-reference", "licen", r"see (?:the )?(?:accompanying )?licen[sc]e(?: file)?(?: for (?:more )?(?:details|information))?", 12, 0.3),
-    Rule("license-mention", "licen", r"licen[sc]ed under", 4, 0.2),
+    Rule("mit", r"permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", 90, 1.0),
+    Rule("mit", r"permission is hereby granted free of charge", 30, 0.7),
+    Rule("isc", r"permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", 90, 1.0),
+    Rule("bsd", r"redistribution and use in source and binary forms with or without modification are permitted", 70, 0.95),
+    Rule("bsd-3", r"neither the name of .{1,80} nor the names of its contributors may be used to endorse", 75, 0.95),
+    Rule("apache-2", r"you may not use this file except in compliance with the license", 70, 0.9),
+    Rule("apache-2", r"apache org licenses license 2 0", 85, 1.0),
+    Rule("gpl", r"this program is free software you can redistribute it and or modify it", 65, 0.9),
+    Rule("gpl-2-or-later", r"either version 2 of the license or (?:at your option )?any later version", 75, 0.9),
+    Rule("gpl-3-or-later", r"either version 3 of the license or (?:at your option )?any later version", 75, 0.9),
+    Rule("gpl-3", r"gnu general public license version 3", 70, 1.0),
+    Rule("gpl-2", r"gnu general public license version 2", 70, 1.0),
+    Rule("gpl", r"gnu org licenses(?: gpl)?(?: html| txt)?", 45, 0.8),
+    Rule("cc0", r"cc0(?: 1 0)?(?: universal)?", 70, 0.95),
+    Rule("cc0", r"creative commons (?:zero|0|public domain dedication)(?: 1 0)?(?: universal)?", 70, 0.95),
+    Rule("cc-by-nc-nd", r"cc by nc nd(?: [1-4] [05])?", 78, 1.0),
+    Rule("cc-by-nc-sa", r"cc by nc sa(?: [1-4] [05])?", 78, 1.0),
+    Rule("cc-by-nc", r"cc by nc(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by-nd", r"cc by nd(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by-sa", r"cc by sa(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by", r"cc by(?: [1-4] [05])?", 70, 0.9),
+    Rule("cc-by-nc-sa", r"creative commons attribution non ?commercial share ?alike(?: [1-4] [05])?", 78, 1.0),
+    Rule("cc-by-nc-nd", r"creative commons attribution non ?commercial no ?deriv(?:ative)?s?(?: works)?(?: [1-4] [05])?", 78, 1.0),
+    Rule("cc-by-nc", r"creative commons attribution non ?commercial(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by-sa", r"creative commons attribution share ?alike(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by-nd", r"creative commons attribution no ?deriv(?:ative)?s?(?: works)?(?: [1-4] [05])?", 74, 1.0),
+    Rule("cc-by", r"creative commons attribution(?: [1-4] [05])?", 70, 0.95),
+    Rule("creative-commons", r"creative commons", 20, 0.5),
+    Rule("public-domain", r"(?:released|dedicated|placed|put) (?:in|in to|into|to) the public domain", 70, 0.95),
+    Rule("public-domain", r"(?:this work is|is) in the public domain", 60, 0.8),
+    Rule("public-domain", r"public domain", 15, 0.4),
+    Rule("unlicense", r"this is free and unencumbered software released into the public domain", 90, 1.0),
+    Rule("all-rights-reserved", r"all rights reserved", 25, 0.6),
+    Rule("copyright", r"copyright(?: c)? (?:19|20)[0-9]{2}(?: (?:19|20)[0-9]{2})*", 25, 0.5),
+    Rule("copyright", r"copyright", 5, 0.2),
+    Rule("copyleft", r"copyleft", 10, 0.4),
+    Rule("patent-grant", r"(?:royalty free|irrevocable) patent license", 40, 0.6),
+    Rule("no-warranty", r"without warranty of any kind express or implied", 30, 0.5),
+    Rule("no-warranty", r"without any warranty without even the implied warranty of merchantability", 30, 0.5),
+    Rule("non-commercial", r"(?:for )?non ?commercial (?:use|purposes)(?: only)?", 30, 0.6),
+    Rule("research-only", r"(?:for )?research (?:use|purposes) only", 30, 0.6),
+    Rule("proprietary", r"proprietary (?:license|licence|software)", 35, 0.7),
+    Rule("dual-license", r"(?:dual|dually|multi|triple) licen[sc]ed", 35, 0.6),
+    Rule("end-user-license", r"end user licen[sc]e agreement", 40, 0.8),
+    Rule("license-reference", r"see (?:the )?(?:accompanying )?licen[sc]e(?: file)?(?: for (?:more )?(?:details|information))?", 12, 0.3),
+    Rule("license-mention", r"licen[sc]ed under", 4, 0.2),
 )
 
 
 def rules() -> list[Rule]:
     """All rules, the base phrases first, then by falling priority (their order breaks ties)."""
     out = list(NOTICES)
-    for label, _, name in NAMES:
+    for label, name in NAMES:
         more = 5 if any(c.isdigit() for c in label) else 0
-        out += [Rule(label, keyword, setting % name, priority + more, confidence) for setting, keyword, priority, confidence in SETTINGS]
-    base = [Rule(label, text.split()[-1], text, 100, 1.0) for text, label in BASE]
+        out += [Rule(label, setting % name, priority + more, confidence) for setting, priority, confidence in SETTINGS]
+    base = [Rule(label, text, 100, 1.0) for text, label in BASE]
     return base + sorted(out, key=lambda r: -r.priority)
 
 
+def _least(words: set[str]) -> tuple[str, ...]:
+    """Without those that hold another one."""
+    return tuple(sorted(w for w in words if not any(o != w and o in w for o in words)))
+
+
+def _spellings(nodes) -> set[str] | None:
+    """All strings that the parsed pattern matches; None if they are more than MOST_SPELLINGS."""
+    out = {""}
+    for kind, arg in nodes:
+        if kind is parser.LITERAL:
+            some = {chr(arg)}
+        elif kind is parser.IN and all(k is parser.LITERAL for k, _ in arg):
+            some = {chr(c) for _, c in arg}
+        elif kind is parser.SUBPATTERN:
+            some = _spellings(arg[-1])
+        elif kind is parser.BRANCH:
+            parts = [_spellings(x) for x in arg[1]]
+            some = None if None in parts else set().union(*parts)
+        elif kind is parser.MAX_REPEAT and arg[:2] == (0, 1):
+            some = _spellings(arg[2])
+            some = some and some | {""}
+        else:
+            some = None
+        if some is None or len(out) * len(some) > MOST_SPELLINGS:
+            return None
+        out = {a + b for a in out for b in some}
+    return out
+
+
+def needs(pattern: str) -> list[tuple[str, ...]]:
+    """Sets of strings: every match of ``pattern`` holds at least one string of each set."""
+    out, run = [], {""}
+    for node in parser.parse(pattern):
+        some = _spellings([node])
+        if some is None or len(run) * len(some) > MOST_SPELLINGS:
+            out.append(run)
+            run = {""}
+        run = {a + b for a in run for b in some or {""}}
+    return [_least(w) for w in [*out, run] if "" not in w]
+
+
+def gate(listed: list[Rule]) -> list[str]:
+    """Strings of which a text that any rule matches holds at least one."""
+    out = set()
+    for r in listed:
+        sets = needs(r.pattern)
+        stems = ({next((s for s in STEMS if s in w), None) for w in words} for words in sets)
+        out |= next((s for s in stems if None not in s), None) or set(max(sets, key=lambda words: min(map(len, words))))
+    return list(_least(out))
+
+
 def words_text(text: Column) -> Column:
     """Words with a blank before each and one at the end; A-Z in lower case, all else as it is."""
     lower = F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -139,21 +191,31 @@ def matches(norm: Column, pattern: Column) -> Column:
     return F.when(F.size(found) > 0, F.aggregate(F.sequence(F.lit(0), F.size(found) - 1), zero, step)["out"]).otherwise(F.array().cast("array<struct<s:int,e:int>>"))
 
 
-def scan(docs: DataFrame) -> DataFrame:
-    """Per row of ``docs``: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score."""
+def scan(docs: DataFrame, *, gated: bool = True) -> DataFrame:
+    """Per row of ``docs``: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score.
+
+    ``gated=False`` tries every rule on every text, with the same result."""
+    listed = rules()
+    stems = gate(listed)
     text = F.coalesce(F.col("text"), F.lit(""))
     lower = F.lower(text)
-    flag = F.lit(False)
-    for stem in STEMS:
-        # a stem of two words may have any gap between them: its first word decides
-        flag = flag | F.contains(lower, F.lit(stem.split()[0]))
-    flag = flag | F.contains(lower, F.lit("cc")) & F.contains(lower, F.lit("by"))
+    # any gap may stand between the words of a stem: its longest word decides
+    flag = F.lit(not gated)
+    for word in _least({max(stem.split(), key=len) for stem in stems}):
+        flag = flag | F.contains(lower, F.lit(word))
     n_words = F.size(F.array_remove(F.split(text, r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"), ""))
     one = docs.select("doc_id", n_words.cast("long").alias("n_words"), F.when(flag, words_text(text)).alias("norm"))
-    listed = rules()
-    table = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(r.label).alias("label"), F.lit(r.keyword).alias("keyword"), F.lit(r.pattern).alias("pattern"), F.lit(r.priority).alias("priority"), F.lit(r.confidence).alias("confidence")) for i, r in enumerate(listed)))
+    # the two most telling sets of a rule; strings that rules share are looked for once
+    best = [sorted(needs(r.pattern), key=lambda w: -min(map(len, w)))[:2] for r in listed]
+    strings = sorted({w for sets in best for words in sets for w in words})
+    place = {w: i for i, w in enumerate(strings)}
+    words = lambda i: F.array(*(F.array(*(F.lit(place[w]) for w in sets)) for sets in best[i]))
+    table = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(r.label).alias("label"), words(i).alias("words"), F.lit(r.pattern).alias("pattern"), F.lit(r.priority).alias("priority"), F.lit(r.confidence).alias("confidence")) for i, r in enumerate(listed)))
     norm = F.col("norm")
-    two = one.withColumn("on", F.when(F.exists(F.array(*map(F.lit, STEMS)), lambda k: F.contains(norm, k)), F.filter(table, lambda r: F.contains(norm, r["keyword"]))))
+    some = F.exists(F.array(*map(F.lit, stems)), lambda k: F.contains(norm, k))
+    held = F.transform(F.array(*map(F.lit, strings)), lambda k: F.contains(norm, k))
+    fits = lambda r: F.forall(r["words"], lambda w: F.exists(w, lambda i: F.get(F.col("held"), i)))
+    two = one.withColumn("held", F.when(some, held)).withColumn("on", F.when(F.col("held").isNotNull(), F.filter(table, fits)) if gated else table)
     hits = F.transform("on", lambda r: F.transform(matches(norm, r["pattern"]), lambda m: F.struct(r["priority"].alias("p"), (m["e"] - m["s"]).alias("len"), (-r["i"]).alias("o"), m["s"].alias("s"), m["e"].alias("e"), r["label"].alias("label"), r["confidence"].alias("confidence"))))
     three = two.withColumn("hits", F.flatten(hits)).select("doc_id", "n_words", "hits")
     is_base = lambda h: h["o"] > -len(BASE)
