@@ -197,7 +197,7 @@ def ratio_tiny(spark, sf):
 def stability(spark, sf):
     """Outlier sets, costs and median counts over five seeds."""
     sets, costs, medians = {}, {}, {}
-    points = events_points(spark, sf, upto=2000)
+    points = events_points(spark, sf)
     for seed in range(5):
         r = mn.mine_outliers(points, Settings(k=3, num=500, runs=1, seed=seed, floor_growth="on_breach"))
         rows = r.tagged.where("kind in ('verdicts', 'phase_log')").select("kind", "median_id", "verdict", "total_cost", "medians_out", "phase").collect()  # one small run

@@ -193,7 +193,7 @@ def stop_audit_all(spark, sf):
 
 @query("runs_compare")
 def runs_compare(spark, sf):
-    r = mn.mine_outliers(events_points(spark, sf, upto=2000), Settings(k=2, num=500, runs=6))
+    r = mn.mine_outliers(events_points(spark, sf), Settings(k=2, num=500, runs=6))
     return r.run_log.groupBy("phase").agg(F.count("*").alias("runs"), F.min("total_cost").alias("least"), F.max("total_cost").alias("most"), F.min("medians").alias("fewest"), F.max("medians").alias("most_medians"))
 
 
@@ -291,7 +291,7 @@ def miner_chunked_events(spark, sf):
 @query("miner_limit_driven")
 def miner_limit_driven(spark, sf):
     s = Settings(k=2, mode="limit_driven", gamma=2, beta=4, runs=2)
-    return mn.mine_outliers(events_points(spark, sf, upto=3000), s).phase_log
+    return mn.mine_outliers(events_points(spark, sf), s).phase_log
 
 
 @query("miner_per_user")
@@ -302,7 +302,7 @@ def miner_per_user(spark, sf):
 
 @query("miner_single_stream")
 def miner_single_stream(spark, sf):
-    return mn.mine_single_stream(events_points(spark, sf, upto=3000), Settings(k=3, num=1000, runs=4)).phase_log
+    return mn.mine_single_stream(events_points(spark, sf), Settings(k=3, num=1000, runs=4)).phase_log
 
 
 PHASES = "with e as (select row_number() over (order by event_id) as ordinal from events) select (ordinal - 1) // 500 + 1 as phase, count(*) as points_in from e group by 1"

@@ -38,3 +38,10 @@ def test_stop_audit_takes_all_events(spark, sf, monkeypatch):
     n = spark.read.parquet(f"{sf}/events.parquet").count()
     sql = core._pass_sql(*PASSES["facility_pass_all"], upto=n).rsplit("\nselect", 1)[0] + " select min(i) from s where service + 2000 * len(locs) > 200000"
     assert by_sql(sf, sql, "events") == [(first,)]
+
+
+@pytest.mark.parametrize("name", ["miner_limit_driven", "miner_single_stream"])
+def test_miners_read_all_events(spark, name):
+    """On sf0.01: its 10,000 events are more than any prefix that was read before."""
+    log = core.Q[name](spark, "/root/testdata/sf0.01").collect()
+    assert sum(r.points_read for r in log) == 10_000
