@@ -28,9 +28,11 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(text, SPACE), "")
 
 
-def measured(docs: DataFrame, at: str = "q") -> DataFrame:
-    """``docs`` and a struct column ``at`` with n_words, word_chars, n_symbols, n_lines,
-    n_dup_lines, n_repeat_words of the whole text."""
+MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words")
+
+
+def measured(docs: DataFrame, at: str = "q", only: tuple[str, ...] = MEASURES) -> DataFrame:
+    """``docs`` and a struct column ``at`` with measures (``only`` these) of the whole text."""
     text = F.coalesce("text", F.lit(""))
     one = docs.withColumn(f"{at}_words", words_of(text))
     w = F.col(f"{at}_words")
@@ -48,14 +50,15 @@ def measured(docs: DataFrame, at: str = "q") -> DataFrame:
     p = F.col(f"{at}_starts")
     covered = F.aggregate(F.transform(p, lambda x, j: F.least(F.lit(3), F.coalesce(F.get(p, j + 1), x + 3) - x)), F.lit(0), lambda a, b: a + b)
     n_lines = F.size(f"{at}_lines")
-    q = F.struct(
-        F.col(f"{at}_n").cast("long").alias("n_words"),
-        F.length(F.regexp_replace(text, SPACE, "")).cast("long").alias("word_chars"),
-        F.length(F.regexp_replace(text, NO_SYMBOL, "")).cast("long").alias("n_symbols"),
-        n_lines.cast("long").alias("n_lines"),
-        (n_lines - F.size(F.array_distinct(f"{at}_lines"))).cast("long").alias("n_dup_lines"),
-        F.coalesce(covered, F.lit(0)).cast("long").alias("n_repeat_words"),
-    )
+    each = {
+        "n_words": F.col(f"{at}_n"),
+        "word_chars": F.length(F.regexp_replace(text, SPACE, "")),
+        "n_symbols": F.length(F.regexp_replace(text, NO_SYMBOL, "")),
+        "n_lines": n_lines,
+        "n_dup_lines": n_lines - F.size(F.array_distinct(f"{at}_lines")),
+        "n_repeat_words": F.coalesce(covered, F.lit(0)),
+    }
+    q = F.struct(*(each[m].cast("long").alias(m) for m in only))
     return four.select(*(F.col(f"`{c}`") for c in docs.columns), q.alias(at))
 
 
@@ -69,10 +72,15 @@ def failures(q: str) -> dict[str, Column]:
     }
 
 
-def host_verdicts(measures: DataFrame, host: str, q: str, host_limit: float) -> DataFrame:
-    """(host, n_docs, rate of each rule, host_rejected): one row per host."""
+def host_counts(measures: DataFrame, host: str, q: str) -> DataFrame:
+    """(host, n, failures of each rule), written once: one row per host."""
     fails = failures(q)
     hosts = measures.groupBy(F.col(host).alias("host")).agg(F.count("*").alias("n"), *(F.sum(F.when(fails[r], 1).otherwise(0)).alias(r) for r in RULES))
+    return stored(hosts, "hosts")
+
+
+def host_verdicts(hosts: DataFrame, host_limit: float) -> DataFrame:
+    """(host, n, rate of each rule, host_rejected) from the counts of ``host_counts``."""
     total = hosts.agg(F.sum("n").alias("all_n"), F.count("*").alias("hosts"), *(F.sum(r).alias(f"all_{r}") for r in RULES))
     hosts = hosts.join(F.broadcast(total))  # one row
     mean = {r: F.col(f"all_{r}") / F.col("all_n") for r in RULES}
@@ -90,11 +98,13 @@ def host_verdicts(measures: DataFrame, host: str, q: str, host_limit: float) ->
     return out.withColumn("host_rejected", F.greatest(*(F.col(f"rate_{r}") for r in RULES)) > host_limit)
 
 
-def _joined(measures: DataFrame, host: str, q: str, host_limit: float) -> DataFrame:
-    verdicts = stored(host_verdicts(measures, host, q, host_limit).select(F.col("host").alias("q_host"), F.col("host_rejected").alias("q_rejected"), F.greatest(*(F.col(f"rate_{r}") for r in RULES)).alias("q_rate")), "hosts")
-    if verdicts.count() <= BROADCAST_HOSTS:
-        verdicts = F.broadcast(verdicts)
-    return measures.join(verdicts, F.col(host).eqNullSafe(F.col("q_host")), "left")
+def _rejected(hosts: DataFrame, host_limit: float) -> DataFrame:
+    """(q_host) of the rejected hosts; broadcast behind a check of their number."""
+    out = stored(host_verdicts(hosts, host_limit).where("host_rejected").select(F.col("host").alias("q_host"), F.lit(True).alias("q_rejected")), "rejected")
+    return F.broadcast(out) if out.count() <= BROADCAST_HOSTS else out
+
+
+BASE_MEASURES = ("n_words", "n_repeat_words")
 
 
 def base_failed(q: str) -> Column:
@@ -103,21 +113,24 @@ def base_failed(q: str) -> Column:
 
 
 def judge(docs: DataFrame, *, host: str = "source", host_limit: float = 0.5) -> DataFrame:
-    """Per row of ``docs``: doc_id, measures, base_failed, kept, host_rate (its largest shrunk rate)."""
+    """Per row of ``docs``: doc_id, measures, base_failed, kept."""
     measures = stored(measured(docs.select("doc_id", F.col(host).alias("host"), "text")).select("doc_id", "host", "q"), "measures")
-    out = _joined(measures, "host", "q", host_limit)
+    out = measures.join(_rejected(host_counts(measures, "host", "q"), host_limit), F.col("host").eqNullSafe(F.col("q_host")), "left")
     failed = base_failed("q")
-    return out.select("doc_id", "q.n_words", "q.word_chars", "q.n_symbols", "q.n_dup_lines", "q.n_repeat_words", failed.alias("base_failed"), (~failed & ~F.col("q_rejected")).alias("kept"))
+    return out.select("doc_id", "q.n_words", "q.word_chars", "q.n_symbols", "q.n_dup_lines", "q.n_repeat_words", failed.alias("base_failed"), (~failed & F.col("q_rejected").isNull()).alias("kept"))
 
 
 def keep_good(docs: DataFrame, *, host: str = "source", host_limit: float = 0.5) -> DataFrame:
-    """``docs`` without the documents that the rules or their host's verdict reject."""
+    """``docs`` without the documents that the rules or their host's verdict reject.
+
+    Texts are measured twice, for the hosts and for the verdicts, so that none is written or moved."""
     at = "q"
     while any(c.startswith(at) for c in docs.columns):
         at += "q"
-    full = stored(measured(docs, at), "measured")
-    out = _joined(full, host, at, host_limit).where(~base_failed(at) & ~F.col("q_rejected"))
-    return out.select(*(F.col(f"`{c}`") for c in docs.columns))
+    rejected = _rejected(host_counts(measured(docs.select(F.col(host).alias("host"), "text")), "host", "q"), host_limit)
+    # the row number keeps the measures from being written out anew inside the filter
+    full = measured(docs, at, BASE_MEASURES).withColumn(f"{at}_row", F.monotonically_increasing_id()).where(~base_failed(at) & (F.col(f"{at}_row") >= 0))
+    return full.join(rejected, F.col(f"`{host}`").eqNullSafe(F.col("q_host")), "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 ORACLE = """

@@ -4,21 +4,26 @@ Sizes are numbers of words.  Each source's documents are put in a fixed shuffled
 end to end; the row of words is cut into blocks of equally many tokens.  Slots i = 0, 1, ... of
 the schedule map the golden-ratio points frac(i * 0.618...) through the sources' cumulative
 shares, slots are ranked per source, and the slot of rank r takes block r modulo the source's
-number of blocks.  Every stretch of the schedule thus holds the sources in their target shares.
+number of blocks.  Every stretch of the schedule thus holds the sources in their target shares,
+and the mix is read in the order of its slots: ``mixed_words`` tells each document's first slot,
+``mixed_documents`` puts the documents out in that order.
 The last slot of a source is cut and the few slots that chance leaves short are appended, so
 that each source ends on its target.
 
 Nothing is ranked or summed in one task per source: order keys are split into ranges, summed
-per range, and the sums are carried over (the same is done for slots).
+per range, and the sums are carried over in two levels (the same is done for slots).  Only the
+table of sources, one row each, is ordered in one task.
 
 Defined results: null texts and texts without words have size 0 and are never taken; the null
-source comes last; rows that repeat an id are separate documents; an empty table gives an empty
-table; extra columns are ignored.
+source comes last; rows that repeat an id are separate documents, equal rows follow each other;
+an empty table gives an empty table; extra columns are ignored, and pass through in
+``mixed_documents``.
 """
 
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
@@ -33,16 +38,37 @@ MOST_TIMES = 3
 RING = 1 << 31
 GOLDEN = 1327217885
 CELLS = 4096
+#: Broadcast bounds (rows of some numbers each), and the places of a partition of the mix.
+MOST_SOURCES, MOST_PLACES, PART_PLACES = 100_000, 1_000_000, 50_000
 
 
 def word_count(text):
     return F.size(F.array_remove(F.split(F.coalesce(text, F.lit("")), r"[\x20\x09-\x0D]+"), "")).cast("long")
 
 
-def sized(docs: DataFrame, seed: str = "mix") -> DataFrame:
-    """(uid, doc_id, source, size, key, cell) of each row; ``key`` is its place in the shuffle."""
-    key = F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit("|" + seed)).cast("binary"))
-    return docs.select("uid", "doc_id", "source", word_count(F.col("text")).alias("size"), key.alias("key"))
+def order_key(seed: str = "mix"):
+    return F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit("|" + seed)).cast("binary"))
+
+
+def identity() -> list:
+    """Rows of equal identity are alike for the mix."""
+    return [F.col("doc_id"), F.col("source"), F.xxhash64("text").alias("t1"), F.xxhash64(F.lit("again"), "text").alias("t2")]
+
+
+def sized(docs: DataFrame) -> DataFrame:
+    """(doc_id, source, t1, t2, size, m): size, and how many rows are alike."""
+    rows = docs.select(*identity(), word_count(F.col("text")).alias("size"))
+    return rows.groupBy("doc_id", "source", "t1", "t2").agg(F.first("size").alias("size"), F.count("*").alias("m"))
+
+
+def carried(df: DataFrame, by: str, at: str, value, fan: int = 4096) -> DataFrame:
+    """(by, at, before): the sum of ``value`` over all smaller ``at`` of the same ``by``, carried
+    within groups of ``fan`` and between them."""
+    each = df.groupBy(by, at).agg(F.sum(value).alias("s")).withColumn("high", F.floor(F.col(at) / fan))
+    before = lambda *keys: F.coalesce(F.sum("s").over(W.partitionBy(*keys[:-1]).orderBy(keys[-1]).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    high = each.groupBy(by, "high").agg(F.sum("s").alias("s")).select(by, "high", before(by, "high").alias("start"))
+    low = each.select(by, at, "high", before(by, "high", at).alias("inside"))
+    return low.join(high, [by, "high"]).select(by, at, (F.col("start") + F.col("inside")).alias("before"))
 
 
 def source_targets(sizes: DataFrame, share: float = 1.0) -> DataFrame:
@@ -76,19 +102,18 @@ def _blocks(targets: DataFrame, block_tokens: int) -> DataFrame:
 
 
 def schedule(plan: DataFrame) -> DataFrame:
-    """(slot, place, rank, block_no, tokens_from_rest): which block of which source each slot takes."""
+    """(slot, place, rank, block_no, is_last): which block of which source each slot takes."""
     spark = plan.sparkSession
     n = plan.agg(F.sum("slots")).head()[0] or 0
     upto = F.sum("slots").over(W.orderBy("place"))
-    edge = lambda c: F.floor(c * RING / F.lit(max(n, 1))).cast("long")
+    edge = lambda c: F.floor(c.cast("double") / F.lit(float(max(n, 1))) * RING).cast("long")
     shares = plan.withColumn("lo", edge(upto - F.col("slots"))).withColumn("hi", edge(upto)).where("hi > lo")
     step = RING // CELLS
     shares = shares.select("place", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") / step), F.floor((F.col("hi") - 1) / step))).alias("cell"))
     points = spark.range(n).select(F.col("id").alias("slot"), (F.col("id") % RING * GOLDEN % RING).alias("u")).withColumn("cell", F.floor(F.col("u") / step))
     slots = points.join(shares, "cell").where("u >= lo and u < hi").select("slot", "place", F.floor(F.col("slot") / CELLS).alias("stretch"))
-    carried = W.partitionBy("place").orderBy("stretch").rowsBetween(W.unboundedPreceding, -1)
-    before = slots.groupBy("place", "stretch").agg(F.count("*").alias("c")).withColumn("before", F.coalesce(F.sum("c").over(carried), F.lit(0))).drop("c")
-    ranked = slots.join(before, ["place", "stretch"]).withColumn("rank", F.col("before") + F.row_number().over(W.partitionBy("place", "stretch").orderBy("slot")) - 1)
+    ranked = slots.join(carried(slots, "place", "stretch", F.lit(1)), ["place", "stretch"])
+    ranked = ranked.withColumn("rank", F.col("before") + F.row_number().over(W.partitionBy("place", "stretch").orderBy("slot")) - 1)
     ranked = ranked.select("slot", "place", "rank").join(plan.select("place", "slots", "blocks"), "place").where("rank < slots")
     had = ranked.groupBy("place").agg(F.count("*").alias("had"))
     short = plan.join(had, "place", "left").withColumn("had", F.coalesce("had", F.lit(0))).where("had < slots")
@@ -96,76 +121,124 @@ def schedule(plan: DataFrame) -> DataFrame:
     return ranked.select("slot", "place", "rank", "slots", "blocks").union(short).select("slot", "place", "rank", (F.col("rank") % F.col("blocks")).alias("block_no"), (F.col("rank") == F.col("slots") - 1).alias("is_last"))
 
 
-def mix(sizes: DataFrame, *, block_tokens: int = 1024, share: float = 1.0, range_rows: int = 2000) -> tuple[DataFrame, DataFrame]:
-    """(taken per row, plan per source).  The first has uid, doc_id, place, size, source_size,
-    target, taken, and copies: how many passes take the document's first word."""
-    sizes = stored(sizes, "sizes")
-    targets = stored(source_targets(sizes, share), "targets")
+def mix(docs: DataFrame, *, block_tokens: int = 1024, share: float = 1.0, range_rows: int = 500) -> DataFrame:
+    """Per row of ``docs``: doc_id, source, t1, t2, m, copy (its number among the m rows alike), size,
+    source_size, target, taken, first_slot (of any of its words), and starts: the slots that take its
+    first word."""
+    sizes = stored(sized(docs).withColumn("key", order_key()), "sizes")
+    targets = stored(source_targets(sizes.select("source", (F.col("size") * F.col("m")).alias("size")), share), "targets")
     plan = stored(_blocks(targets, block_tokens), "plan")
+    few = plan.count() <= MOST_SOURCES
+    small = F.broadcast if few else (lambda df: df)
     ranges = max(1, math.ceil(sizes.count() / range_rows))
     value = F.conv(F.substring("key", 1, 8), 16, 10).cast("long")
-    placed = sizes.join(F.broadcast(targets) if targets.count() <= 100_000 else targets, sizes.source.eqNullSafe(targets.source)).drop(targets.source)
-    placed = placed.withColumn("part", F.floor(value * ranges / F.lit(float(1 << 32))).cast("long"))
-    carried = W.partitionBy("place").orderBy("part").rowsBetween(W.unboundedPreceding, -1)
-    before = placed.groupBy("place", "part").agg(F.sum("size").alias("s")).withColumn("before", F.coalesce(F.sum("s").over(carried), F.lit(0))).drop("s")
-    within = W.partitionBy("place", "part").orderBy("key", "size", "uid").rowsBetween(W.unboundedPreceding, 0)
-    placed = placed.join(before, ["place", "part"]).withColumn("start", F.col("before") + F.sum("size").over(within) - F.col("size"))
-    placed = stored(placed.select("uid", "doc_id", "source", "place", "size", "source_size", "target", "start"), "placed")
-
-    used = schedule(plan).groupBy("place", "block_no").agg(F.count(F.when(~F.col("is_last"), 1)).alias("times"), F.max("is_last").alias("is_last"))
-    facts = plan.select("place", "block", "blocks", "rest", "source_size")
-    facts = F.broadcast(facts) if plan.count() <= 100_000 else facts
+    placed = sizes.join(small(targets), sizes.source.eqNullSafe(targets.source)).drop(targets.source)
+    placed = placed.withColumn("part", F.floor(value * F.lit(float(ranges)) / F.lit(float(1 << 32))).cast("long")).withColumn("all", F.col("size") * F.col("m"))
+    within = W.partitionBy("place", "part").orderBy("key", "size", "t1", "t2").rowsBetween(W.unboundedPreceding, 0)
+    placed = placed.join(carried(placed, "place", "part", "all"), ["place", "part"]).withColumn("start", F.col("before") + F.sum("all").over(within) - F.col("all"))
+    placed = placed.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("m").cast("int")))).withColumn("start", F.col("start") + (F.col("copy") - 1) * F.col("size"))
+    row = ["doc_id", "source", "t1", "t2", "copy"]
+    placed = stored(placed.select(*row, "m", "place", "size", "source_size", "target", "start"), "placed")
+
+    # the slots of each block: of whole ones, and the last one of a source
+    slot, last = F.when(~F.col("is_last"), F.col("slot")), F.when(F.col("is_last"), F.col("slot"))
+    used = schedule(plan).groupBy("place", "block_no").agg(F.sort_array(F.collect_list(slot)).alias("whole"), F.max(last).alias("last"))  # MOST_TIMES + 1 slots at most
+    facts = plan.select("place", "block", "rest", "source_size")
     # the last slot of a source that does not end a pass takes only what the target still needs
-    used = used.join(facts, "place").withColumn("from", F.col("block_no") * F.col("block"))
+    used = used.join(small(facts), "place").withColumn("from", F.col("block_no") * F.col("block"))
     used = used.withColumn("to", F.least(F.col("from") + F.col("block"), "source_size"))
-    used = used.withColumn("cut", F.when(F.col("is_last"), F.when(F.col("rest") > 0, F.col("rest")).otherwise(F.col("source_size"))).otherwise(F.col("from")))
-    used = used.select("place", "block_no", "times", "from", "to", F.least("cut", "to").alias("cut"))
-    some = placed.where("size > 0").select("uid", "place", "start", (F.col("start") + F.col("size")).alias("end")).join(facts.select("place", "block") if plan.count() > 100_000 else F.broadcast(plan.select("place", "block")), "place")
+    cut = F.when(F.col("last").isNull(), F.col("from")).when(F.col("rest") > 0, F.least("rest", "to")).otherwise(F.col("to"))
+    used = used.select("place", "block_no", "whole", "last", "from", "to", cut.alias("cut"))
+    some = placed.where("size > 0").select(*row, "place", "start", (F.col("start") + F.col("size")).alias("end")).join(small(plan.select("place", "block")), "place")
     pieces = some.withColumn("block_no", F.explode(F.sequence(F.floor(F.col("start") / F.col("block")), F.floor((F.col("end") - 1) / F.col("block")))))
     hit = pieces.join(used, ["place", "block_no"])
-    lo, full, cut = F.greatest("start", "from"), F.least("end", "to"), F.least("end", "cut")
-    last = F.greatest(F.lit(0), cut - lo)
-    taken = hit.withColumn("got", F.col("times") * (full - lo) + last)
-    starts = F.when((F.col("start") >= F.col("from")) & (F.col("start") < F.col("to")), F.col("times") + F.when(F.col("start") < F.col("cut"), 1).otherwise(0)).otherwise(0)
-    taken = taken.withColumn("first", starts).groupBy("uid").agg(F.sum("got").alias("taken"), F.sum("first").alias("copies"))
-    out = placed.join(taken, "uid", "left").select("uid", "doc_id", "place", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"), F.coalesce("copies", F.lit(0)).alias("copies"))
-    return out, plan
+    lo = F.greatest("start", "from")
+    got = F.size("whole") * (F.least("end", "to") - lo) + F.greatest(F.lit(0), F.least("end", "cut") - lo)
+    cut_too = F.when(F.least("end", "cut") > lo, F.col("last"))
+    first = F.least(F.array_min("whole"), cut_too)
+    begins = F.array_compact(F.concat("whole", F.array(F.when(F.col("start") < F.col("cut"), F.col("last")))))
+    starts = F.when((F.col("start") >= F.col("from")) & (F.col("start") < F.col("to")), begins)
+    taken = hit.select(*(F.col(c).alias(f"{c}_") for c in row), got.alias("got"), first.alias("first"), starts.alias("starts"))
+    taken = taken.groupBy(*(f"{c}_" for c in row)).agg(F.sum("got").alias("taken"), F.min("first").alias("first_slot"), F.first("starts", ignorenulls=True).alias("starts"))
+    same = [F.col(c).eqNullSafe(F.col(f"{c}_")) for c in row]
+    out = placed.join(taken, reduce(lambda a, b: a & b, same), "left")
+    return out.select(*row, "m", "size", "source_size", "target", "start", F.coalesce("taken", F.lit(0)).alias("taken"), "first_slot", "starts")
 
 
 def mixed_words(docs: DataFrame, **settings) -> DataFrame:
-    """Per row of ``docs``: doc_id, size, source_size, target, taken."""
-    out, _ = mix(sized(docs.select("doc_id", "source", "text").withColumn("uid", F.monotonically_increasing_id())), **settings)
-    return out.select("doc_id", "size", "source_size", "target", "taken")
+    """Per row of ``docs``: doc_id, size, source_size, target, taken, first_slot (null if not taken)."""
+    return mix(docs.select("doc_id", "source", "text"), **settings).select("doc_id", "size", "source_size", "target", "taken", "first_slot")
 
 
 def mixed_documents(docs: DataFrame, **settings) -> DataFrame:
-    """The mix as whole documents: each as often as passes take its first word."""
-    numbered = stored(docs.withColumn("uid", F.monotonically_increasing_id()), "numbered")
-    out, _ = mix(sized(numbered), **settings)
-    picked = numbered.join(out.where("copies > 0").select("uid", "copies"), "uid")
-    return picked.withColumn("uid", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*docs.columns)
-
-
-ORACLE = """
+    """The mix as whole documents, in the order of the schedule: each stands at every slot that takes its
+    first word.  Written files follow each other in that order."""
+    spark = docs.sparkSession
+    out = mix(docs.select("doc_id", "source", "text"), **settings)
+    names = {c: f"mix_{c}" for c in ("doc_id", "source", "t1", "t2", "copy", "m", "start", "slot")}
+    while set(names.values()) & set(docs.columns):
+        names = {c: n + "_" for c, n in names.items()}
+    places = stored(out.select("doc_id", "source", "t1", "t2", "copy", "m", "start", F.explode("starts").alias("slot")).toDF(*names.values()), "places")
+    n, most, last = places.agg(F.count("*"), F.max(names["m"]), F.max(names["slot"])).head()
+    if not n:
+        return docs.where("false")
+    at = {c: F.col(f"`{x}`") for c, x in names.items()}
+    ids = dict(zip(("doc_id", "source", "t1", "t2"), identity(), strict=True))
+    same = reduce(lambda a, b: a & b, (e.eqNullSafe(at[c]) for c, e in ids.items()))
+    picked = docs.join(F.broadcast(places) if n <= MOST_PLACES else places, same)
+    if most > 1:  # rows alike are told apart by a number
+        number = F.row_number().over(W.partitionBy(*ids.values()).orderBy(F.lit(0)))
+        numbered = docs.join(F.broadcast(places) if n <= MOST_PLACES else places, same & (at["m"] > 1), "left_semi").withColumn(f"{names['copy']}n", number)
+        twins = numbered.join(places, same & (F.col(f"`{names['copy']}n`") == at["copy"])).drop(f"{names['copy']}n")
+        picked = picked.where(at["m"] == 1).unionByName(twins)
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(n / PART_PLACES))
+    part = F.floor(at["slot"] * F.lit(float(parts)) / F.lit(float(last + 1))).cast("int")
+    return picked.repartitionById(parts, part).sortWithinPartitions(at["slot"], at["start"]).select(*(F.col(f"`{c}`") for c in docs.columns))
+
+
+#: The schedule and the mix again: slots from golden-ratio points, ranks, blocks, and the words of
+#: each document that they take.
+ORACLE = f"""
 with d as (
-  select doc_id, source, len(list_filter(string_split_regex(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> ''))::bigint as size,
+  select row_number() over () as uid, doc_id, source, len(list_filter(string_split_regex(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> ''))::bigint as size,
          md5(coalesce(doc_id::varchar, '') || '|mix') as key from documents
 ), s as (
   select source, sum(size)::bigint as source_size, row_number() over (order by source nulls last) - 1 as place from d group by source
 ), w as (
-  select *, [5, 2, 1][place % 3 + 1] as weight, 3 * source_size as cap from s
+  select *, [5, 2, 1][place % 3 + 1] as weight, {MOST_TIMES} * source_size as cap from s
 ), l as (
   select *, (sum(source_size) over () - (sum(cap) over f - cap)) / (sum(weight) over () - (sum(weight) over f - weight)) as level
   from w window f as (order by cap / weight, place)
 ), t as (
-  select source, source_size, least(weight * coalesce(max(case when level * weight <= cap then level end) over (), 'infinity'::double), cap::double) as target from l
-), g as (
-  select *, least(round(target)::bigint, 3 * source_size) as goal from t
+  select source, place, source_size, least(weight * coalesce(max(case when level * weight <= cap then level end) over (), 'infinity'::double), cap::double) as target from l
+), b as (
+  select *, least(round(target)::bigint, {MOST_TIMES} * source_size) as goal from t
+), c as (
+  select *, greatest(1, least(1024, goal // 64)) as block from b where source_size > 0
 ), p as (
-  select d.*, g.source_size, g.target, g.goal, sum(size) over (partition by d.source order by key, size rows unbounded preceding) - size as start
-  from d join g on d.source is not distinct from g.source
+  select *, (source_size + block - 1) // block as blocks, goal // source_size as passes, goal % source_size as rest from c
+), q as (
+  select *, passes * blocks + (rest + block - 1) // block as slots from p
+), h as (
+  select *, floor((sum(slots) over o - slots)::double / sum(slots) over () * {RING})::bigint as lo, floor((sum(slots) over o)::double / sum(slots) over () * {RING})::bigint as hi
+  from q window o as (order by place)
+), i as (
+  select unnest(range(0, (select coalesce(sum(slots), 0)::bigint from q))) as slot
+), r as (
+  select slot, place, row_number() over (partition by place order by slot) - 1 as rank from i join h on slot % {RING} * {GOLDEN} % {RING} >= lo and slot % {RING} * {GOLDEN} % {RING} < hi
+), g as (
+  select r.* from r join q using (place) where rank < slots
+  union all
+  select (select sum(slots)::bigint from q), place, unnest(range(coalesce(had, 0), slots)) from q left join (select place, count(*) as had from r group by place) using (place)
+), u as (
+  select slot, place, rank % blocks * block as "from", case when rank = slots - 1 and rest > 0 then least(rest, rank % blocks * block + block, source_size) else least(rank % blocks * block + block, source_size) end as "to"
+  from g join q using (place)
+), e as (
+  select d.uid, d.doc_id, size, source_size, target, place, sum(size) over (partition by d.source order by key, size, uid rows unbounded preceding) as stop
+  from d join t on d.source is not distinct from t.source
+), x as (
+  select uid, sum(least(stop, "to") - greatest(stop - size, "from"))::bigint as taken, min(slot) as first_slot
+  from e join u on e.place = u.place and "from" < stop and "to" > stop - size where size > 0 group by uid
 )
-select doc_id, size, source_size, target,
-  (case when source_size = 0 then 0 else goal // source_size * size + greatest(0, least(start + size, goal % source_size) - start) end)::bigint as taken
-from p
+select doc_id, size, source_size, target, coalesce(taken, 0) as taken, first_slot::bigint as first_slot from e left join x using (uid)
 """

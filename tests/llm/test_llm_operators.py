@@ -195,6 +195,40 @@ def test_mix(docs):
     assert sorted(map(tuple, rows)) == sorted(map(tuple, again))
 
 
+def sql_rows(df, table, sql, folder):
+    import duckdb
+
+    df.coalesce(1).write.parquet(f"{folder}/{table}")
+    con = duckdb.connect()
+    con.execute(f"create view {table} as select * from read_parquet('{folder}/{table}/*.parquet')")
+    return con.execute(sql).fetchall()
+
+
+def test_the_schedule_decides_the_mix(spark, docs, awkward, tmp_path, monkeypatch):
+    cols = "doc_id, size, source_size, target, taken, first_slot"
+    for i, df in enumerate((docs, awkward)):
+        want = sql_rows(df, "documents", f"select {cols} from ({mixing.ORACLE})", tmp_path / str(i))
+        got = [tuple(r) for r in mixing.mixed_words(df).collect()]
+        assert collections.Counter(got) == collections.Counter(want)
+        first = first if i else got
+    slots = [r.mix_slot for r in mixing.mixed_documents(docs.withColumn("mix_slot", F.lit(0))).collect()]
+    assert set(slots) == {0}  # an extra column of that name passes through
+    places = mixing.mix(docs.select("doc_id", "source", "text")).select("doc_id", "start", F.explode("starts").alias("slot")).orderBy("slot", "start")
+    order = [r.doc_id for r in mixing.mixed_documents(docs).collect()]
+    assert order == [r.doc_id for r in places.collect()]
+    monkeypatch.setattr(mixing, "GOLDEN", 1)  # points in plain order: other slots
+    assert collections.Counter(tuple(r) for r in mixing.mixed_words(docs).collect()) != collections.Counter(first)
+
+
+def test_rows_alike_are_mixed_one_by_one(spark):
+    text = "a b c d e f g h"
+    rows = [(1, text, "en", "s", 0, i) for i in range(3)] + [(2, text, "en", "t", 0, 9), (None, text, "en", None, 0, 8)]
+    df = spark.createDataFrame(rows, DOCS + ", x int")
+    words_taken = sum(r.taken for r in mixing.mixed_words(df).collect())
+    out = mixing.mixed_documents(df).collect()
+    assert words_taken == 40 and max(collections.Counter((r.doc_id, r.x) for r in out).values()) <= 3
+
+
 def test_schedule_keeps_shares_in_every_stretch(spark):
     plan = spark.createDataFrame([(0, 500, 100), (1, 300, 100), (2, 200, 50)], "place int, slots long, blocks long")
     rows = mixing.schedule(plan).where("slot < 100").groupBy("place").count().collect()
