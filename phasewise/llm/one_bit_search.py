@@ -7,12 +7,14 @@ error is at most ``width`` * sqrt((1 - a^2) / a^2 / (d - 1)) but for a chance th
 ``width``.  Vectors whose upper bound reaches the k-th best cosine found so far are measured
 exactly, so the answers are exact cosines and a true neighbour is missed only beyond the bound.
 
-Rows are packed into blocks of bounded size; every block of queries meets every block of rows
-and passes on the k best of each query, which a window then merges.
+Rows are packed into blocks of bounded size, which are written once.  Queries are broadcast in
+batches of bounded bytes; every task walks its blocks of rows and keeps the k best of each query,
+which prune its further blocks.  The tasks' results meet in a window per query.
 
 Defined results: null, zero or non-finite vectors and rows without an id take no part; rows
 that repeat an id count once (the smallest vector); vectors of different lengths are not
-compared; ties go to the smaller id; extra columns are ignored; an empty table gives no rows.
+compared; ties go to the smaller id; components of any finite size count (vectors are scaled by a
+power of two, which changes no cosine); extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -28,7 +30,13 @@ from pyspark.sql import functions as F
 
 from .store import stored
 
-ROWS, QUERIES = 4096, 1024
+#: Rows of a block, and bytes of the query vectors that are broadcast at a time.
+ROWS, BATCH_BYTES = 4096, 32 << 20
+
+
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Rows divided by the power of two next to their largest component: squares cannot overflow."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(1, initial=0.0))[1][:, None])
 
 
 def rotation(d: int, seed: int = 20) -> np.ndarray:
@@ -56,55 +64,74 @@ def exact_cosine(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return dot / (np.sqrt(a) * np.sqrt(b))
 
 
-def nearest(ids: np.ndarray, x: np.ndarray, bits: np.ndarray, a: np.ndarray, query_ids: np.ndarray, q: np.ndarray, k: int, width: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query rows, ids, cosines): the k best of each query among the coded rows."""
-    d = x.shape[1]
-    signs = np.unpackbits(bits, axis=1, count=d).astype(np.float32) * np.float32(2 / math.sqrt(d)) - np.float32(1 / math.sqrt(d))
-    turned = (q / np.sqrt((q * q).sum(1, keepdims=True))) @ rotation(d)
-    inner = signs @ turned.astype(np.float32).T
-    a = a.astype(np.float32)
-    estimate = inner / a[:, None]
-    slack = (width * np.sqrt(np.maximum(1 - a * a, 0) / (a * a) / max(d - 1, 1)) + 1e-5)[:, None]
-    estimate[np.equal.outer(ids, query_ids)] = -np.inf
-    upper = estimate + slack
-    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-    for j in range(len(q)):
-        others = len(ids) - int(np.isneginf(estimate[:, j]).sum())
-        if not others:
-            continue
-        few = min(k, others)
-        first = np.argpartition(-estimate[:, j], few - 1)[:few]
-        least = exact_cosine(x[first], np.broadcast_to(q[j], (few, d))).min()
-        chosen = np.flatnonzero(upper[:, j] >= least - 1e-12)
-        score = exact_cosine(x[chosen], np.broadcast_to(q[j], (len(chosen), d)))
-        best = np.lexsort((ids[chosen], -score))[:k]
-        out.append((np.full(len(best), j), ids[chosen][best], score[best]))
-    if not out:
-        return np.zeros(0, int), np.zeros(0, np.int64), np.zeros(0)
-    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
-
-
-def _pack(coded: bool):
-    def run(table: pa.Table) -> pa.Table:
-        ids = table.column("vec_id").to_numpy()
-        x = np.array(table.column("v").to_pylist(), dtype=np.float64).reshape(len(ids), -1)
-        order = np.argsort(ids)
-        ids, x = ids[order], x[order]
-        bits, a = encode(x) if coded else (np.zeros((0, 0), np.uint8), np.zeros(0))
-        cells = [[x.shape[1]], [ids.tobytes()], [x.tobytes()], [bits.tobytes()], [a.tobytes()]]
-        return pa.table([pa.array(cells[0], pa.int32())] + [pa.array(c, pa.binary()) for c in cells[1:]], names=["d", "ids", "x", "bits", "a"])
-
-    return run
-
-
-def _meet(k: int, width: float):
+class Nearest:
+    """The k best rows of each query among the coded blocks that it has met."""
+
+    def __init__(self, query_ids: np.ndarray, q: np.ndarray, k: int, width: float):
+        self.ids, self.q, self.k, self.width = query_ids, q, k, width
+        self.turned = ((q / np.sqrt((q * q).sum(1, keepdims=True))) @ rotation(q.shape[1])).astype(np.float32)
+        self.found = [(np.zeros(0, np.int64), np.zeros(0)) for _ in query_ids]
+
+    def meet(self, ids: np.ndarray, x: np.ndarray, bits: np.ndarray, a: np.ndarray) -> None:
+        d, k = x.shape[1], self.k
+        signs = np.unpackbits(bits, axis=1, count=d).astype(np.float32) * np.float32(2 / math.sqrt(d)) - np.float32(1 / math.sqrt(d))
+        a = a.astype(np.float32)
+        slack = self.width * np.sqrt(np.maximum(1 - a * a, 0) / (a * a) / max(d - 1, 1)) + np.float32(1e-5)
+        estimates = (self.turned @ signs.T) / a
+        estimates[np.equal.outer(self.ids, ids)] = -np.inf
+        for j, estimate in enumerate(estimates):
+            held, best = self.found[j]
+            upper = estimate + slack
+            if len(best) == k and upper.max() < best[-1] - 1e-12:
+                continue
+            others = len(ids) - int(np.isneginf(estimate).sum())
+            if not others:
+                continue
+            least = best[-1] if len(best) == k else -np.inf
+            if others >= k:
+                first = np.argpartition(-estimate, k - 1)[:k]
+                least = max(least, exact_cosine(x[first], np.broadcast_to(self.q[j], (k, d))).min())
+            chosen = np.flatnonzero((upper >= least - 1e-12) & ~np.isneginf(estimate))
+            score = np.concatenate([best, exact_cosine(x[chosen], np.broadcast_to(self.q[j], (len(chosen), d)))])
+            held = np.concatenate([held, ids[chosen]])
+            order = np.lexsort((held, -score))[:k]
+            self.found[j] = held[order], score[order]
+
+    def table(self) -> pa.RecordBatch:
+        n = [len(held) for held, _ in self.found]
+        columns = np.repeat(self.ids, n), np.concatenate([h for h, _ in self.found]), np.concatenate([s for _, s in self.found])
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["query_id", "vec_id", "score"])
+
+
+def _vectors(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """(ids in order, scaled vectors) of vectors of one length."""
+    ids = table.column("vec_id").to_numpy()
+    x = table.column("v").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+    order = np.argsort(ids)
+    return ids[order], scaled(x[order])
+
+
+def _pack(table: pa.Table) -> pa.Table:
+    ids, x = _vectors(table)
+    bits, a = encode(x)
+    cells = [ids.tobytes()], [x.tobytes()], [bits.tobytes()], [a.tobytes()]
+    return pa.table([pa.array([x.shape[1]], pa.int32())] + [pa.array(c, pa.binary()) for c in cells], names=["d", "ids", "x", "bits", "a"])
+
+
+def _meet(queries, k: int, width: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        by_size: dict[int, Nearest] = {}
         for batch in batches:
             for i in range(batch.num_rows):
-                d, ids, x, bits, a, q_ids, q = (c[i].as_py() for c in batch.columns)
-                ids, q_ids = np.frombuffer(ids, np.int64), np.frombuffer(q_ids, np.int64)
-                j, found, score = nearest(ids, np.frombuffer(x).reshape(-1, d), np.frombuffer(bits, np.uint8).reshape(len(ids), -1), np.frombuffer(a), q_ids, np.frombuffer(q).reshape(-1, d), k, width)
-                yield pa.RecordBatch.from_arrays([pa.array(q_ids[j]), pa.array(found), pa.array(score)], ["query_id", "vec_id", "score"])
+                d, ids, x, bits, a = (c[i].as_py() for c in batch.columns)
+                if d not in queries.value:
+                    continue
+                if d not in by_size:
+                    by_size[d] = Nearest(*queries.value[d], k, width)
+                ids = np.frombuffer(ids, np.int64)
+                by_size[d].meet(ids, np.frombuffer(x).reshape(-1, d), np.frombuffer(bits, np.uint8).reshape(len(ids), -1), np.frombuffer(a))
+        for found in by_size.values():
+            yield found.table()
 
     return run
 
@@ -118,19 +145,24 @@ def usable(vectors: DataFrame) -> DataFrame:
     return rows.groupBy("vec_id").agg(F.min(v).alias("v"))
 
 
-def search(vectors: DataFrame, is_query: Column, *, k: int = 5, width: float = 4.0) -> DataFrame:
+def search(vectors: DataFrame, is_query: Column, *, k: int = 5, width: float = 4.0, rows: int = ROWS, batch_bytes: int = BATCH_BYTES) -> DataFrame:
     """(query_id, rank, vec_id, score): the k rows of largest cosine to each query row."""
-    rows = stored(usable(vectors).withColumn("q", is_query), "vectors")
-
-    def packed(df: DataFrame, size: int, coded: bool) -> DataFrame:
-        parts = max(1, math.ceil(df.count() / size))
-        block = F.pmod(F.xxhash64("vec_id"), F.lit(parts))
-        out = df.groupBy(block.alias("block"), F.size("v").alias("d")).applyInArrow(_pack(coded), "d int, ids binary, x binary, bits binary, a binary")
-        return stored(out.select("d", "ids", "x", "bits", "a") if coded else out.select(F.col("d").alias("q_d"), F.col("ids").alias("q_ids"), F.col("x").alias("q_x")), "blocks")
-
-    index = packed(rows.select("vec_id", "v"), ROWS, True)
-    asked = packed(rows.where("q").select("vec_id", "v"), QUERIES, False)
-    pairs = index.repartition(max(1, min(index.count(), 2000))).crossJoin(asked).where("d = q_d").select("d", "ids", "x", "bits", "a", "q_ids", "q_x")
-    found = pairs.mapInArrow(_meet(k, width), "query_id long, vec_id long, score double")
+    spark = vectors.sparkSession
+    held = stored(usable(vectors).withColumn("q", is_query), "vectors")
+    n, asked, most = held.agg(F.count("*"), F.count(F.when(F.col("q"), 1)), F.max(F.size("v"))).head()
+    schema = "query_id long, vec_id long, score double"
+    found = spark.createDataFrame([], schema)
+    if asked:
+        blocks = math.ceil(n / rows)
+        block = F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
+        index = held.select("vec_id", "v").groupBy(block.alias("block"), F.size("v").alias("d")).applyInArrow(_pack, "d int, ids binary, x binary, bits binary, a binary")
+        # blocks in files of their own, up to 64 of them where they are many
+        index = stored(index, "blocks", maxRecordsPerFile=max(1, min(64, blocks // 1000)))
+        batches = math.ceil(asked * most * 8 / batch_bytes)
+        for b in range(batches):
+            some = held.where("q").where(F.pmod(F.xxhash64("vec_id"), F.lit(batches)) == b).select("vec_id", "v").toArrow()  # about batch_bytes
+            sizes = np.diff(some.column("v").combine_chunks().offsets.to_numpy())
+            queries = {int(d): _vectors(some.filter(pa.array(sizes == d))) for d in set(sizes.tolist())}
+            found = found.union(stored(index.mapInArrow(_meet(spark.sparkContext.broadcast(queries), k, width), schema), "found"))
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
