@@ -3,13 +3,15 @@
 Encoding equals the ``tokenizers`` library's (special strings in a text become special tokens,
 none are added); decoding equals its ``decode(ids, skip_special_tokens=False)``.
 
-A text is cut at ASCII white space, which no token, merge or normalisation step crosses; the
-encodings of short chunks are remembered.  A long unsplit run is encoded as a tree: its leaves
-are encoded side by side in one parallel batch, then neighbours are joined pair by pair.  At a
-join, a window of tokens of both sides is encoded again and grows until its first token is the
-left side's token there and its last token is the right side's: every pair of neighbouring
-tokens is then one that BPE itself produces, and a sequence all of whose neighbouring pairs are
-such is the encoding of the whole, so the result is exact and not a guess.
+A text is one tree: it is cut every ``text_leaf`` characters, wherever that falls, the leaves of all
+texts at hand are encoded side by side in one batch, then neighbours are joined pair by pair.  At a
+join, a window of text around it is encoded again; it reaches from white space to white space (no
+token, merge or normalisation step crosses that) and grows until its first piece has the ids that the
+left side has there and its last piece those of the right side, or the sides end.  A long run without
+white space is a tree of its own, whose windows are of tokens: they grow until the first token is the
+left side's token there and the last is the right side's.  Every pair of neighbouring tokens is then
+one that BPE itself produces, and a sequence all of whose neighbouring pairs are such is the encoding
+of the whole, so the result is exact and not a guess.  The encodings of short pieces are remembered.
 
 Defined results: null texts encode like empty ones (no ids); repeated rows give repeated rows;
 extra columns are ignored.
@@ -20,7 +22,7 @@ from __future__ import annotations
 import hashlib
 import json
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import pyarrow as pa
@@ -29,19 +31,22 @@ from tokenizers import Tokenizer
 
 #: Longest chunk (bytes) that is encoded in one go and remembered, and the characters of a leaf.
 SHORT, LEAF = 64, 512
+#: Characters of a leaf of a text, and of each side of a join's first window.
+TEXT_LEAF, WINDOW = 2048, 32
 #: Remembered chunks of a worker in each of two generations.
 REMEMBERED = 300_000
 #: Characters that normalisation leaves or lower-cases one by one, and the pieces between them
 #: as the file's own pattern has them (fixed values of the tokenizer).
 PLAIN = re.compile("[^\\x09-\\x0d\\x20-\\x7eÀ-ÖØ-öø-ÿ]")
+SPACE, SPACE_BYTES = re.compile("[\\x09-\\x0d ]"), re.compile(rb"[\x09-\x0d ]")
 PLAIN_PIECES = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^\\sa-z0-9ß-öø-ÿ]+")
 
 
 class TreeBpe:
     """Encoder and decoder of one ``tokenizers`` BPE file with end-of-word suffixes."""
 
-    def __init__(self, path: str, leaf: int = LEAF):
-        self.leaf = leaf
+    def __init__(self, path: str, leaf: int = LEAF, text_leaf: int = TEXT_LEAF):
+        self.leaf, self.text_leaf = leaf, text_leaf
         self.whole = Tokenizer.from_file(path)
         self.whole.no_padding(), self.whole.no_truncation()
         with open(path, encoding="utf-8") as f:
@@ -142,13 +147,57 @@ class TreeBpe:
     def decode(self, ids: list[int]) -> str:
         return " ".join([self.token[i] for i in ids])
 
-    def pieces(self, text: bytes) -> list[bytes] | list[str]:
-        """Parts of the text that are encoded on their own."""
+    def form(self, text: bytes) -> tuple[str | bytes, Callable, re.Pattern]:
+        """(text, how it is cut into pieces, white space): lower-cased where its characters are plain."""
         if self.plain:
             plain = text.decode()
             if not PLAIN.search(plain) and not (self.special and self.special.search(plain)):
-                return PLAIN_PIECES.findall(plain.lower())
-        return text.split()
+                return plain.lower(), PLAIN_PIECES.findall, SPACE
+        return text, bytes.split, SPACE_BYTES
+
+    def leaves(self, text: str | bytes) -> list[int]:
+        """Borders of the leaves (of bytes: between characters)."""
+        cuts = list(range(0, len(text), self.text_leaf)) or [0]
+        if isinstance(text, bytes):
+            for i, c in enumerate(cuts):
+                while c and text[c] & 0xC0 == 0x80:
+                    c -= 1
+                cuts[i] = c
+        return sorted({*cuts, len(text)}) if text else [0, 0]
+
+    def _known(self, pieces: list) -> list[tuple[int, bytes, bytes]]:
+        new = [c for c in dict.fromkeys(pieces) if c not in self.known]
+        if new:
+            self.learn(new)
+        return [self.known[c] for c in pieces]
+
+    def _meet(self, form: tuple, a: int, mid: int, left: list, b: int, right: list) -> list:
+        """The pieces of text[a:b] from those of text[a:mid] and text[mid:b]."""
+        text, cut, space = form
+        take = WINDOW
+        while True:
+            lo, hi = max(a, mid - take), min(b, mid + take)
+            start = a if lo == a else next((m.start() for m in [space.search(text, lo, mid)] if m), None)
+            ends = [b] if hi == b else [m.start() for m in space.finditer(text, mid, hi)]
+            take *= 2
+            if start is None or not ends:
+                continue
+            end = ends[-1]
+            before, after, window = cut(text[start:mid]), cut(text[mid:end]), cut(text[start:end])
+            if start > a and (len(before) < 2 or self._known(window[:1]) != self._known(before[:1])):
+                continue
+            if end < b and (len(after) < 2 or self._known(window[-1:]) != self._known(after[-1:])):
+                continue
+            self._known(window)
+            return left[: len(left) - len(before)] + window + right[len(after) :]
+
+    def tree(self, form: tuple, cuts: list[int], parts: list[list]) -> list:
+        """The pieces of a whole text from those of its leaves."""
+        spans = [(a, b, p) for a, b, p in zip(cuts, cuts[1:], parts, strict=False)]
+        while len(spans) > 1:
+            joined = [(x[0], y[1], self._meet(form, x[0], x[1], x[2], y[1], y[2])) for x, y in zip(spans[::2], spans[1::2], strict=False)]
+            spans = joined + spans[len(joined) * 2 :]
+        return spans[0][2]
 
     def coded_all(self, texts: list[bytes]) -> list[tuple[int, bytes, bytes]]:
         """Of each text: number of ids, ids joined by a space, decoded text."""
@@ -156,13 +205,15 @@ class TreeBpe:
         for at, upto in _portions(texts):
             if len(self.known) > REMEMBERED:
                 self.known, self.older = {}, self.known
-            rows = [self.pieces(t) for t in texts[at:upto]]
+            forms = [self.form(t) for t in texts[at:upto]]
+            cuts = [self.leaves(f[0]) for f in forms]
+            parts = [[f[1](f[0][a:b]) for a, b in zip(c, c[1:], strict=False)] for f, c in zip(forms, cuts, strict=True)]
             known = self.known
-            new = {c: 0 for row in rows for c in row if c not in known}
+            new = {c: 0 for row in parts for leaf in row for c in leaf if c not in known}
             if new:
                 self.learn(list(new))
-            for row in rows:
-                found = [v for v in map(known.__getitem__, row) if v[0]]
+            for form, c, row in zip(forms, cuts, parts, strict=True):
+                found = [v for v in map(known.__getitem__, self.tree(form, c, row)) if v[0]]
                 out.append((sum([v[0] for v in found]), b" ".join([v[1] for v in found]), b" ".join([v[2] for v in found])))
         return out
 
