@@ -6,12 +6,14 @@ difference of the compressed sizes (with the size itself a byte) becomes a score
 calibration on labelled texts that the dictionaries have not seen.
 
 Fitting uses a bounded sample of labelled rows: ``most`` per label (by the md5 order of their
-ids) of at most ``most_chars`` characters.  Scoring covers every whole text.
+ids) whose texts have ``most_bytes`` at most, so 2 * most * most_bytes in the driver (98 MB).  All of
+them reach the dictionaries or the calibration.  Scoring covers every whole text.
 
 Defined results: a null or empty text has the share of label 1 among the fitted rows as its
 score; without any fitted rows all scores are 0.5, with one label only its share; null ids are
-in the held-out fold of the empty string; repeated rows give repeated rows; extra columns are
-ignored; labels other than 0 and 1 are not used.
+in the held-out fold of the empty string; repeated rows give repeated rows; of an id's several texts
+the smallest is fitted, an id with both labels counts for both; extra columns are ignored; labels
+other than 0 and 1 are not used.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLOCK, LEVEL, DICTIONARY = 1024, 3, 65_536
-MOST, MOST_CHARS = 3000, 65_536
+MOST, MOST_BYTES = 3000, 16_384
 THRESHOLD = 0.3
 
 
@@ -36,7 +38,7 @@ def blocks(text: bytes) -> list[bytes]:
 
 def dictionary(samples: list[bytes]) -> bytes | None:
     """A trained dictionary; plain content where there are too few samples to train on."""
-    parts = [b for t in samples for b in blocks(t) if len(b) >= 64][:20_000]
+    parts = [b for t in samples for b in blocks(t) if len(b) >= 64]
     total = sum(map(len, parts))
     if not total:
         return None
@@ -114,13 +116,15 @@ def fold(folds: int):
     return F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % folds
 
 
-def train(docs: DataFrame, labels: DataFrame, *, label: str = "quality", folds: int = 5, most: int = MOST, most_chars: int = MOST_CHARS) -> CompressionModel:
+def train(docs: DataFrame, labels: DataFrame, *, label: str = "quality", folds: int = 5, most: int = MOST, most_bytes: int = MOST_BYTES) -> CompressionModel:
     """Labels are picked before the texts are touched, so only the picked texts move."""
     usable = labels.select("doc_id", F.col(label).cast("int").alias("y")).where(f"doc_id is not null and y in (0, 1)").where(fold(folds) != 0).distinct()
     order = F.md5(F.col("doc_id").cast("string").cast("binary"))
     picked = [usable.where(f"y = {y}").orderBy(order, "doc_id").limit(most) for y in (0, 1)]
     picked = F.broadcast(picked[0].union(picked[1]))  # 2 * most rows
-    rows = docs.select("doc_id", "text").where((F.length("text") > 0) & (F.length("text") <= most_chars)).join(picked, "doc_id").select("doc_id", "y", F.col("text").cast("binary").alias("t")).collect()
+    size = F.octet_length("text")
+    rows = docs.select("doc_id", "text").where((size > 0) & (size <= most_bytes)).join(picked, "doc_id")
+    rows = rows.groupBy("doc_id", "y").agg(F.min("text").cast("binary").alias("t")).collect()
     rows = sorted(rows, key=lambda r: (r.doc_id, bytes(r.t)))
     return fit([bytes(r.t) for r in rows if r.y == 1], [bytes(r.t) for r in rows if r.y == 0])
 
