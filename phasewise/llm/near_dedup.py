@@ -12,9 +12,13 @@ How it runs
 4. A bucket whose members lie in different components may still hide a link that misses the
    star's centre.  Star rounds with other centres come first; then every remaining pair of
    different components in such a bucket that passes the size bound and the sketch bound is
-   confirmed as well (once, in the first bucket it shares), so no link inside a bucket is lost.
-   Only near misses are left for this step: its pairs are those of unlinked documents whose
-   sketches cannot be told from a link's.
+   confirmed as well (once, in the first bucket it shares).  Only near misses are left for this
+   step.  Large buckets are split into chunks of members, and chunk meets chunk in a task of its own.
+
+What may be missed: a pair at the threshold shares no bucket with a chance of ``miss`` (1e-7).  The
+size bound is exact.  The sketch bound allows SKETCH_SLACK standard deviations over the mean number
+of differing bins of a pair at the threshold: a link exceeds it with a chance of about 3e-7, less the
+further it is above the threshold.  All else is exact.
 
 Defined results: a text without words (or null) is linked with nothing; a null id takes no
 part and is kept; rows that repeat an id are one node; extra columns are ignored.
@@ -38,6 +42,8 @@ from .words import U, WordHashes, mix, odd_constants, shingle_set, texts
 SKETCH_BINS, PLANES = 512, 4
 #: Differing bins are allowed up to this many standard deviations over their mean at the threshold.
 SKETCH_SLACK = 5.0
+#: Members of a chunk of a large bucket.
+CHUNK = 500
 
 
 def plan_bands(threshold: float, miss: float = 1e-7) -> tuple[int, int]:
@@ -236,16 +242,21 @@ def near_duplicates(docs: DataFrame, *, k: int = 5, percent: int = 80, star_roun
     label = components(links)
     for turn in range(star_rounds + 1):
         placed = members.select("key", "rep").join(label.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        spread = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min_by("rep", F.xxhash64("rep", F.lit(turn))).alias("centre"), F.min_by("component", F.xxhash64("rep", F.lit(turn))).alias("home")).where("lo < hi")
-        mixed = placed.join(spread.select("key", "centre", "home"), "key")
+        spread = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min_by("rep", F.xxhash64("rep", F.lit(turn))).alias("centre"), F.min_by("component", F.xxhash64("rep", F.lit(turn))).alias("home"), F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks")).where("lo < hi")
+        mixed = placed.join(spread.select("key", "centre", "home", "chunks"), "key")
         if turn < star_rounds:
             pairs = mixed.where("component <> home").select(F.least("centre", "rep").alias("a"), F.greatest("centre", "rep").alias("b")).distinct()
             pairs = linker.likely(pairs)
         else:
-            mixed = stored(mixed.select("key", "rep", "component").join(reps.select("rep", "n", "keys", *flat_sketch()), "rep"), "mixed")
-            left, right = (mixed.select(F.col("rep").alias(s), *(F.col(c).alias(f"{c}_{s}") for c in mixed.columns if c != "rep")) for s in ("a", "b"))
+            mixed = mixed.select("key", "rep", "component", "chunks", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int").alias("chunk")).join(reps.select("rep", "n", "keys", *flat_sketch()), "rep")
+            mixed = stored(mixed, "mixed")
+            facts = [c for c in mixed.columns if c not in ("rep", "chunk", "chunks")]
+            left, right = (mixed.select(F.col("rep").alias(s), *(F.col(c).alias(f"{c}_{s}") for c in facts), i.alias(f"i_{s}"), j.alias(f"j_{s}")) for s, i, j in (
+                ("a", F.col("chunk"), F.explode(F.sequence("chunk", F.col("chunks") - 1))), ("b", F.explode(F.sequence(F.lit(0), F.col("chunk"))), F.col("chunk"))))
+            together = (F.col("key_a") == F.col("key_b")) & (F.col("i_a") == F.col("i_b")) & (F.col("j_a") == F.col("j_b"))
             first = F.get(F.array_intersect("keys_a", "keys_b"), F.lit(0)) == F.col("key_a")
-            pairs = left.join(right, (F.col("key_a") == F.col("key_b")) & (F.col("a") < F.col("b")) & (F.col("component_a") != F.col("component_b")) & linker.may_link("a", "b") & first).select("a", "b")
+            once = (F.col("i_a") < F.col("j_a")) | (F.col("a") < F.col("b"))
+            pairs = left.join(right, together & once & (F.col("component_a") != F.col("component_b")) & linker.may_link("a", "b") & first).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
         more = linker.links(pairs)
         if more.isEmpty():
             continue
