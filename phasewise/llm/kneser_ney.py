@@ -8,7 +8,7 @@ and after how many different words it stands; a second step adds these up.
 
 Store.  Every part is a pair of raw files of sorted 64-bit hashes and their columns in the
 shared folder.  Workers map the files into memory; lookups are sorted first, so they walk the
-files in order.  On a store without local paths a worker copies the files once to its own disk.
+files in order.  On a store without local paths a worker reads the files that it needs into memory.
 
 Probability of w after u, with discounts D from the counts of counts:
     p(w|u) = max(c(uw) - D(c(uw)), 0) / c(u.) + g(u) * q(w)
@@ -23,7 +23,6 @@ probability is that of an empty model (q = 1); extra columns are ignored.
 from __future__ import annotations
 
 import os
-import tempfile
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -77,12 +76,8 @@ def _save(uri: str, name: str, array: np.ndarray) -> None:
 def _mapped(uri: str, name: str, dtype) -> np.ndarray:
     system, path, local = _filesystem(f"{uri}/{name}")
     if not local:
-        kept = os.path.join(tempfile.gettempdir(), f"phasewise-{abs(hash(uri)):x}-{name}")
-        if not os.path.exists(kept):
-            draft = f"{kept}.{os.getpid()}"
-            fs.copy_files(path, draft, source_filesystem=system, destination_filesystem=fs.LocalFileSystem())
-            os.replace(draft, kept)
-        path = kept
+        with system.open_input_stream(path) as f:
+            return np.frombuffer(f.read(), dtype)
     return np.memmap(path, dtype=dtype, mode="r") if os.path.getsize(path) else np.zeros(0, dtype)
 
 
