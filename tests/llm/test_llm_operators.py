@@ -245,8 +245,9 @@ def test_tree_bpe_equals_the_library(spark, docs):
     t = Tokenizer.from_file(path)
     rng = random.Random(1)
     odd = ODD + ["".join(rng.choice("abcdehtionéüß") for _ in range(n)) for n in (65, 129, 3000, 9000)]
-    for leaf in (8, 64, 512):
-        b = bpe.TreeBpe(path, leaf)
+    odd += [" ".join(rng.choice(odd[1:] + ["it's", "we've 12", "x\ty"]) for _ in range(8)) for _ in range(4)] + [r.text for r in docs.collect()[:12] if r.text]
+    for leaf, text_leaf in ((8, 5), (64, 40), (512, 300)):
+        b = bpe.TreeBpe(path, leaf, text_leaf)
         for s in odd:
             ids = t.encode(s, add_special_tokens=False).ids
             assert b.encode(s) == ids
@@ -287,15 +288,25 @@ def within_one(a, b):
     return a[i + 1 :] == b[i + 1 :] or a[i + 1 :] == b[i:] or a[i:] == b[i + 1 :]
 
 
-def brute_lines(rows):
+def edits_between(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        row, last = [i], row
+        for j, y in enumerate(b, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    return row[-1]
+
+
+def brute_lines(rows, near=within_one):
     seen, out = set(), {}
     for i, t in sorted(rows):
         stay = []
         for x in (t or "").split("\n"):
             k = x.strip(" \t\n\r\x0b\x0c")
-            if len(k) < line_dedup.MIN_CHARS or not any(within_one(k, o) for o in seen):
+            long = len(k) >= line_dedup.MIN_CHARS
+            if not k or k not in seen and not (long and any(len(o) >= line_dedup.MIN_CHARS and near(k, o) for o in seen)):
                 stay.append(x)
-            if len(k) >= line_dedup.MIN_CHARS:
+            if k:
                 seen.add(k)
         out[i] = None if t is None else "\n".join(stay)
     return out
@@ -314,10 +325,30 @@ def test_line_dedup(spark, docs):
         s[at : at + (what != 1)] = [] if what == 0 and len(s) > 21 else [rng.choice("abcé")]
         lines.append("".join(s))
     rows = [(i, "\n".join(lines[i * 5 : i * 5 + 5])) for i in range(30)]
-    got = {r.doc_id: r.text for r in line_dedup.cleaned(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.text for r in line_dedup.cleaned(df).collect()}
     assert got == brute_lines(rows)
 
 
+@pytest.mark.parametrize("edits", [0, 2])
+def test_line_dedup_with_other_bounds(spark, edits, monkeypatch):
+    """Also with every table too large for a broadcast, and a line that stands very often."""
+    rng = random.Random(7)
+    lines = ["".join(rng.choice("ab") for _ in range(21)) for _ in range(2)] + ["}", "x"]
+    for _ in range(70):
+        s = list(rng.choice(lines[:2] + lines[4:]))
+        for _ in range(rng.randrange(4)):
+            at, what = rng.randrange(len(s)), rng.randrange(3)
+            s[at : at + (what != 1)] = [] if what == 0 and len(s) > 20 else [rng.choice("abé")]
+        lines += ["".join(s), rng.choice(lines[:4])]
+    rows = [(i, "\n".join(lines[i * 5 : i * 5 + 5])) for i in range(30)]
+    monkeypatch.setattr(line_dedup, "BROADCAST_ROWS", 0)
+    meet = line_dedup._meet
+    monkeypatch.setattr(line_dedup, "_meet", lambda rows, table, often: meet(rows, table, 3))
+    got = {r.doc_id: r.text for r in line_dedup.cleaned(spark.createDataFrame(rows, "doc_id long, text string"), edits=edits).collect()}
+    assert got == brute_lines(rows, lambda a, b: edits_between(a, b) <= edits)
+
+
 def test_compression_quality_separates(spark):
     rng = random.Random(3)
     vocab = ["".join(rng.choice("abcdehinorst") for _ in range(rng.randint(2, 7))) for _ in range(300)]
@@ -329,10 +360,57 @@ def test_compression_quality_separates(spark):
     held = [r for r in got if r.held_out and r.doc_id < 900]
     assert held and sum(r.predicted == int(r.doc_id % 5 > 0) for r in held) / len(held) > 0.95
     assert all(0 <= r.score <= 1 for r in got)
+    # brute force: the sample, dictionaries and sizes once more
+    import zstandard
+
+    fitted = sorted(i for i in range(300) if zlib.crc32(str(i).encode()) % 5)
+    by = {y: [r[1].encode() for i in fitted for r in rows if r[0] == i and int(i % 5 > 0) == y] for y in (1, 0)}
+    cut = lambda t: [t[i : i + 1024] for i in range(0, len(t), 1024)]
+    coders = []
+    for y in (1, 0):
+        parts = [b for t in by[y][::2] for b in cut(t) if len(b) >= 64]
+        coders.append(zstandard.ZstdCompressor(level=3, dict_data=zstandard.ZstdCompressionDict(zstandard.train_dictionary(min(65536, max(1024, sum(map(len, parts)) // 8)), parts).as_bytes()), write_content_size=False))
+    size = lambda t: [sum(len(c.compress(b)) for b in cut(t)) for c in coders]
+    facts = lambda t: [(size(t)[1] - size(t)[0]) / max(size(t)), (size(t)[1] - size(t)[0]) / len(t), min(size(t)) / len(t)]
+    x, y = np.array([facts(t) for y in (1, 0) for t in by[y][1::2]]), np.array([y for y in (1, 0) for _ in by[y][1::2]], float)
+    mean, scale, w = compression_quality.logistic(x, y)
+    z = np.c_[(x - mean) / scale, np.ones(len(x))]
+    assert np.abs(z.T @ (y - 1 / (1 + np.exp(-z @ w))) - 1e-3 * len(x) * w).max() < 1e-6  # the maximum of the penalised likelihood
+    for r in got:
+        if r.doc_id < 900:
+            want = 1 / (1 + np.exp(-(((np.array(facts(rows[r.doc_id][1].encode())) - mean) / scale) @ w[:-1] + w[-1])))
+            assert r.score == pytest.approx(want, abs=1e-9)
+    twice = docs.union(docs.where("doc_id < 40").withColumn("text", F.lit("zzz other text under an old id"))).withColumn("y", F.lit(3)).withColumn("t", F.lit("x"))
+    assert compression_quality.scored(twice, compression_quality.train(twice, labels)).count() == twice.count()
     none = compression_quality.scored(docs, compression_quality.train(docs, labels.where("false"))).collect()
     assert {r.score for r in none} == {0.5}
 
 
+def test_classifier_on_held_out_labels(spark):
+    """Area under the curve over the held-out fold of the given labels."""
+    sf = "/root/testdata/sf0.01"
+    score = {r.doc_id: r.score for r in queries.op8_compression_quality(spark, sf).where("held_out").collect()}
+    rows = [(score[r.doc_id], r.quality) for r in spark.read.parquet(f"{sf}/labels.parquet").collect() if r.doc_id in score and r.quality is not None]
+    good, bad = ([s for s, q in rows if q == y] for y in (1, 0))
+    auc = sum((g > b) + 0.5 * (g == b) for g in good for b in bad) / (len(good) * len(bad))
+    assert auc >= 0.85, auc
+
+
+def test_recall_on_the_given_vectors(spark):
+    sf = "/root/testdata/sf0.01"
+    rows = [(r.vec_id, r.embedding) for r in spark.read.parquet(f"{sf}/embeddings.parquet").collect()]
+    ids, x = np.array([i for i, _ in rows]), np.array([v for _, v in rows], float)
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    found = collections.defaultdict(set)
+    for r in queries.op9_one_bit_search(spark, sf).collect():
+        found[r.query_id].add(r.vec_id)
+    hits = 0
+    for q in ids[ids % 50 == 0]:
+        c = np.where(ids == q, -9, np.round(unit @ unit[ids == q][0], 12))
+        hits += len(found[q] & set(ids[np.lexsort((ids, -c))[:5]].tolist()))
+    assert hits / (5 * len(found)) >= 0.9
+
+
 def test_one_bit_search(spark):
     rng = np.random.default_rng(1)
     x = rng.normal(size=(1500, 24))
@@ -351,6 +429,13 @@ def test_one_bit_search(spark):
         hit += len(set(want) & {v for v, _ in got[q]})
         assert [s for _, s in got[q]] == sorted((s for _, s in got[q]), reverse=True)
     assert hit / (5 * 30) >= 0.98 and len(got) == 30
+    # other batches and blocks change nothing; nor does the size of vectors
+    few = {(r.query_id, r.rank, r.vec_id, r.score) for r in one_bit_search.search(df, F.col("vec_id") % 50 == 0, rows=100, batch_bytes=2000).collect()}
+    assert few == {(q, i + 1, v, s) for q, rows in got.items() for i, (v, s) in enumerate(rows)}
+    for size in (1e200, 1e-200):
+        big = df.withColumn("embedding", F.transform("embedding", lambda v: v * size)).withColumn("q", F.lit("x")).withColumn("v", F.lit(1)).withColumn("d", F.lit(2))
+        other = {(r.query_id, r.rank, r.vec_id, round(r.score, 12)) for r in one_bit_search.search(big, F.col("vec_id") % 50 == 0).collect()}
+        assert other == {(q, i, v, round(s, 12)) for q, i, v, s in few}
     assert [v for v, _ in got[100]] == [101, 102, 103, 104, 105]
 
 
