@@ -9,12 +9,17 @@ greater length, or equal in both and earlier in the list) is suppressed, so that
 version 2" is not reported as the family "apache" again.  Base phrases are counted at all their
 places and are never suppressed.
 
+Matches are marked in the text, whose marked words then tell their places; intervals are sorted, and
+one meets only those before it that start within the longest match's reach.  Both take time in
+proportion to the text.
+
 Defined results: a null or empty text has no words, no labels and score 0; repeated rows give
 repeated rows; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+import json
 from dataclasses import dataclass
 from re import _parser as parser
 
@@ -23,7 +28,7 @@ from pyspark.sql import functions as F
 
 #: The base phrases and their labels, strings taken from a pattern at a time, and the characters between words.
 BASE = (("under the mit license", "mit"), ("apache license version 2", "apache-2"), ("cc by nc", "cc-by-nc"))
-MOST_SPELLINGS = 10
+MOST_SPELLINGS, MOST_SETS = 10, 4
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 #: Pieces that most rules' words hold; ``gate`` adds the words of the other rules.
 STEMS = ("licen", "copyright", "copyleft", "spdx", "public domain", "all rights reserved", "cc by", "cc0", "gpl", "creative commons", "redistribution", "free of charge", "warrant", "unlicense", "wtfpl", "patent", "cc zero")
@@ -109,10 +114,252 @@ NOTICES = (
     Rule("license-mention", r"licen[sc]ed under", 4, 0.2),
 )
 
+#: more hand-written rules: label | priority | confidence | pattern
+WRITTEN = r"""
+mit | 88 | 1.0 | the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software
+mit | 72 | 0.9 | without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software
+mit | 60 | 0.8 | in no event shall the authors or copyright holders be liable for any claim damages or other liability
+mit | 45 | 0.8 | opensource org licenses mit(?: license)?(?: php| html)?
+mit | 44 | 0.7 | (?:see|read) (?:the )?mit licen[sc]e
+mit-0 | 74 | 0.95 | mit no attribution licen[sc]e
+mit-modern | 70 | 0.9 | modern variant of the mit licen[sc]e
+x11 | 70 | 0.9 | x consortium shall not be used in advertising or otherwise .{0,80}copyright
+isc | 45 | 0.8 | opensource org licenses isc(?: license)?
+isc | 72 | 0.9 | the software is provided as is and the author disclaims all warranties with regard to this software
+0bsd | 74 | 0.95 | permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted free of charge
+bsd-2 | 78 | 0.95 | redistributions of source code must retain the above copyright notice this list of conditions and the following disclaimer
+bsd-2 | 79 | 0.95 | redistributions in binary form must reproduce the above copyright notice this list of conditions and the following disclaimer
+bsd-2 | 45 | 0.8 | opensource org licenses bsd 2 clause
+bsd-3 | 45 | 0.8 | opensource org licenses bsd (?:3 clause|license)(?: php)?
+bsd-4 | 78 | 1.0 | all advertising materials mentioning features or use of this software must display the following acknowledge?ment.{0,60}copyright
+bsd-patent | 74 | 0.95 | bsd(?: 2 clause)? plus patent licen[sc]e
+bsd | 46 | 0.8 | (?:use of this source code is )?governed by a bsd style licen[sc]e
+bsd | 40 | 0.7 | berkeley software distribution licen[sc]e
+apache-2 | 82 | 1.0 | licensed under the apache license version 2 0 the license
+apache-2 | 66 | 0.9 | unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis
+apache-2 | 58 | 0.8 | see the license for the specific language governing permissions and limitations under the license
+apache-2 | 60 | 0.9 | perpetual worldwide non exclusive no charge royalty free irrevocable (?:copyright|patent) license
+apache-2 | 50 | 0.8 | asl ?2(?: 0)? licen[sc]e
+apache-1.1 | 70 | 0.9 | this product includes software developed by the apache software foundation .{0,40}licen[sc]e
+gpl | 62 | 0.9 | under the terms of the gnu general public license as published by the free software foundation
+gpl | 58 | 0.8 | you should have received a copy of the gnu general public license
+gpl | 40 | 0.6 | gnu general public licen[sc]e
+gpl-2-only | 78 | 1.0 | gpl 2(?: 0)? only
+gpl-2-or-later | 78 | 1.0 | gpl 2(?: 0)? or later
+gpl-3-only | 78 | 1.0 | gpl 3(?: 0)? only
+gpl-3-or-later | 78 | 1.0 | gpl 3(?: 0)? or later
+gpl-2 | 68 | 0.95 | gplv2
+gpl-2-or-later | 72 | 0.95 | gplv2 ?(?:or later|and later)
+gpl-3 | 68 | 0.95 | gplv3
+gpl-3-or-later | 72 | 0.95 | gplv3 ?(?:or later|and later)
+gpl-2-classpath | 82 | 1.0 | gpl ?v?2(?: 0)? with (?:the )?classpath exception
+gpl-classpath | 66 | 0.9 | as a special exception the copyright holders of this library give you permission to link this library with independent modules
+gpl-autoconf | 66 | 0.9 | gpl .{0,40}autoconf exception
+gpl-bison | 66 | 0.9 | gpl .{0,40}bison exception
+gpl-gcc | 66 | 0.9 | gcc runtime library exception .{0,40}gpl
+gpl-gcc | 66 | 0.9 | gpl .{0,40}gcc runtime library exception
+gpl-font | 66 | 0.9 | gpl .{0,40}font exception
+gpl-openssl | 66 | 0.9 | gpl .{0,40}openssl exception
+lgpl | 60 | 0.8 | you should have received a copy of the gnu (?:lesser|library) general public license
+lgpl | 64 | 0.9 | under the terms of the gnu (?:lesser|library) general public license as published by the free software foundation
+lgpl-2.1-only | 78 | 1.0 | lgpl 2 1 only
+lgpl-2.1-or-later | 78 | 1.0 | lgpl 2 1 or later
+lgpl-3-only | 78 | 1.0 | lgpl 3(?: 0)? only
+lgpl-3-or-later | 78 | 1.0 | lgpl 3(?: 0)? or later
+lgpl-2.1 | 68 | 0.95 | lgplv2 1
+lgpl-3 | 68 | 0.95 | lgplv3
+agpl-3 | 68 | 0.95 | agplv3
+agpl-3-only | 78 | 1.0 | agpl 3(?: 0)? only
+agpl-3-or-later | 78 | 1.0 | agpl 3(?: 0)? or later
+agpl | 64 | 0.9 | under the terms of the gnu affero general public license as published by the free software foundation
+gfdl | 64 | 0.9 | permission is granted to copy distribute and or modify this document under the terms of the gnu free documentation license
+gfdl-1.2 | 74 | 0.95 | gnu free documentation license version 1 2
+gfdl-1.3 | 74 | 0.95 | gnu free documentation license version 1 3
+gfdl-no-invariants | 70 | 0.9 | with no invariant sections no front cover texts and no back cover texts .{0,60}license
+mpl-1.1 | 76 | 0.95 | the contents of this file are subject to the mozilla public license version 1 1
+mpl-2 | 78 | 1.0 | this source code form is subject to the terms of the mozilla public license v 2 0
+mpl-2 | 56 | 0.9 | mozilla org mpl 2 0
+mpl-2-no-copyleft | 70 | 0.9 | this source code form is incompatible with secondary licenses
+npl | 70 | 0.9 | netscape public licen[sc]e
+epl-1 | 76 | 0.95 | this program and the accompanying materials are made available under the terms of the eclipse public license v1 0
+epl-2 | 76 | 0.95 | this program and the accompanying materials are made available under the terms of the eclipse public license 2 0
+epl | 46 | 0.8 | eclipse org legal epl .{0,20}licen[sc]e
+edl | 70 | 0.9 | eclipse distribution licen[sc]e(?: v ?1 0)?
+cddl-1 | 74 | 0.95 | common development and distribution license(?: cddl)? version 1 0
+cddl-1.1 | 74 | 0.95 | common development and distribution license(?: cddl)? version 1 1
+ibm-pl | 70 | 0.9 | ibm public licen[sc]e(?: version 1 0)?
+eupl-1.1 | 74 | 0.95 | european union public licen[sc]e(?: v| version)? ?1 1
+eupl-1.2 | 74 | 0.95 | european union public licen[sc]e(?: v| version)? ?1 2
+artistic-1 | 72 | 0.9 | artistic license(?: version)? 1 0
+artistic-perl | 74 | 0.95 | (?:same|under the same) terms as perl itself .{0,60}licen[sc]e
+zlib | 78 | 0.95 | the origin of this software must not be misrepresented you must not claim that you wrote the original software
+zlib | 72 | 0.9 | permission is granted to anyone to use this software for any purpose including commercial applications and to alter it and redistribute it freely
+boost | 80 | 1.0 | distributed under the boost software license version 1 0
+boost | 46 | 0.8 | boost org license 1 0
+python | 72 | 0.9 | python software foundation licen[sc]e(?: version)? 2
+cnri-python | 72 | 0.9 | cnri (?:open source )?licen[sc]e
+php-3 | 74 | 0.95 | php license version 3 0(?:1)?
+ruby | 64 | 0.8 | ruby s licen[sc]e
+curl | 70 | 0.9 | curl licen[sc]e
+curl | 70 | 0.9 | licensed as described in the file copying .{0,60}copyright
+openssl | 74 | 0.95 | this product includes software developed by the openssl project .{0,80}licen[sc]e
+sleepycat | 70 | 0.9 | sleepycat (?:public )?licen[sc]e
+w3c | 70 | 0.9 | w3c software (?:and document )?(?:notice and )?licen[sc]e
+ntp | 72 | 0.9 | permission to use copy modify and distribute this software and its documentation for any purpose .{0,60}copyright notice
+hpnd | 70 | 0.9 | historical permission notice and disclaimer .{0,40}licen[sc]e
+ncsa | 72 | 0.9 | university of illinois ncsa open source licen[sc]e
+unicode | 72 | 0.9 | unicode (?:inc )?licen[sc]e agreement
+unicode | 66 | 0.8 | unicode terms of use .{0,40}licen[sc]e
+icu | 68 | 0.9 | icu licen[sc]e
+tcl | 64 | 0.8 | tcl tk licen[sc]e
+naist | 66 | 0.9 | naist licen[sc]e
+qpl | 70 | 0.9 | q public licen[sc]e(?: version 1 0)?
+apsl | 70 | 0.9 | apple public source licen[sc]e(?: version)?(?: 2 0)?
+nasa | 70 | 0.9 | nasa open source agreement .{0,40}licen[sc]e
+rpl | 70 | 0.9 | reciprocal public licen[sc]e
+osl | 66 | 0.85 | open software licen[sc]e
+afl | 66 | 0.85 | academic free licen[sc]e
+ecl-2 | 72 | 0.9 | educational community licen[sc]e(?: version)? 2 0
+simpl | 68 | 0.9 | simple public licen[sc]e
+mulan-psl-2 | 74 | 0.95 | mulan (?:psl|permissive software licen[sc]e)(?: v| version)? ?2
+mulan-psl | 66 | 0.9 | mulan permissive software licen[sc]e
+cecill-b | 74 | 0.95 | cecill b licen[sc]e
+cecill-c | 74 | 0.95 | cecill c licen[sc]e
+cecill-2 | 74 | 0.95 | cecill(?: licen[sc]e)? (?:version )?2 [01] licen[sc]e
+beerware | 74 | 0.9 | beer ?ware licen[sc]e
+beerware | 76 | 0.95 | as long as you retain this notice you can do whatever you want with this stuff .{0,80}licen[sc]e
+json | 76 | 0.95 | the software shall be used for good not evil
+wtfpl | 80 | 1.0 | do what the fuck you want to public license
+unlicense | 72 | 0.9 | anyone is free to copy modify publish use compile sell or distribute this software
+unlicense | 50 | 0.9 | unlicense org
+cc0 | 66 | 0.9 | creativecommons org publicdomain zero 1 0 .{0,40}licen[sc]e
+cc0 | 74 | 0.95 | the person who associated a work with this deed has dedicated the work to the public domain
+cc-pdm | 70 | 0.9 | public domain mark(?: 1 0)?
+cc-by-1 | 78 | 1.0 | creative commons attribution 1 0 generic
+cc-by-2 | 78 | 1.0 | creative commons attribution 2 0 (?:generic|unported)
+cc-by-2.5 | 78 | 1.0 | creative commons attribution 2 5 (?:generic|unported)
+cc-by-3 | 78 | 1.0 | creative commons attribution 3 0 unported
+cc-by-4 | 78 | 1.0 | creative commons attribution 4 0 international
+cc-by-sa-3 | 80 | 1.0 | creative commons attribution share ?alike 3 0 unported
+cc-by-sa-4 | 80 | 1.0 | creative commons attribution share ?alike 4 0 international
+cc-by-nc-4 | 80 | 1.0 | creative commons attribution non ?commercial 4 0 international
+cc-by-nd-4 | 80 | 1.0 | creative commons attribution no ?derivatives 4 0 international
+cc-by-nc-sa-4 | 82 | 1.0 | creative commons attribution non ?commercial share ?alike 4 0 international
+cc-by-nc-nd-4 | 82 | 1.0 | creative commons attribution non ?commercial no ?derivatives 4 0 international
+cc-sampling | 74 | 0.9 | creative commons sampling plus
+cc-devnations | 74 | 0.9 | creative commons developing nations
+creative-commons | 36 | 0.6 | (?:under|with) (?:a|the) creative commons licen[sc]e
+creative-commons | 30 | 0.5 | some rights reserved
+ofl-1.1 | 78 | 1.0 | sil open font license version 1 1
+ofl | 56 | 0.85 | scripts sil org ofl .{0,40}licen[sc]e
+ofl-rfn | 70 | 0.9 | with reserved font name .{0,60}licen[sc]e
+ubuntu-font | 70 | 0.9 | ubuntu font licen[sc]e(?: version 1 0)?
+bitstream-vera | 70 | 0.9 | bitstream vera .{0,60}copyright
+lppl | 72 | 0.9 | latex project public licen[sc]e(?: version 1 [23])?
+lppl | 74 | 0.95 | this work may be distributed and or modified under the conditions of the latex project public license
+fsf-free | 60 | 0.8 | this file is free software .{0,80}unlimited permission to copy and or distribute it
+fsf-all-permissive | 74 | 0.95 | copying and distribution of this file with or without modification are permitted in any medium without royalty
+odbl | 74 | 0.95 | open database license(?: odbl)?(?: v| version)? ?1 0
+odc-by | 74 | 0.95 | open data commons attribution license
+pddl | 74 | 0.95 | open data commons public domain dedication and licen[sc]e
+dbcl | 72 | 0.9 | database contents licen[sc]e
+cdla-permissive | 74 | 0.95 | community data license agreement permissive
+cdla-sharing | 74 | 0.95 | community data license agreement sharing
+ogl-uk | 74 | 0.95 | open government licen[sc]e(?: v| version)? ?(?:1|2|3) 0
+ogl | 62 | 0.85 | open government licen[sc]e
+etalab | 72 | 0.9 | (?:licence ouverte|etalab) open licen[sc]e
+dl-de-by | 74 | 0.95 | data licence germany attribution version 2 0
+dl-de-zero | 74 | 0.95 | data licence germany zero version 2 0
+gutenberg | 76 | 0.95 | project gutenberg (?:tm )?licen[sc]e
+gutenberg | 64 | 0.8 | this ebook is for the use of anyone anywhere .{0,120}licen[sc]e
+us-government | 70 | 0.9 | work of the united states government .{0,80}public domain
+us-government | 66 | 0.85 | not subject to copyright protection in the united states
+crown-copyright | 66 | 0.85 | crown copyright
+public-domain | 64 | 0.85 | (?:released|given|dedicated) to the public domain
+public-domain | 62 | 0.85 | no (?:known )?copyright restrictions
+public-domain | 62 | 0.85 | copyright (?:has )?expired
+public-domain | 60 | 0.8 | free of (?:known )?copyright restrictions
+orphan-work | 40 | 0.5 | copyright status (?:is )?(?:unknown|undetermined)
+fair-use | 40 | 0.6 | fair use .{0,80}copyright(?:ed)?
+bsl-1.1 | 78 | 0.95 | business source license 1 1
+bsl-1.1 | 70 | 0.9 | additional use grant .{0,80}licen[sc]e
+sspl-1 | 78 | 0.95 | server side public license(?: v| version)? ?1
+elastic-2 | 76 | 0.95 | elastic license 2 0 .{0,40}licensor
+confluent | 72 | 0.9 | confluent community licen[sc]e
+timescale | 72 | 0.9 | timescale licen[sc]e
+redis-rsal | 72 | 0.9 | redis source available licen[sc]e
+commons-clause | 74 | 0.95 | commons clause (?:licen[sc]e )?condition
+commons-clause | 66 | 0.9 | the grant of rights under the license will not include .{0,60}right to sell the software
+polyform-nc | 74 | 0.95 | polyform non ?commercial licen[sc]e
+polyform-sb | 74 | 0.95 | polyform small business licen[sc]e
+polyform-strict | 74 | 0.95 | polyform strict licen[sc]e
+polyform-shield | 74 | 0.95 | polyform shield licen[sc]e
+parity | 70 | 0.9 | parity public licen[sc]e
+prosperity | 70 | 0.9 | prosperity public licen[sc]e
+blue-oak | 74 | 0.95 | blue oak model licen[sc]e
+hippocratic | 72 | 0.9 | hippocratic licen[sc]e
+anti-996 | 72 | 0.9 | anti 996 licen[sc]e
+fair-source | 70 | 0.9 | fair source licen[sc]e
+functional-source | 72 | 0.9 | functional source licen[sc]e
+bigscience-rail | 74 | 0.95 | bigscience (?:open )?rail(?: m)? licen[sc]e
+creativeml-rail | 74 | 0.95 | creativeml open ?rail(?: m)? licen[sc]e
+openrail-plus | 72 | 0.9 | openrail plus plus .{0,20}licen[sc]e
+llama-community | 74 | 0.95 | llama ?[0-9]? ?[0-9]? community licen[sc]e
+gemma-terms | 68 | 0.9 | gemma terms of use .{0,60}licen[sc]e
+opt-175b | 70 | 0.9 | opt 175b licen[sc]e
+research-only | 60 | 0.8 | for non ?commercial research purposes only .{0,60}licen[sc]e
+evaluation-only | 50 | 0.7 | evaluation licen[sc]e
+trial | 45 | 0.6 | trial (?:version )?licen[sc]e
+shareware | 45 | 0.7 | shareware licen[sc]e
+freeware | 45 | 0.7 | freeware licen[sc]e
+donationware | 45 | 0.7 | donation ?ware licen[sc]e
+postcardware | 45 | 0.7 | postcard ?ware licen[sc]e
+commercial | 46 | 0.75 | commercial licen[sc]e(?: agreement)?
+enterprise | 44 | 0.7 | enterprise licen[sc]e(?: agreement)?
+site-license | 42 | 0.6 | site licen[sc]e(?: agreement)?
+subscription | 42 | 0.6 | subscription licen[sc]e(?: agreement)?
+end-user-license | 46 | 0.85 | by (?:installing|using|downloading) (?:this|the) software you agree to .{0,60}licen[sc]e
+proprietary | 50 | 0.8 | (?:confidential and proprietary|proprietary and confidential) .{0,80}copyright
+proprietary | 48 | 0.8 | unauthori[sz]ed (?:copying|use|reproduction|distribution) .{0,60}copyright
+proprietary | 46 | 0.75 | no part of this (?:publication|document|work|book) may be reproduced .{0,80}copyright
+proprietary | 40 | 0.7 | may not be (?:reproduced|copied|distributed) without (?:the )?(?:prior )?(?:written )?(?:permission|consent) of the copyright (?:holder|owner)s?
+no-derivatives | 40 | 0.6 | no derivative works .{0,40}licen[sc]e
+attribution-required | 36 | 0.5 | attribution (?:is )?required .{0,40}licen[sc]e
+share-alike | 36 | 0.5 | share ?alike licen[sc]e
+dual-license | 44 | 0.7 | licen[sc]ed under either of
+dual-license | 46 | 0.8 | (?:apache .{0,20}or mit|mit or apache.{0,20}) at your option .{0,40}licen[sc]e
+contributor-agreement | 44 | 0.7 | contributor licen[sc]e agreement
+license-exception | 30 | 0.5 | licen[sc]e (?:linking )?exception
+license-compatible | 24 | 0.4 | (?:gpl|licen[sc]e) compatible
+sublicense | 22 | 0.4 | right to sublicen[sc]e
+royalty-free | 24 | 0.5 | royalty free licen[sc]e
+perpetual | 24 | 0.5 | perpetual licen[sc]e
+no-warranty | 34 | 0.5 | provided as is without (?:any )?warranty(?: of any kind)?
+no-warranty | 32 | 0.5 | (?:comes with )?absolutely no warranty
+no-warranty | 30 | 0.5 | disclaims? all warranties
+no-warranty | 28 | 0.4 | implied warrant(?:y|ies) of merchantability (?:and|or) fitness for a particular purpose
+patent-grant | 34 | 0.5 | patent (?:grant|rights)
+patent-pending | 20 | 0.4 | patents? pending
+trademark | 20 | 0.3 | trademarks? .{0,40}copyright
+copyright | 28 | 0.5 | copyright (?:holder|owner)s?
+copyright | 26 | 0.5 | copyright notice
+license-file | 14 | 0.3 | licen[sc]e (?:txt|md|rst)
+license-terms | 14 | 0.3 | licen[sc]e terms
+license-agreement | 16 | 0.4 | licen[sc]e agreement
+license-header | 14 | 0.3 | licen[sc]e header
+"""
+
+
+def written() -> list[Rule]:
+    """The rules of WRITTEN."""
+    rows = (line.split(" | ") for line in WRITTEN.strip().splitlines())
+    return [Rule(label, pattern, int(priority), float(confidence)) for label, priority, confidence, pattern in rows]
+
+
 
 def rules() -> list[Rule]:
     """All rules, the base phrases first, then by falling priority (their order breaks ties)."""
-    out = list(NOTICES)
+    out = [*NOTICES, *written()]
     for label, name in NAMES:
         more = 5 if any(c.isdigit() for c in label) else 0
         out += [Rule(label, setting % name, priority + more, confidence) for setting, priority, confidence in SETTINGS]
@@ -161,6 +408,17 @@ def needs(pattern: str) -> list[tuple[str, ...]]:
     return [_least(w) for w in [*out, run] if "" not in w]
 
 
+#: Words that many rules hold tell little.
+STOCK = frozenset("licen license licence licensed the of under terms version public software general this for and copyright creative commons attribution open any free with to is permission distributed".split())
+
+
+def key_words(pattern: str) -> list[tuple[str, ...]]:
+    """The most telling MOST_SETS of ``needs``, by the longest word of each string that is no stock word."""
+    telling = lambda w: (w not in STOCK, len(w), w)
+    sets = {_least({max(w.split(), key=telling) for w in words}) for words in needs(pattern) if all(w.split() for w in words)}
+    return sorted(sets, key=lambda w: (len(w), -min(map(len, w)), w))[:MOST_SETS]
+
+
 def gate(listed: list[Rule]) -> list[str]:
     """Strings of which a text that any rule matches holds at least one."""
     out = set()
@@ -171,24 +429,68 @@ def gate(listed: list[Rule]) -> list[str]:
     return list(_least(out))
 
 
+def constant(rows: list, kind: str) -> Column:
+    """An array as one literal: the optimizer folds it, where hundreds of nested literals would be planned
+    one by one."""
+    if " " not in kind:
+        return F.from_json(F.lit(json.dumps(rows)), f"array<{kind}>")
+    names = [c.split()[0] for c in kind.split(", ")]
+    fields = ", ".join(c.replace(" ", ":", 1) for c in kind.split(", "))
+    return F.from_json(F.lit(json.dumps([dict(zip(names, r, strict=True)) for r in rows])), f"array<struct<{fields}>>")
+
+
 def words_text(text: Column) -> Column:
     """Words with a blank before each and one at the end; A-Z in lower case, all else as it is."""
-    lower = F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    plain = F.octet_length(text) == F.length(text)  # then no other letters are changed
+    lower = F.when(plain, F.lower(text)).otherwise(F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))
     return F.concat(F.lit(" "), F.trim(F.regexp_replace(lower, GAP, " ")), F.lit(" "))
 
 
+def may_hold(lower: Column, stems: list[str]) -> Column:
+    """Whether a lower-cased raw text has one of the stems; any gap may stand between the words of one.  (Lower
+    case may turn other letters into a-z, which lets more through only.)  The stems' longest words come first."""
+    by_word: dict[str, list[str]] = {}
+    for stem in stems:
+        by_word.setdefault(max(stem.split(), key=len), []).append(GAP.join(stem.split()))
+    flag = F.lit(False)
+    for word, patterns in by_word.items():
+        has = F.contains(lower, F.lit(word))
+        flag = flag | (has if word in patterns else has & lower.rlike("|".join(patterns)))
+    return F.exists(constant(list(_least(set(by_word))), "string"), lambda word: F.contains(lower, word)) & flag
+
+
 def matches(norm: Column, pattern: Column) -> Column:
-    """[start, end) in words of all matches that do not overlap; ``pattern`` stands between blanks."""
-    full = F.concat(F.lit("(?<= )"), pattern, F.lit("(?= )"))
-    found = F.regexp_extract_all(norm, full, F.lit(0))
-    between = F.split(norm, full)
-    blanks = lambda s: F.length(s) - F.length(F.replace(s, F.lit(" "), F.lit("")))
-    step = lambda acc, i: F.struct(
-        (acc["at"] + blanks(F.get(between, i)) + blanks(F.get(found, i))).cast("int").alias("at"),
-        F.array_append(acc["out"], F.struct((acc["at"] + blanks(F.get(between, i)) - 1).cast("int").alias("s"), (acc["at"] + blanks(F.get(between, i)) + blanks(F.get(found, i))).cast("int").alias("e"))).alias("out"),
-    )
-    zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<s:int,e:int>>").alias("out"))
-    return F.when(F.size(found) > 0, F.aggregate(F.sequence(F.lit(0), F.size(found) - 1), zero, step)["out"]).otherwise(F.array().cast("array<struct<s:int,e:int>>"))
+    """(s, e) in words of all matches that do not overlap; ``pattern`` stands between blanks.
+
+    The first and the last word of a match are marked; the words' numbers are its place."""
+    full = F.concat(F.lit("(?<= )("), pattern, F.lit(")(?= )"))
+    words = F.split(F.trim(F.regexp_replace(norm, full, F.lit("\x01$1\x02"))), " ")
+    places = lambda mark: F.array_compact(F.transform(words, lambda w, i: F.when(mark(w), i)))
+    return F.zip_with(places(lambda w: F.startswith(w, F.lit("\x01"))), places(lambda w: F.endswith(w, F.lit("\x02"))), lambda s, e: F.struct(s.alias("s"), (e + 1).alias("e")))
+
+
+#: Hits that are looked back over; a document takes the first number that reaches far enough.
+BACK = (16, 128, 1024)
+
+
+def resolved(df: DataFrame, is_base) -> DataFrame:
+    """``df(hits)`` with ``kept``: without hits inside a better one.  Hits are sorted by start, falling end and
+    falling rank, so that what covers a hit stands before it, and starts no further back than the longest
+    hit is long.  How far to look back is a column of its own: inside the filter it would be taken anew
+    for every hit."""
+    hits, longest, back = F.col("hits"), F.col("longest"), F.col("back")
+    rank = lambda h: F.struct(h["p"], h["len"], h["o"])
+    enough = lambda n: F.forall(F.sequence(F.lit(0), F.size(hits) - 1), lambda k: (k < n) | (F.get(hits, k - n)["s"] + longest < F.get(hits, k)["s"]))
+    reach = F.size(hits)
+    for n in reversed(BACK):
+        reach = F.when(F.size(hits) <= n, n).when(enough(n), n).otherwise(reach)
+
+    def stays(h: Column, k: Column) -> Column:
+        before = F.slice(hits, F.greatest(k - back, F.lit(0)) + 1, F.least(k, back))
+        return is_base(h) | ~F.exists(before, lambda g: (h["e"] <= g["e"]) & (rank(g) > rank(h)))
+
+    out = df.withColumn("longest", F.array_max(F.transform(hits, lambda h: h["len"]))).withColumn("back", F.when(F.size(hits) > 1, reach))
+    return out.withColumn("kept", F.when(F.size(hits) <= 1, hits).otherwise(F.filter(hits, stays)))
 
 
 def scan(docs: DataFrame, *, gated: bool = True) -> DataFrame:
@@ -197,32 +499,30 @@ def scan(docs: DataFrame, *, gated: bool = True) -> DataFrame:
     ``gated=False`` tries every rule on every text, with the same result."""
     listed = rules()
     stems = gate(listed)
-    text = F.coalesce(F.col("text"), F.lit(""))
-    lower = F.lower(text)
-    # any gap may stand between the words of a stem: its longest word decides
-    flag = F.lit(not gated)
-    for word in _least({max(stem.split(), key=len) for stem in stems}):
-        flag = flag | F.contains(lower, F.lit(word))
-    n_words = F.size(F.array_remove(F.split(text, r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"), ""))
-    one = docs.select("doc_id", n_words.cast("long").alias("n_words"), F.when(flag, words_text(text)).alias("norm"))
-    # the two most telling sets of a rule; strings that rules share are looked for once
-    best = [sorted(needs(r.pattern), key=lambda w: -min(map(len, w)))[:2] for r in listed]
-    strings = sorted({w for sets in best for words in sets for w in words})
+    raw = F.coalesce(F.col("text"), F.lit(""))
+    text, lower, parts = F.col("text"), F.col("lower"), F.col("parts")
+    # steps of their own: what later steps use more than once is taken once
+    one = docs.select("doc_id", raw.alias("text"), F.lower(raw).alias("lower")).withColumn("parts", F.split(lower, GAP))
+    last = F.get(parts, F.size(parts) - 1)
+    n_words = F.size(parts) - (F.get(parts, F.lit(0)) == "").cast("int") - ((F.size(parts) > 1) & (last == "")).cast("int")
+    flag = may_hold(lower, stems) if gated else F.lit(True)
+    one = one.select("doc_id", n_words.cast("long").alias("n_words"), F.when(flag, words_text(text)).alias("norm"))
+    # the sets of words that a rule's matches hold; words that rules share are looked for once
+    sets = [key_words(r.pattern) for r in listed]
+    strings = sorted({w for some in sets for words in some for w in words})
     place = {w: i for i, w in enumerate(strings)}
-    words = lambda i: F.array(*(F.array(*(F.lit(place[w]) for w in sets)) for sets in best[i]))
-    table = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(r.label).alias("label"), words(i).alias("words"), F.lit(r.pattern).alias("pattern"), F.lit(r.priority).alias("priority"), F.lit(r.confidence).alias("confidence")) for i, r in enumerate(listed)))
+    table = constant([(i, r.label, [[place[w] for w in some] for some in sets[i]], r.pattern, r.priority, r.confidence) for i, r in enumerate(listed)], "i int, label string, words array<array<int>>, pattern string, priority int, confidence double")
     norm = F.col("norm")
-    some = F.exists(F.array(*map(F.lit, stems)), lambda k: F.contains(norm, k))
-    held = F.transform(F.array(*map(F.lit, strings)), lambda k: F.contains(norm, k))
+    some = F.exists(constant(stems, "string"), lambda k: F.contains(norm, k))
+    held = F.transform(constant(strings, "string"), lambda k: F.contains(norm, k))
     fits = lambda r: F.forall(r["words"], lambda w: F.exists(w, lambda i: F.get(F.col("held"), i)))
     two = one.withColumn("held", F.when(some, held)).withColumn("on", F.when(F.col("held").isNotNull(), F.filter(table, fits)) if gated else table)
-    hits = F.transform("on", lambda r: F.transform(matches(norm, r["pattern"]), lambda m: F.struct(r["priority"].alias("p"), (m["e"] - m["s"]).alias("len"), (-r["i"]).alias("o"), m["s"].alias("s"), m["e"].alias("e"), r["label"].alias("label"), r["confidence"].alias("confidence"))))
-    three = two.withColumn("hits", F.flatten(hits)).select("doc_id", "n_words", "hits")
-    is_base = lambda h: h["o"] > -len(BASE)
-    above = lambda h, g: (g["s"] <= h["s"]) & (h["e"] <= g["e"]) & (F.struct(g["p"], g["len"], g["o"]) > F.struct(h["p"], h["len"], h["o"]))
-    hit = F.col("hits")
-    kept = F.filter(hit, lambda h: is_base(h) | ~F.exists(hit, lambda g: above(h, g)))
-    four = three.withColumn("base", F.filter(hit, is_base)).withColumn("kept", kept)
+    hit = lambda r, m: F.struct(m["s"].alias("s"), (-m["e"]).alias("to"), (-r["priority"]).alias("down"), r["i"].alias("i"), m["e"].alias("e"), r["priority"].alias("p"), (m["e"] - m["s"]).alias("len"), (-r["i"]).alias("o"), r["label"].alias("label"), r["confidence"].alias("confidence"))
+    hits = F.flatten(F.transform("on", lambda r: F.transform(matches(norm, r["pattern"]), lambda m: hit(r, m))))
+    three = two.withColumn("hits", hits).select("doc_id", "n_words", F.sort_array("hits").alias("hits"))
+    is_base = lambda h: h["i"] < len(BASE)
+    found = F.col("hits")
+    four = resolved(three, is_base).withColumn("base", F.filter(found, is_base))
     names = lambda c: F.array_join(F.array_sort(F.array_distinct(F.transform(c, lambda h: h["label"]))), ",")
     return four.select(
         "doc_id",
