@@ -13,17 +13,20 @@ from ..functions.distance import distance_expr, pairwise, vector
 
 
 def lloyd(points: DataFrame, k: int, iters: int, d: int) -> DataFrame:
-    """(cluster, weight, c0..): Lloyd iterations from the first k points; each is one broadcast join
-    of k rows and one aggregation.  (B3a)"""
-    centres = points.where(F.col("ordinal") <= k).select((F.col("ordinal") - 1).cast("int").alias("cluster"), *(F.col("vec")[i].alias(f"c{i}") for i in range(d)))
+    """(cluster, weight, c0..): Lloyd iterations from the first k points.  The k centres are literals of the
+    plan, so an iteration is one scan with one aggregation of k groups.  (B3a)"""
+    rows = points.where(F.col("ordinal") <= k).select((F.col("ordinal") - 1).cast("int").alias("cluster"), "vec").collect()  # k rows
+    centres = {r.cluster: list(r.vec) for r in rows}
+    schema = "cluster int, weight double, " + ", ".join(f"c{i} double" for i in range(d))
+    found = [(c, 0.0, *v) for c, v in sorted(centres.items())]
     for _ in range(iters):
-        gap = distance_expr("sqeuclidean", vector("vec", d), [F.col(f"c{i}") for i in range(d)])
-        near = points.join(F.broadcast(centres.drop("weight")), F.lit(True)).groupBy("point_id", "vec", "weight").agg(F.min(F.struct(gap.alias("dist"), "cluster")).alias("m"))
+        gap = lambda v: distance_expr("sqeuclidean", vector("vec", d), [F.lit(float(x)) for x in v])
+        near = F.array_min(F.array(*(F.struct(gap(v).alias("dist"), F.lit(c).alias("cluster")) for c, v in sorted(centres.items()))))["cluster"]
         total = F.sum("weight")
-        centres = near.groupBy(F.col("m.cluster").alias("cluster")).agg(total.alias("weight"), *((F.sum(F.col("vec")[i] * F.col("weight")) / total).alias(f"c{i}") for i in range(d)))
-        rows = centres.collect()  # k rows
-        centres = points.sparkSession.createDataFrame(rows, centres.schema)
-    return centres
+        means = points.groupBy(near.alias("cluster")).agg(total.alias("weight"), *((F.sum(F.col("vec")[i] * F.col("weight")) / total).alias(f"c{i}") for i in range(d)))
+        found = [tuple(r) for r in means.collect()]  # k rows
+        centres = {r[0]: r[2:] for r in found}
+    return points.sparkSession.createDataFrame(found, schema)
 
 
 def lloyd_kernel(x: np.ndarray, w: np.ndarray, k: int, iters: int) -> tuple[np.ndarray, np.ndarray]:

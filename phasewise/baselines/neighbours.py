@@ -1,5 +1,9 @@
 """Neighbour baselines: k-th neighbour ranking, distance-fraction outliers, windowed counts, local
-density.  (B1, B2, B4, B5)  All pairs are quadratic by definition: ``most_rows`` guards them."""
+density.  (B1, B2, B4, B5)
+
+All pairs are quadratic by definition: ``most_rows`` guards the methods that meet them.  The forms
+"cells" and "grid" have the same answers on tables of any size: counts of grid cells settle nearly all
+points, and only the few in sparse cells are measured."""
 
 from __future__ import annotations
 
@@ -12,10 +16,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.distance import distance_expr, distances, vector
+from ..functions.distance import block_distances, distance_expr, distances, vector
+from ..operators.points import with_ordinal
 
 MOST_ROWS = 50_000
 BLOCK = 1024
+NEAR = "point_id long, near array<struct<dist:double,id:long>>"
 
 
 def _guard(points: DataFrame, most_rows: int) -> int:
@@ -29,51 +35,142 @@ def _sides(points: DataFrame) -> tuple[DataFrame, DataFrame]:
     return points.select(F.col("point_id").alias("a_id"), F.col("vec").alias("a")), points.select(F.col("point_id").alias("b_id"), F.col("vec").alias("b"))
 
 
+def _packed(points: DataFrame, n: int) -> tuple[DataFrame, int]:
+    """(block, ids, x): BLOCK points or so a row."""
+    blocks = max(1, -(-n // BLOCK))
+
+    def pack(key: tuple, table: pa.Table) -> pa.Table:
+        table = table.sort_by("point_id")
+        x = table.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float)
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "ids": pa.array([table.column("point_id").to_numpy().tobytes()], pa.binary()), "x": pa.array([x.tobytes()], pa.binary())})
+
+    block = F.pmod(F.xxhash64("point_id"), F.lit(blocks)).cast("int")
+    return points.select(block.alias("block"), "point_id", "vec").groupBy("block").applyInArrow(pack, "block int, ids binary, x binary"), blocks
+
+
+def nearest_lists(points: DataFrame, k: int, d: int, *, distance: str = "euclidean", prune: bool = False, most_rows: int = MOST_ROWS) -> DataFrame:
+    """(point_id, near): the k nearest others of each point, nearest first (ties: smaller id).
+
+    Blocks of points meet blocks; each pair of blocks is a matrix of distances, of which k columns a row
+    go on, and are merged by point.  ``prune`` sorts a block by distance from a pivot and leaves out the
+    columns that the triangle inequality puts beyond a row's k-th."""
+    n = _guard(points, most_rows)
+    if prune and distance == "sqeuclidean":
+        raise ValueError("pruning needs a metric")
+    packed, blocks = _packed(points, n)
+    left = packed.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other"), F.col("ids").alias("a_ids"), F.col("x").alias("a"))
+    pairs = left.join(packed.withColumnRenamed("block", "other"), "other").repartition(min(blocks * blocks, 2000)).select("a_ids", "a", "ids", "x")
+
+    def full(a_ids, a, ids, x) -> Iterator[tuple]:
+        gap = block_distances(distance, a, x)
+        gap[np.equal.outer(a_ids, ids)] = np.inf
+        for i, row in enumerate(gap):
+            few = min(k, int(np.isfinite(row).sum()))
+            if few:
+                some = np.flatnonzero(row <= np.partition(row, few - 1)[few - 1])
+                yield i, some, row[some]
+
+    def pruned(a_ids, a, ids, x) -> Iterator[tuple]:
+        to_pivot = distances(distance, x, x[0])
+        order = np.argsort(to_pivot, kind="stable")
+        at, x, ids = to_pivot[order], x[order], ids[order]
+        for i, v in enumerate(a):
+            mine = float(distances(distance, x[:1], v)[0]) if len(x) else 0.0
+            middle, reach = int(np.searchsorted(at, mine)), max(2 * k, 16)
+            while True:  # a window around the point's own distance grows until all outside it is too far
+                lo, hi = max(0, middle - reach), min(len(x), middle + reach)
+                gap = distances(distance, x[lo:hi], v)
+                gap[ids[lo:hi] == a_ids[i]] = np.inf
+                few = min(k, int(np.isfinite(gap).sum()))
+                bound = np.partition(gap, few - 1)[few - 1] if few == k else np.inf
+                if (lo == 0 or mine - at[lo - 1] > bound) and (hi == len(x) or at[hi] - mine > bound):
+                    break
+                reach *= 2
+            if few:
+                some = np.flatnonzero(gap <= np.partition(gap, few - 1)[few - 1])
+                yield i, order[lo + some], gap[some]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                a_ids, ids = np.frombuffer(row["a_ids"], np.int64), np.frombuffer(row["ids"], np.int64)
+                a, x = np.frombuffer(row["a"]).reshape(-1, d), np.frombuffer(row["x"]).reshape(-1, d)
+                found = list((pruned if prune else full)(a_ids, a, ids, x))
+                near = [sorted(zip(g.tolist(), ids[j].tolist(), strict=True))[:k] for _, j, g in found]
+                near = [[{"dist": g, "id": j} for g, j in some] for some in near]
+                yield pa.RecordBatch.from_arrays([pa.array([int(a_ids[i]) for i, _, _ in found], pa.int64()), pa.array(near, pa.list_(pa.struct([("dist", pa.float64()), ("id", pa.int64())])))], ["point_id", "near"])
+
+    lists = pairs.mapInArrow(run, NEAR).groupBy("point_id").agg(F.slice(F.array_sort(F.flatten(F.collect_list("near"))), 1, k).alias("near"))  # k a block
+    return points.select("point_id").join(lists, "point_id", "left")
+
+
 def kth_distances(points: DataFrame, k: int, d: int, *, method: str = "join", distance: str = "euclidean", most_rows: int = MOST_ROWS) -> DataFrame:
     """(point_id, dist): distance to the k-th nearest other point.
 
-    "join": every pair in the JVM, a ranking window per point; "block": NumPy blocks against the
-    broadcast points; "pruned": cells around pivots, blocks whose triangle bound is too far are skipped."""
-    n = _guard(points, most_rows)
+    "join": every pair in the JVM, a ranking window per point; "block": NumPy matrices of blocks;
+    "pruned": the same with columns left out by the triangle inequality."""
     if method == "join":
+        _guard(points, most_rows)
         a, b = _sides(points)
         pairs = a.join(F.broadcast(b), F.col("a_id") != F.col("b_id")).select("a_id", distance_expr(distance, vector("a", d), vector("b", d)).alias("dist"))
         rank = F.row_number().over(W.partitionBy("a_id").orderBy("dist"))
         return pairs.withColumn("r", rank).where(F.col("r") <= k).groupBy("a_id").agg(F.max(F.when(F.col("r") == k, F.col("dist"))).alias("dist")).select(F.col("a_id").alias("point_id"), "dist")
     if method not in ("block", "pruned"):
         raise ValueError(f"unknown method {method!r}")
-    rows = points.select("point_id", "vec").toPandas()  # most_rows at most
-    ids, x = rows["point_id"].to_numpy(np.int64), np.stack(rows["vec"].to_numpy()) if n else np.zeros((0, d))
+    lists = nearest_lists(points, k, d, distance=distance, prune=method == "pruned", most_rows=most_rows)
+    return lists.select("point_id", F.get("near", F.lit(k - 1))["dist"].alias("dist"))
+
+
+def cell_of(name: str, side: float, d: int) -> list:
+    return [F.floor(F.col(name)[i] / F.lit(side)) for i in range(d)]
+
+
+def kth_distances_of(some: DataFrame, points: DataFrame, k: int, d: int, distance: str = "euclidean") -> list[tuple[float, int]]:
+    """(dist, point_id) of the points ``some`` (few: they are broadcast), each against all points."""
+    rows = some.select("point_id", "vec").collect()
+    ids, x = np.array([r.point_id for r in rows], np.int64), np.array([list(r.vec) for r in rows], float).reshape(-1, d)
     held = points.sparkSession.sparkContext.broadcast((ids, x))
-    if method == "pruned" and distance == "sqeuclidean":
-        raise ValueError("pruning needs a metric")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, x = held.value
-        pivots = x[np.linspace(0, len(x) - 1, min(len(x), 64)).astype(int)]
-        home = np.stack([distances(distance, x, p) for p in pivots], 1) if method == "pruned" else None
-        cell = home.argmin(1) if method == "pruned" else None
-        reach = [home[cell == c, c].max(initial=0.0) for c in range(len(pivots))] if method == "pruned" else None
-        members = [np.flatnonzero(cell == c) for c in range(len(pivots))] if method == "pruned" else None
+        best = np.full((len(ids), k), np.inf)
         for batch in batches:
-            out = []
-            for pid, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                v = np.array(v, float)
-                if method == "block":
-                    gap = distances(distance, x, v)
-                    gap = gap[ids != pid]
-                else:
-                    to_pivot = distances(distance, pivots, v)
-                    gap = np.zeros(0)
-                    for c in np.argsort(to_pivot - np.array(reach)):
-                        if len(gap) >= k and to_pivot[c] - reach[c] > gap[k - 1]:
-                            break
-                        some = members[c][ids[members[c]] != pid]
-                        gap = np.sort(np.concatenate([gap, distances(distance, x[some], v)]))[:k]
-                out.append(float(np.partition(gap, k - 1)[k - 1]) if len(gap) >= k else None)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.float64())], ["point_id", "dist"])
-
-    return points.select("point_id", "vec").mapInArrow(run, "point_id long, dist double")
+            for at in range(0, batch.num_rows, BLOCK):
+                part = batch.slice(at, BLOCK)
+                others = np.array(part.column(1).to_pylist(), float).reshape(-1, d)
+                gap = block_distances(distance, x, others)
+                gap[np.equal.outer(ids, part.column(0).to_numpy())] = np.inf
+                best = np.sort(np.concatenate([best, gap], 1), 1)[:, :k]
+        near = [[g for g in row if g < np.inf] for row in best.tolist()]
+        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(near, pa.list_(pa.float64()))], ["point_id", "near"])
+
+    near = points.select("point_id", "vec").mapInArrow(run, "point_id long, near array<double>")
+    near = near.groupBy("point_id").agg(F.slice(F.array_sort(F.flatten(F.collect_list("near"))), 1, k).alias("near"))  # k a task
+    return sorted(((r.near[k - 1], r.point_id) for r in near.collect() if len(r.near) == k), key=lambda r: (-r[0], r[1]))
+
+
+def knn_rank_cells(points: DataFrame, k: int = 3, top_n: int = 7, *, d: int, most_rows: int = MOST_ROWS) -> DataFrame:
+    """``knn_rank`` without all pairs.  A point in a grid cell with k others has its k-th neighbour within the
+    cell's diagonal.  The other points, few where cells are wide, are measured against all; once the
+    top_n-th of them is beyond the diagonal, no point elsewhere can be among the first.  Until then
+    cells are halved."""
+    spark = points.sparkSession
+    span = points.agg(*(F.max(F.col("vec")[i]).alias(f"hi{i}") for i in range(d)), *(F.min(F.col("vec")[i]).alias(f"lo{i}") for i in range(d)), F.count("*").alias("n")).head()
+    out: list = []
+    side = max((span[f"hi{i}"] - span[f"lo{i}"] for i in range(d)), default=0.0) if span["n"] else 0.0
+    while side > 0:
+        cells = points.groupBy(*(c.alias(f"c{i}") for i, c in enumerate(cell_of("vec", side, d)))).agg(F.count("*").alias("c"), F.slice(F.collect_list(F.struct("point_id", "vec")), 1, k).alias("members")).where(F.col("c") <= k)
+        some = cells.select(F.explode("members").alias("m")).select("m.*")
+        n = some.count()
+        if n > most_rows:
+            raise ValueError(f"{n} points in sparse cells: more than {most_rows} (raise most_rows to go on)")
+        out = kth_distances_of(some, points, k, d)[:top_n] if n >= min(top_n, span["n"]) else []
+        if n >= span["n"] or len(out) == top_n and out[-1][0] > side * d**0.5:
+            break
+        side = side / 2 if side > 1e-9 else 0.0
+    if not side:  # what is left lies on a few places
+        return knn_rank(points, k, top_n, d=d, method="block", most_rows=most_rows)
+    return spark.createDataFrame([(i, g) for g, i in out], "point_id long, dist double")
 
 
 def knn_rank(points: DataFrame, k: int = 3, top_n: int = 7, *, d: int, **how) -> DataFrame:
@@ -84,61 +181,102 @@ def knn_rank(points: DataFrame, k: int = 3, top_n: int = 7, *, d: int, **how) ->
 def db_outliers(points: DataFrame, radius: float, share: float, *, d: int, method: str = "nested", most_rows: int = MOST_ROWS) -> DataFrame:
     """(point_id, near): points with at most floor(n (1 - share)) others within ``radius``.  (B2)
 
-    "nested": a theta join; "grid": cells of side ``radius``, only neighbouring cells meet."""
+    "nested": a theta join; "grid": counts of cells, then the points of sparse cells only."""
     n = points.count() if method == "grid" else _guard(points, most_rows)
     allowed = int(np.floor(n * (1 - share) + 1e-9))
+    if method == "grid":
+        return _grid_outliers(points, radius, allowed, d)
+    if method != "nested":
+        raise ValueError(f"unknown method {method!r}")
     a, b = _sides(points)
     close = distance_expr("euclidean", vector("a", d), vector("b", d)) <= radius
-    if method == "nested":
-        pairs = a.join(F.broadcast(b), (F.col("a_id") != F.col("b_id")) & close)
-    elif method == "grid":
-        if d > 4:
-            raise ValueError("the grid has 3^d neighbouring cells: four dimensions at most")
-        cell = lambda v: [F.floor(F.col(v)[i] / radius) for i in range(d)]
-        a = a.withColumn("cell", F.array(*cell("a")))
-        shifts = [[]]
-        for _ in range(d):
-            shifts = [s + [x] for s in shifts for x in (-1, 0, 1)]
-        near = F.array(*(F.array(*(c + x for c, x in zip(cell("b"), s, strict=True))) for s in shifts))
-        b = b.withColumn("cell", F.explode(near))
-        pairs = a.join(b, "cell").where((F.col("a_id") != F.col("b_id")) & close)
-    else:
-        raise ValueError(f"unknown method {method!r}")
+    pairs = a.join(F.broadcast(b), (F.col("a_id") != F.col("b_id")) & close)
     counted = pairs.groupBy(F.col("a_id").alias("point_id")).agg(F.count("*").alias("near"))
     return points.select("point_id").join(counted, "point_id", "left").select("point_id", F.coalesce("near", F.lit(0)).alias("near")).where(F.col("near") <= allowed)
 
 
+def _grid_outliers(points: DataFrame, radius: float, allowed: int, d: int) -> DataFrame:
+    """Cells of side radius / (2 sqrt(d)).  All points of a cell and of those around it are within the
+    radius of each other, so a cell with more than ``allowed`` others there holds no outlier.  For the
+    points of the rest, cells that lie wholly within the radius are counted as a whole; a point whose
+    count passes ``allowed`` is out, and only then the cells on the border are looked into."""
+    if d > 3:
+        raise ValueError("the grid has too many neighbouring cells: three dimensions at most")
+    side = radius / (2 * d**0.5)
+    rings = int(np.ceil(radius / side))
+    cells = points.groupBy(F.array(*cell_of("vec", side, d)).alias("cell")).agg(F.count("*").alias("c"))
+
+    def shifted(reach: int):
+        shifts = [[]]
+        for _ in range(d):
+            shifts = [s + [x] for s in shifts for x in range(-reach, reach + 1)]
+        return F.explode(F.array(*(F.array(*(F.col("cell")[i] + x for i, x in enumerate(s))) for s in shifts)))
+
+    around = cells.select(shifted(1).alias("cell"), "c").groupBy("cell").agg(F.sum("c").alias("around"))
+    sparse = cells.join(around, "cell").where(F.col("around") - 1 <= allowed).select("cell")
+    some = points.select("point_id", "vec", F.array(*cell_of("vec", side, d)).alias("cell")).join(sparse, "cell").select("point_id", "vec", shifted(rings).alias("cell"))
+    met = some.join(cells, "cell")
+    low, high = [F.col("cell")[i] * side for i in range(d)], [(F.col("cell")[i] + 1) * side for i in range(d)]
+    v = vector("vec", d)
+    # a little inside and outside the radius: borders are decided on points
+    furthest = F.sqrt(sum((F.greatest(F.abs(x - a), F.abs(x - b)) ** 2 for x, a, b in zip(v, low, high, strict=True)), F.lit(0.0))) * (1 + 1e-9)
+    nearest = F.sqrt(sum((F.greatest(a - x, x - b, F.lit(0.0)) ** 2 for x, a, b in zip(v, low, high, strict=True)), F.lit(0.0))) * (1 - 1e-9)
+    met = met.withColumn("whole", furthest <= radius).where(F.col("whole") | (nearest <= radius))
+    sure = met.groupBy("point_id").agg(F.sum(F.when(F.col("whole"), F.col("c")).otherwise(0)).alias("sure")).where(F.col("sure") - 1 <= allowed)
+    border = met.where(~F.col("whole")).join(sure.select("point_id"), "point_id").select("point_id", F.col("vec").alias("a"), "cell")
+    b = points.select(F.array(*cell_of("vec", side, d)).alias("cell"), F.col("point_id").alias("b_id"), F.col("vec").alias("b"))
+    close = distance_expr("euclidean", vector("a", d), vector("b", d)) <= radius
+    more = border.join(b, "cell").where((F.col("point_id") != F.col("b_id")) & close).groupBy("point_id").agg(F.count("*").alias("more"))
+    # the point's own cell lies within the radius, so it has been counted once
+    out = sure.join(more, "point_id", "left").select("point_id", (F.col("sure") - 1 + F.coalesce("more", F.lit(0))).alias("near"))
+    return out.where(F.col("near") <= allowed)
+
+
 def window_knn(points: DataFrame, radius: float, k: int, width: int, *, d: int, approx: float | None = None) -> DataFrame:
     """(point_id, near, is_outlier): neighbours within ``radius`` among the ``width`` points before and
     after in stream order; outlier below k.  A bucketed range join: buckets of ``width`` ordinals.
-    ``approx`` keeps that share of the points (by hash) as neighbours and scales the count.  (B4)"""
+
+    ``approx`` keeps that share (by hash) of the safe inliers as neighbours of others, and scales their
+    count.  A safe inlier has k neighbours within the radius that come after it: it stays an inlier for
+    as long as it is in the window.  All other points are kept.  (B4)"""
     p = points.select("point_id", "ordinal", "vec")
-    other = p
-    if approx is not None:
-        other = p.where(F.pmod(F.xxhash64("point_id"), F.lit(10_000)) < approx * 10_000)
     a = p.select(F.col("point_id").alias("a_id"), F.col("ordinal").alias("i"), F.col("vec").alias("a"), F.floor(F.col("ordinal") / width).alias("bucket"))
-    b = other.select(F.col("point_id").alias("b_id"), F.col("ordinal").alias("j"), F.col("vec").alias("b"), F.explode(F.array(*(F.floor(F.col("ordinal") / width) + s for s in (-1, 0, 1)))).alias("bucket"))
+    b = p.select(F.col("point_id").alias("b_id"), F.col("ordinal").alias("j"), F.col("vec").alias("b"), F.explode(F.array(*(F.floor(F.col("ordinal") / width) + s for s in (-1, 0, 1)))).alias("bucket"))
     close = distance_expr("euclidean", vector("a", d), vector("b", d)) <= radius
     pairs = a.join(b, "bucket").where((F.col("a_id") != F.col("b_id")) & (F.abs(F.col("i") - F.col("j")) <= width) & close)
-    near = pairs.groupBy(F.col("a_id").alias("point_id")).agg(F.count("*").alias("near"))
-    count = F.coalesce("near", F.lit(0))
-    count = F.round(count / approx).cast("long") if approx is not None else count
-    return points.select("point_id").join(near, "point_id", "left").select("point_id", count.alias("near")).withColumn("is_outlier", F.col("near") < k)
+    count = F.count("*")
+    if approx is not None:
+        safe = pairs.where("j > i").groupBy("a_id").agg(F.count("*").alias("after")).where(F.col("after") >= k).select(F.col("a_id").alias("b_id"), F.lit(True).alias("safe"))
+        pairs = pairs.join(safe, "b_id", "left").where(F.col("safe").isNull() | (F.pmod(F.xxhash64("b_id"), F.lit(10_000)) < approx * 10_000))
+        count = F.count(F.when(F.col("safe").isNull(), 1)) + F.round(F.count("safe") / approx).cast("long")
+    near = pairs.groupBy(F.col("a_id").alias("point_id")).agg(count.alias("near"))
+    out = points.select("point_id").join(near, "point_id", "left").select("point_id", F.coalesce("near", F.lit(0)).alias("near"))
+    if approx is None:
+        return out.withColumn("is_outlier", F.col("near") < k)
+    known = out.join(safe.withColumnRenamed("b_id", "point_id"), "point_id", "left")
+    return known.select("point_id", "near", ((F.col("near") < k) & F.col("safe").isNull()).alias("is_outlier"))
 
 
 def lof(points: DataFrame, k: int, *, d: int, most_rows: int = MOST_ROWS) -> DataFrame:
     """(point_id, lof): local outlier factor with exactly k neighbours (ties: smaller id).  (B5)"""
-    _guard(points, most_rows)
-    a, b = _sides(points)
-    pairs = a.join(F.broadcast(b), F.col("a_id") != F.col("b_id")).select("a_id", "b_id", distance_expr("euclidean", vector("a", d), vector("b", d)).alias("dist"))
-    near = pairs.withColumn("r", F.row_number().over(W.partitionBy("a_id").orderBy("dist", "b_id"))).where(F.col("r") <= k)
-    kth = near.groupBy("a_id").agg(F.max("dist").alias("kd"))
-    reach = near.join(kth.select(F.col("a_id").alias("b_id"), F.col("kd").alias("b_kd")), "b_id").withColumn("reach", F.greatest("dist", "b_kd"))
+    lists = nearest_lists(points, k, d, most_rows=most_rows).where("near is not null")
+    near = lists.select(F.col("point_id").alias("a_id"), F.explode("near").alias("x")).select("a_id", F.col("x.id").alias("b_id"), "x.dist")
+    kth = lists.select(F.col("point_id").alias("b_id"), F.array_max(F.transform("near", lambda x: x["dist"])).alias("b_kd"))
+    reach = near.join(kth, "b_id").withColumn("reach", F.greatest("dist", "b_kd"))
     density = reach.groupBy("a_id").agg((F.lit(1.0) / F.greatest(F.avg("reach"), F.lit(1e-12))).alias("lrd"))
     both = near.join(density, "a_id").join(density.select(F.col("a_id").alias("b_id"), F.col("lrd").alias("b_lrd")), "b_id")
     return both.groupBy(F.col("a_id").alias("point_id")).agg((F.avg("b_lrd") / F.first("lrd")).alias("lof"))
 
 
+def nearest_gaps(points: DataFrame) -> DataFrame:
+    """(point_id, dist) to the nearest other point, for one dimension and any number of points: the
+    neighbours in the order of values."""
+    placed = with_ordinal(points.select("point_id", F.col("vec")[0].alias("x")), ["x", "point_id"], name="o")
+    sides = [placed.select((F.col("o") + s).alias("o"), F.col("x").alias(n)) for s, n in ((1, "below"), (-1, "above"))]
+    both = placed.join(sides[0], "o", "left").join(sides[1], "o", "left")
+    return both.select("point_id", F.least(F.col("x") - F.col("below"), F.col("above") - F.col("x")).alias("dist"))
+
+
 class LofModel:
     """Local outlier factors that follow insertions: only neighbourhoods that a new point enters, and
     those that look at them, are computed again.  (B5a)"""

@@ -34,30 +34,31 @@ def vector(name: str, d: int) -> list[Column]:
     return [F.col(name).getItem(i) for i in range(d)]
 
 
+def _added(kind: str, gaps) -> np.ndarray:
+    """A distance from the coordinates' gaps, added up in their order: equal wherever a pair is met."""
+    total = None
+    for gap in gaps:
+        part = gap * gap if kind in ("euclidean", "sqeuclidean") else np.abs(gap)
+        if total is None:
+            total = part
+        else:
+            total = np.maximum(total, part) if kind == "chebyshev" else total + part
+    return np.sqrt(total) if kind == "euclidean" else total
+
+
 def distances(kind: str, block: np.ndarray, x: np.ndarray) -> np.ndarray:
     """Distance of each row of ``block`` to the point ``x``."""
-    gap = block - x
-    if kind == "euclidean":
-        return np.sqrt(np.einsum("ij,ij->i", gap, gap))
-    if kind == "sqeuclidean":
-        return np.einsum("ij,ij->i", gap, gap)
-    if kind == "manhattan":
-        return np.abs(gap).sum(1)
-    if kind == "chebyshev":
-        return np.abs(gap).max(1)
-    raise ValueError(f"distance must be one of {KINDS}, not {kind!r}")
+    if kind not in KINDS:
+        raise ValueError(f"distance must be one of {KINDS}, not {kind!r}")
+    return _added(kind, (block[:, i] - x[i] for i in range(block.shape[1])))
 
 
 def block_distances(kind: str, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """All distances of two blocks (the rows of ``a`` are cut where memory asks for it)."""
-    rows = max(1, 4_000_000 // max(b.size, 1))
+    rows = max(1, 16_000_000 // max(len(b), 1))
     if len(a) > rows:
         return np.concatenate([block_distances(kind, a[i : i + rows], b) for i in range(0, len(a), rows)])
-    gap = a[:, None, :] - b[None]
-    if kind in ("euclidean", "sqeuclidean"):
-        total = np.einsum("ijk,ijk->ij", gap, gap)
-        return np.sqrt(total) if kind == "euclidean" else total
-    return np.abs(gap).sum(2) if kind == "manhattan" else np.abs(gap).max(2)
+    return _added(kind, (a[:, i, None] - b[None, :, i] for i in range(a.shape[1])))
 
 
 def pairwise(kind: str, a: np.ndarray, b: np.ndarray) -> np.ndarray:

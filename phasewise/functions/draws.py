@@ -22,5 +22,6 @@ def draws(kind: str, seed: int, run: int, phase: int, ids, constant: float = 0.5
         return np.full(len(ids), constant)
     if kind == "always_at_price":
         return np.full(len(ids), np.nextafter(1.0, 0.0))
-    head = f"{seed}|{run}|{phase}|"
-    return np.array([int(hashlib.md5(f"{head}{i}".encode()).hexdigest()[:8], 16) for i in ids], dtype=float) / 4294967296.0
+    head, md5 = f"{seed}|{run}|{phase}|".encode(), hashlib.md5
+    digests = b"".join([md5(head + b"%d" % i).digest() for i in np.asarray(ids).tolist()])
+    return np.frombuffer(digests, ">u4")[::4] / 4294967296.0

@@ -2,18 +2,21 @@
 
 ``Miner`` holds the state between phases (weighted medians, candidates, floor); ``step`` runs one
 phase: independent facility passes over carried medians and unread points, choice of a winner,
-marking, ageing and settlement of candidates, and the hand-over of weighted medians.
+marking, ageing and settlement of candidates, and the hand-over of weighted medians.  A phase may also
+be fed batch by batch.  ``StreamMiner`` takes the points of a stream as they come and cuts them into
+phases; whole streams, stretches of a stored stream and micro-batches all go through it.
 """
 
 from __future__ import annotations
 
+import json
 from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
 
 from ..functions.draws import draws
 from ..plans.schedule import grow, plan_phase
-from .kernel import Pass, StopLimits, facility_pass
+from .kernel import FacilityScan, StopLimits, facility_pass
 
 
 @dataclass(frozen=True)
@@ -110,7 +113,7 @@ def first_points(x: np.ndarray, k: int, zero_floor: str) -> np.ndarray:
     return x[rows]
 
 
-def pick_winner(passes: list[Pass], rule: str) -> Pass:
+def pick_winner(passes: list[FacilityScan], rule: str) -> FacilityScan:
     """Most points read (ties: lower cost, then lower run), or lowest cost."""
     if rule == "cheapest":
         return min(passes, key=lambda p: (p.total, -p.read, p.run))
@@ -129,12 +132,14 @@ class Miner:
         self.phase = 0
         self.stalled_phases = 0
         self.seen = 0
+        self.once: set[int] = set()  # settled inliers, kept where they are not watched again
         self.log = Log()
+        self.passes: list[FacilityScan] = []
 
     # state that a stream keeps between batches ---------------------------------------------
 
     def state(self) -> dict:
-        return {"ids": self.ids.tolist(), "x": self.x.ravel().tolist(), "w": self.w.tolist(), "born": self.born.tolist(), "candidates": [asdict(c) for c in self.candidates.values()], "floor": self.floor, "phase": self.phase, "stalled": self.stalled_phases, "seen": self.seen}
+        return {"ids": self.ids.tolist(), "x": self.x.ravel().tolist(), "w": self.w.tolist(), "born": self.born.tolist(), "candidates": [asdict(c) for c in self.candidates.values()], "floor": self.floor, "phase": self.phase, "stalled": self.stalled_phases, "seen": self.seen, "once": sorted(self.once)}
 
     @classmethod
     def restored(cls, s: Settings, d: int, state: dict) -> Miner:
@@ -143,24 +148,9 @@ class Miner:
         m.x = np.array(state["x"], float).reshape(-1, d)
         m.candidates = {c["median_id"]: Candidate(**c) for c in state["candidates"]}
         m.floor, m.phase, m.stalled_phases, m.seen = state["floor"], state["phase"], state["stalled"], state["seen"]
+        m.once = set(state["once"])
         return m
 
-    def solve(self, plan, limits: StopLimits, ids, x, w, carried: int) -> list[Pass]:
-        """Independent passes over the same input (one after the other here)."""
-        passes, totals = [], set()
-        for run in range(plan.runs):
-            p = self.one_pass(run, plan.price, limits, ids, x, w, carried)
-            passes.append(p)
-            if self.s.plateau == "runs" and p.total in totals:
-                break
-            totals.add(p.total)
-        return passes
-
-    def one_pass(self, run: int, price: float, limits: StopLimits, ids, x, w, carried: int) -> Pass:
-        s = self.s
-        u = draws(s.draws, s.seed, run, self.phase, ids, s.constant)
-        return facility_pass(x, w, u, price, rule=s.opening_rule, distance=s.distance, limits=limits, carried=carried, run=run)
-
     # one phase ------------------------------------------------------------------------------
 
     def set_floor(self, x: np.ndarray) -> bool:
@@ -175,50 +165,81 @@ class Miner:
             self.floor = closest / self.s.beta
         return True
 
-    def step(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, n: float, carried_from: int | None = None) -> int:
-        """Runs one phase on the carried medians and these points; returns how many were read."""
+    def open_phase(self, x: np.ndarray, n: float) -> None:
+        """Starts the runs of a phase, whose first points are ``x``, with the carried medians."""
         s = self.s
         self.set_floor(np.concatenate([self.x, x]))
         self.phase += 1
         floor = self.floor if self.floor is not None else 0.0
-        plan = plan_phase(self.phase, floor, k=s.k, n=n, gamma=s.gamma, beta=s.beta, log_base=s.log_base, runs=s.runs)
-        limits = StopLimits(plan.cost_cap if s.cost_cap is None else s.cost_cap, plan.median_cap if s.median_cap is None else s.median_cap, s.cost_basis)
+        self.plan = plan_phase(self.phase, floor, k=s.k, n=n, gamma=s.gamma, beta=s.beta, log_base=s.log_base, runs=s.runs)
+        self.limits = StopLimits(self.plan.cost_cap if s.cost_cap is None else s.cost_cap, self.plan.median_cap if s.median_cap is None else s.median_cap, s.cost_basis)
         if self.floor is None:
-            limits = replace(limits, cost_cap=float("inf"))
-        all_ids, all_x, all_w = np.concatenate([self.ids, ids]), np.concatenate([self.x, x]), np.concatenate([self.w, w])
-        born = np.concatenate([self.born, np.full(len(ids), self.phase)])
+            self.limits = replace(self.limits, cost_cap=float("inf"))
+        self.passes = [FacilityScan(self.d, self.plan.price, rule=s.opening_rule, distance=s.distance, limits=self.limits, carried=len(self.ids), run=run) for run in range(self.plan.runs)]
+        self.fed = 0
+        self._scan(self.ids, self.x, self.w)
+
+    def _scan(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> None:
+        s = self.s
+        for p in self.passes:
+            if p.stop_reason == "end":
+                p.feed(ids, x, w, draws(s.draws, s.seed, p.run, self.phase, ids, s.constant))
+
+    def feed(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> bool:
+        """Reads points into the open phase; False once all its runs have stopped."""
+        self.fed += len(ids)
+        self._scan(ids, x, w)
+        return any(p.stop_reason == "end" for p in self.passes)
+
+    def step(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, n: float) -> int:
+        """Runs one phase on the carried medians and these points; returns how many were read."""
+        self.open_phase(x, n)
+        self.feed(ids, x, w)
+        return self.close_phase()
+
+    def close_phase(self) -> int:
+        """Chooses the winner, settles candidates, hands over the medians; returns how many points were read."""
+        s, plan, limits = self.s, self.plan, self.limits
+        floor = self.floor if self.floor is not None else 0.0
+        passes, totals = [], set()
+        for p in self.passes:
+            passes.append(p)
+            if s.plateau == "runs" and p.total in totals:
+                break
+            totals.add(p.total)
         carried = len(self.ids)
-        passes = self.solve(plan, limits, all_ids, all_x, all_w, carried)
         won = pick_winner(passes, s.winner)
         for p in passes:
             self.log.runs.append({"phase": self.phase, "run": p.run, "points_read": max(p.read - carried, 0), "medians": len(p.rows), "total_cost": p.total, "stop_reason": p.stop_reason})
         breached = won.stop_reason != "end"
+        # a limit-driven phase is offered all the rest; what it looks at is what it reads, and the point it stops at
+        looked = self.fed if s.mode == "chunked" else max(won.read - carried, 0) + breached
         read = max(won.read - carried, 0)
         # carried medians that were not read stay as they are
         rest = np.arange(min(won.read, carried), carried)
-        new_ids = all_ids[won.rows]
-        self._settle(all_ids[:carried], all_w[:carried], set(all_ids[: min(won.read, carried)].tolist()), new_ids, won)
-        keep = np.array([i not in self.retired for i in new_ids.tolist()], bool)
-        rows = won.rows[keep]
+        new_ids, rows = np.array(won.ids, np.int64), np.array(won.rows, np.int64)
+        born = np.where(rows < carried, np.append(self.born, 0)[np.minimum(rows, carried)], self.phase)
+        self._settle(set(self.ids[: min(won.read, carried)].tolist()), new_ids, won)
+        keep = np.array([i not in self.retired for i in won.ids], bool)
         before = {int(i): float(v) for i, v in zip(self.ids, self.w, strict=True)}
-        for j, row in enumerate(won.rows):
-            i = int(all_ids[row])
+        for j, i in enumerate(won.ids):
             c = self.candidates.get(i)
-            self.log.medians.append({"phase": self.phase, "median_id": i, "vec": all_x[row].tolist(), "weight_before": before.get(i, 0.0), "weight_after": float(won.weight[j]), "born_phase": int(born[row]), "is_candidate": c is not None or i in self.retired, "score": c.score if c else 0, "age": c.age if c else 0})
-        self.log.phases.append({"phase": self.phase, "floor": floor, "price": plan.price, "runs": len(passes), "winner_run": won.run, "points_in": len(ids), "points_read": read, "unread": len(ids) - read, "medians_out": int(keep.sum()) + len(rest), "new_medians": int(sum(won.rows >= carried)), "service_cost": won.service, "facility_cost": won.facility, "total_cost": won.total, "ssq": won.ssq, "max_dist": won.max_dist, "stop_reason": won.stop_reason})
-        self.ids, self.x = np.concatenate([all_ids[rows], all_ids[rest]]), np.concatenate([all_x[rows], all_x[rest]])
-        self.w, self.born = np.concatenate([won.weight[keep], all_w[rest]]), np.concatenate([born[rows], born[rest]])
+            self.log.medians.append({"phase": self.phase, "median_id": i, "vec": won.at[j].tolist(), "weight_before": before.get(i, 0.0), "weight_after": float(won.weight[j]), "born_phase": int(born[j]), "is_candidate": c is not None or i in self.retired, "score": c.score if c else 0, "age": c.age if c else 0})
+        self.log.phases.append({"phase": self.phase, "floor": floor, "price": plan.price, "runs": len(passes), "winner_run": won.run, "points_in": looked, "points_read": read, "unread": looked - read, "medians_out": int(keep.sum()) + len(rest), "new_medians": int((rows >= carried).sum()), "service_cost": won.service, "facility_cost": won.facility, "total_cost": won.total, "ssq": won.ssq, "max_dist": won.max_dist, "stop_reason": won.stop_reason})
+        self.ids, self.x = np.concatenate([new_ids[keep], self.ids[rest]]), np.concatenate([won.at[keep], self.x[rest]])
+        self.w, self.born = np.concatenate([won.weight[keep], self.w[rest]]), np.concatenate([born[keep], self.born[rest]])
         if s.repass:
             self._compact(plan, limits)
         if self.floor is not None:
             self.floor = grow(self.floor, s.beta, s.floor_growth, breached)
         self.seen += read
-        self.stalled_phases = 0 if read or not len(ids) else self.stalled_phases + 1
+        self.stalled_phases = 0 if read or not self.fed else self.stalled_phases + 1
         if self.stalled_phases >= s.max_stalled_phases:
             raise NoProgress(f"{self.stalled_phases} phases read no new point")
+        self.passes = []
         return read
 
-    def _settle(self, carried_ids, carried_w, reread: set[int], new_ids: np.ndarray, won: Pass) -> None:
+    def _settle(self, reread: set[int], new_ids: np.ndarray, won: FacilityScan) -> None:
         """Ages candidates and gives verdicts; ``self.retired`` are the outliers of this phase."""
         s = self.s
         self.retired: set[int] = set()
@@ -247,10 +268,6 @@ class Miner:
 
     just_inlier: set[int] = set()
 
-    @property
-    def once(self) -> set[int]:
-        return {v["median_id"] for v in self.log.verdicts if v["verdict"] == "inlier"}
-
     def _at_age(self, c: Candidate) -> None:
         if c.age < self.s.outlier_phases:
             return
@@ -260,6 +277,8 @@ class Miner:
         else:
             self._verdict(c, "inlier")
             self.just_inlier = self.just_inlier | {c.median_id}
+            if not self.s.rewatch:
+                self.once.add(c.median_id)
         self.candidates.pop(c.median_id, None)
 
     def _verdict(self, c: Candidate, verdict: str) -> None:
@@ -271,7 +290,7 @@ class Miner:
         while len(self.ids) > limits.median_cap or price * len(self.ids) > limits.cost_cap:
             price *= self.s.beta
             p = facility_pass(self.x, self.w, draws(self.s.draws, self.s.seed, -1, self.phase, self.ids, self.s.constant), price, distance=self.s.distance)
-            self.ids, self.x, self.w, self.born = self.ids[p.rows], self.x[p.rows], p.weight, self.born[p.rows]
+            self.ids, self.x, self.w, self.born = self.ids[p.rows], self.x[p.rows], p.weight.copy(), self.born[p.rows]
             if self.s.plateau == "repass" and p.total == last or len(self.ids) <= 1:
                 break
             last = p.total
@@ -281,14 +300,10 @@ class Miner:
 
     def run(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> Log:
         """All points of a stream in order."""
-        s, at, phases = self.s, 0, 0
-        n = s.n_declared or len(ids)
-        queue = len(ids)
-        while at < queue and (s.max_phases is None or phases < s.max_phases):
-            upto = queue if s.mode == "limit_driven" else min(at + s.num, queue)
-            at += self.step(ids[at:upto], x[at:upto], w[at:upto], n)
-            phases += 1
-        return self.finish()
+        stream = StreamMiner(self.s, self.d, n=self.s.n_declared or len(ids), miner=self)
+        stream.add(ids, x, w)
+        stream.flush(final=True)
+        return self.log
 
     def finish(self) -> Log:
         """Verdicts of the candidates that are still watched."""
@@ -299,3 +314,68 @@ class Miner:
             elif s.final_policy != "drop":
                 self._verdict(c, "pending")
         return self.log
+
+
+class StreamMiner:
+    """A stream's miner and the points that it has not read yet.  A chunk closes when ``num`` points are
+    there; what a limit leaves unread heads the next chunk.  In limit-driven mode a phase takes points
+    until all its runs have stopped, and what the winner left unread begins the next one; an open phase
+    lives as long as the process, so its points are not given away before it ends."""
+
+    def __init__(self, settings: Settings, d: int, state: str | None = None, *, n: float | None = None, miner: Miner | None = None):
+        """``n``: the declared length; without one it is the next power of two of the points so far."""
+        self.settings, self.d, self.n = settings, d, n or settings.n_declared
+        held = json.loads(state) if state else None
+        self.miner = miner or (Miner.restored(settings, d, held["miner"]) if held else Miner(settings, d))
+        self.ids = np.array(held["ids"] if held else [], np.int64)
+        self.x = np.array(held["x"] if held else [], float).reshape(-1, d)
+        self.w = np.array(held["w"] if held else [], float)
+        self.fed = 0  # points at hand that the open phase has been fed
+
+    def state(self) -> str:
+        """What the next batch needs; a phase that is still open starts again from its first point."""
+        if self.miner.passes:
+            raise RuntimeError("a phase is open")
+        return json.dumps({"miner": self.miner.state(), "ids": self.ids.tolist(), "x": self.x.ravel().tolist(), "w": self.w.tolist()})
+
+    def _more_phases(self) -> bool:
+        return self.settings.max_phases is None or self.miner.phase < self.settings.max_phases
+
+    def _length(self, here: int) -> float:
+        return self.n or 1 << max(int(self.miner.seen + here - 1).bit_length(), 1)
+
+    def _drop(self, read: int) -> None:
+        self.ids, self.x, self.w, self.fed = self.ids[read:], self.x[read:], self.w[read:], 0
+
+    def add(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> None:
+        """Takes points in stream order and runs the phases that they complete."""
+        self.ids, self.x, self.w = np.concatenate([self.ids, ids]), np.concatenate([self.x, x]), np.concatenate([self.w, w])
+        if self.settings.mode == "limit_driven":
+            while self.fed < len(self.ids) and self._more_phases() and not self._extend():
+                pass
+            return
+        num = self.settings.num
+        while len(self.ids) >= num and self._more_phases():
+            self._drop(self.miner.step(self.ids[:num], self.x[:num], self.w[:num], self._length(num)))
+
+    def _extend(self) -> bool:
+        """Feeds the open phase all points at hand; True while it wants more."""
+        if not self.miner.passes:
+            self.miner.open_phase(self.x, self._length(len(self.ids)))
+        more = self.miner.feed(self.ids[self.fed :], self.x[self.fed :], self.w[self.fed :])
+        self.fed = len(self.ids)
+        if not more:
+            self._drop(self.miner.close_phase())
+        return more
+
+    def flush(self, final: bool = False) -> None:
+        """Reads all that is left, in shorter phases; ``final`` also ends the watch of candidates."""
+        while len(self.ids) and self._more_phases():
+            if self.settings.mode == "limit_driven":
+                if self._extend():
+                    self._drop(self.miner.close_phase())
+            else:
+                num = self.settings.num
+                self._drop(self.miner.step(self.ids[:num], self.x[:num], self.w[:num], self._length(min(num, len(self.ids)))))
+        if final:
+            self.miner.finish()

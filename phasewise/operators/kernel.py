@@ -4,6 +4,9 @@ A point of weight w at distance t from the nearest open median opens a median if
 min(t * w / price, 1) (rule "priced") or min(t * w, 1) (rule "unpriced"); otherwise its weight goes
 to that median.  The first point opens.  A point whose effect would pass a limit is rolled back and
 the pass stops before it.
+
+``FacilityScan`` takes the points batch by batch and holds the open medians only, so a pass over any
+number of points needs no more memory than its medians; ``facility_pass`` takes them all at once.
 """
 
 from __future__ import annotations
@@ -16,6 +19,7 @@ from ..functions.distance import block_distances, distances
 
 #: Points whose distances are taken at a time.
 BLOCK = 64
+RULES = ("priced", "unpriced")
 
 
 @dataclass(frozen=True)
@@ -27,33 +31,6 @@ class StopLimits:
     cost_basis: str = "total"
 
 
-@dataclass
-class Pass:
-    """What one run did.  Medians are rows of the input."""
-
-    rows: np.ndarray
-    weight: np.ndarray
-    gained: np.ndarray
-    gained_raw: np.ndarray
-    to: np.ndarray  # median (its place in ``rows``) of every point read
-    dist: np.ndarray
-    read: int
-    service: float
-    price: float
-    stop_reason: str
-    ssq: float = 0.0
-    max_dist: float = 0.0
-    run: int = 0
-
-    @property
-    def facility(self) -> float:
-        return self.price * len(self.rows)
-
-    @property
-    def total(self) -> float:
-        return self.service + self.facility
-
-
 def _opens(theta: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, rule: str) -> np.ndarray:
     load = theta * w
     if rule == "priced":
@@ -61,74 +38,107 @@ def _opens(theta: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, rule:
     return u < np.minimum(load, 1.0)
 
 
-def facility_pass(x: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, *, rule: str = "priced", distance: str = "euclidean", limits: StopLimits = StopLimits(), carried: int = 0, run: int = 0) -> Pass:
-    """``carried`` leading rows are medians of earlier phases (for ``gained_raw``)."""
-    if rule not in ("priced", "unpriced"):
-        raise ValueError(f"unknown opening rule {rule!r}")
-    n, d = x.shape
-    at = np.empty((min(max(n, 1), 256), d))
-    rows: list[int] = []
-    weight, gained, raw = np.zeros(len(at)), np.zeros(len(at), bool), np.zeros(len(at), bool)
-    to, dist = np.zeros(n, np.int64), np.zeros(n)
-    service = 0.0
-    reason, read = "end", n
-    for start in range(0, n, BLOCK):
-        xb, wb, ub = x[start : start + BLOCK], w[start : start + BLOCK], u[start : start + BLOCK]
-        size = len(xb)
+class FacilityScan:
+    """What one run has done so far.  ``rows``, ``ids`` and ``at`` are the open medians: their places in the
+    input, ids and coordinates; ``stop_reason`` is "end" while no limit has been met."""
+
+    def __init__(self, d: int, price: float, *, rule: str = "priced", distance: str = "euclidean", limits: StopLimits = StopLimits(), carried: int = 0, run: int = 0, keep: bool = False):
+        """``carried`` leading points are medians of earlier phases (for ``gained_raw``); ``keep`` holds every
+        point's median and distance."""
+        if rule not in RULES:
+            raise ValueError(f"unknown opening rule {rule!r}")
+        self.price, self.rule, self.distance, self.limits, self.carried, self.run = price, rule, distance, limits, carried, run
+        self._at, self._weight = np.empty((64, d)), np.zeros(64)
+        self._gained, self._raw = np.zeros(64, bool), np.zeros(64, bool)
+        self._rows: list[int] = []
+        self.ids: list[int] = []
+        self.read, self.service, self.ssq, self.max_dist, self.stop_reason = 0, 0.0, 0.0, 0.0, "end"
+        self.kept: list[tuple[np.ndarray, np.ndarray]] | None = [] if keep else None
+
+    rows = property(lambda self: np.array(self._rows, np.int64))
+    at = property(lambda self: self._at[: len(self._rows)])
+    weight = property(lambda self: self._weight[: len(self._rows)])
+    gained = property(lambda self: self._gained[: len(self._rows)])
+    gained_raw = property(lambda self: self._raw[: len(self._rows)])
+    facility = property(lambda self: self.price * len(self._rows))
+    total = property(lambda self: self.service + self.facility)
+    to = property(lambda self: np.concatenate([np.zeros(0, np.int64), *(t for t, _ in self.kept)]))
+    dist = property(lambda self: np.concatenate([np.zeros(0), *(t for _, t in self.kept)]))
+
+    def _open(self, row: int, ident: int, x: np.ndarray, w: float) -> int:
+        m = len(self._rows)
+        if m == len(self._at):
+            self._at = np.concatenate([self._at, np.empty_like(self._at)])
+            self._weight, self._gained, self._raw = (np.concatenate([v, np.zeros_like(v)]) for v in (self._weight, self._gained, self._raw))
+        self._at[m], self._weight[m] = x, w
+        self._rows.append(row), self.ids.append(ident)
+        return m
+
+    def feed(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, u: np.ndarray) -> None:
+        for start in range(0, len(x), BLOCK):
+            if self.stop_reason != "end":
+                return
+            part = slice(start, start + BLOCK)
+            self._block(ids[part], x[part], w[part], u[part])
+
+    def _block(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, u: np.ndarray) -> None:
+        limits, price, size, start = self.limits, self.price, len(x), self.read
+        counted = limits.cost_basis == "total"
         # distances to the medians opened before this block, then only corrections by new ones
         theta, near = np.full(size, np.inf), np.zeros(size, np.int64)
-        if rows:
-            gaps = block_distances(distance, xb, at[: len(rows)])
+        if self._rows:
+            gaps = block_distances(self.distance, x, self.at)
             near = gaps.argmin(1)
             theta = gaps[np.arange(size), near]
-        opens = _opens(theta, wb, ub, price, rule)
-        if not rows:
+        opens = _opens(theta, w, u, price, self.rule)
+        if not self._rows:
             opens[0] = True
+        taken, to, dist = size, np.zeros(size, np.int64), np.zeros(size)
         j = 0
         while j < size:
             stop = j + int(opens[j:].argmax())
             if not opens[stop]:
                 stop = size
             if stop > j:  # points j..stop-1 are assigned
-                costs = np.cumsum(np.concatenate([[service], theta[j:stop] * wb[j:stop]]))[1:]
-                base = price * len(rows) if limits.cost_basis == "total" else 0.0
-                over = costs + base > limits.cost_cap
+                costs = np.cumsum(np.concatenate([[self.service], theta[j:stop] * w[j:stop]]))[1:]
+                over = costs + (price * len(self._rows) if counted else 0.0) > limits.cost_cap
                 upto = j + int(over.argmax()) if over.any() else stop
-                some = slice(start + j, start + upto)
-                to[some], dist[some] = near[j:upto], theta[j:upto]
-                np.add.at(weight, near[j:upto], wb[j:upto])
-                gained[near[j:upto]] = True
-                raw[near[max(j, min(upto, carried - start)) : upto]] = True
-                service = float(costs[upto - j - 1]) if upto > j else service
+                to[j:upto], dist[j:upto] = near[j:upto], theta[j:upto]
+                np.add.at(self._weight, near[j:upto], w[j:upto])
+                self._gained[near[j:upto]] = True
+                self._raw[near[max(j, min(upto, self.carried - start)) : upto]] = True
+                self.service = float(costs[upto - j - 1]) if upto > j else self.service
                 if upto < stop:
-                    reason, read = "cost", start + upto
+                    self.stop_reason, taken = "cost", upto
                     break
             if stop < size:  # point ``stop`` opens a median
-                i, m = start + stop, len(rows)
-                if service + (price * (m + 1) if limits.cost_basis == "total" else 0.0) > limits.cost_cap:
-                    reason, read = "cost", i
+                m = len(self._rows)
+                if self.service + (price * (m + 1) if counted else 0.0) > limits.cost_cap:
+                    self.stop_reason, taken = "cost", stop
                     break
                 if m + 1 > limits.median_cap:
-                    reason, read = "medians", i
+                    self.stop_reason, taken = "medians", stop
                     break
-                if m == len(at):
-                    at = np.concatenate([at, np.empty_like(at)])
-                    weight, gained, raw = (np.concatenate([v, np.zeros_like(v)]) for v in (weight, gained, raw))
-                at[m], to[i], weight[m] = x[i], m, w[i]
-                rows.append(i)
+                to[stop] = self._open(start + stop, int(ids[stop]), x[stop], w[stop])
                 if stop + 1 < size:
-                    gap = distances(distance, xb[stop + 1 :], x[i])
+                    gap = distances(self.distance, x[stop + 1 :], x[stop])
                     closer = (gap < theta[stop + 1 :]).nonzero()[0]  # ties stay with the earlier median
                     if len(closer):
                         gap, closer = gap[closer], closer + (stop + 1)
                         theta[closer] = gap
                         near[closer] = m
-                        opens[closer] = _opens(gap, wb[closer], ub[closer], price, rule)
+                        opens[closer] = _opens(gap, w[closer], u[closer], price, self.rule)
             j = stop + 1
-        if reason != "end":
-            break
-    m = len(rows)
-    squared = dist[:read] if distance == "sqeuclidean" else dist[:read] * dist[:read]
-    ssq, most = float((w[:read] * squared).sum()), float(dist[:read].max(initial=0.0))
-    weight, gained, raw = weight[:m], gained[:m], raw[:m]
-    return Pass(np.array(rows, np.int64), weight, gained, raw, to[:read], dist[:read], read, service, price, reason, ssq, most, run)
+        self.read += taken
+        gone = dist[:taken]
+        self.ssq += float((w[:taken] * (gone if self.distance == "sqeuclidean" else gone * gone)).sum())
+        self.max_dist = max(self.max_dist, float(gone.max(initial=0.0)))
+        if self.kept is not None:
+            self.kept.append((to[:taken], gone))
+
+
+def facility_pass(x: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, *, ids: np.ndarray | None = None, **how) -> FacilityScan:
+    """One pass over all points; ``how`` goes to ``FacilityScan``."""
+    scan = FacilityScan(x.shape[1], price, keep=True, **how)
+    scan.feed(np.arange(len(x)) if ids is None else ids, x, w, u)
+    return scan

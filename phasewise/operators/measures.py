@@ -31,13 +31,43 @@ def outlier_count(verdicts: DataFrame) -> DataFrame:
     return verdicts.where("verdict = 'outlier'").agg(F.countDistinct("median_id").alias("outliers"), F.coalesce(F.sum("weight"), F.lit(0.0)).alias("outlier_weight"))
 
 
-def timed(label: str, n: int, action: Callable, repeats: int = 1) -> list[tuple[str, int, float, float]]:
-    """(label, n, wall seconds, driver CPU seconds) of each repeat.  (C7)"""
+def executor_cpu(spark) -> float:
+    """CPU seconds that tasks of this application have used in the JVMs so far, by Spark's own metrics."""
+    store = spark._jsc.sc().statusStore()
+    stages = store.stageList(None, False, False, spark._sc._gateway.new_array(spark._jvm.double, 0), None)
+    return sum(stages.apply(i).executorCpuTime() for i in range(stages.size())) / 1e9
+
+
+def _python_cpu() -> float:
+    """CPU seconds of this process and of its ended children, with those of live Python workers (local mode)."""
+    import os
+
+    tick, me, total = os.sysconf("SC_CLK_TCK"), os.getpid(), 0.0
+    parents, times = {}, {}
+    for pid in filter(str.isdigit, os.listdir("/proc")):
+        try:
+            with open(f"/proc/{pid}/stat") as f:
+                name, rest = f.read().rsplit(")", 1)
+        except OSError:
+            continue
+        fields = rest.split()
+        parents[int(pid)], times[int(pid)] = int(fields[1]), (sum(map(int, fields[11:15])) / tick, "java" in name)
+    for pid, (seconds, java) in times.items():
+        up = pid
+        while up not in (0, 1, me) and up in parents:
+            up = parents[up]
+        if up == me and not java:
+            total += seconds
+    return total
+
+
+def timed(spark, label: str, n: int, action: Callable, repeats: int = 1) -> list[tuple[str, int, float, float]]:
+    """(label, n, wall seconds, CPU seconds of tasks and Python workers) of each repeat.  (C7)"""
     out = []
     for _ in range(repeats):
-        wall, cpu = time.perf_counter(), time.process_time()
+        wall, cpu, python = time.perf_counter(), executor_cpu(spark), _python_cpu()
         action()
-        out.append((label, n, time.perf_counter() - wall, time.process_time() - cpu))
+        out.append((label, n, time.perf_counter() - wall, executor_cpu(spark) - cpu + _python_cpu() - python))
     return out
 
 
@@ -63,8 +93,14 @@ def approx_ratio(points: DataFrame, medians: DataFrame, k: int, d: int) -> DataF
     return cost.join(F.broadcast(best), F.lit(True)).select("cost", "optimum", (F.col("cost") / F.col("optimum")).alias("ratio"))
 
 
+def success_share(costs: dict[int, float], bound: float) -> dict[str, float]:
+    """Share of the seeds whose cost is within ``bound`` times the least.  (C12)"""
+    best = min(costs.values())
+    return {"seeds": len(costs), "bound": bound, "share": sum(c <= bound * best for c in costs.values()) / len(costs)}
+
+
 def stability(results: dict[int, set], costs: dict[int, float], medians: dict[int, int]) -> dict[str, float]:
-    """Mean pairwise Jaccard of outlier sets and deviations over seeds.  (C12, C13)"""
+    """Mean pairwise Jaccard of outlier sets and deviations over seeds.  (C13)"""
     pairs = list(combinations(results, 2))
     jaccard = [len(results[a] & results[b]) / len(results[a] | results[b]) if results[a] | results[b] else 1.0 for a, b in pairs]
 
@@ -76,6 +112,16 @@ def stability(results: dict[int, set], costs: dict[int, float], medians: dict[in
     return {"pairs": len(pairs), "mean_jaccard": sum(jaccard) / len(jaccard) if jaccard else 1.0, "sd_outliers": sd(len(r) for r in results.values()), "sd_cost": sd(costs.values()), "sd_medians": sd(medians.values())}
 
 
+def seed_table(runs: DataFrame) -> DataFrame:
+    """(seeds, mean_jaccard, sd_outliers, sd_cost, sd_medians) from (seed, median_ids, cost, medians), one row a
+    seed, inside Spark: pairs of seeds are joined, their sets compared.  (C13)"""
+    a, b = (runs.select(F.col("seed").alias(f"seed_{s}"), F.col("median_ids").alias(f"ids_{s}")) for s in ("a", "b"))
+    union = F.size(F.array_union("ids_a", "ids_b"))
+    pairs = a.join(F.broadcast(b), F.col("seed_a") < F.col("seed_b")).agg(F.avg(F.when(union == 0, 1.0).otherwise(F.size(F.array_intersect("ids_a", "ids_b")) / union)).alias("mean_jaccard"))  # one row a seed
+    spread = runs.agg(F.count("*").alias("seeds"), F.stddev_samp(F.size("median_ids")).alias("sd_outliers"), F.stddev_samp("cost").alias("sd_cost"), F.stddev_samp("medians").alias("sd_medians"))
+    return spread.join(F.broadcast(pairs), F.lit(True)).select("seeds", "mean_jaccard", "sd_outliers", "sd_cost", "sd_medians")
+
+
 def overlap(a: DataFrame, b: DataFrame, key: str = "point_id") -> DataFrame:
     """(both, only_a, only_b, jaccard) of two sets of ids.  (C14)"""
     x, y = a.select(key).distinct().withColumn("in_a", F.lit(1)), b.select(key).distinct().withColumn("in_b", F.lit(1))
@@ -111,9 +157,16 @@ def detection_delay(verdicts: DataFrame, num: int) -> DataFrame:
 
 
 def sparse_gap(points: DataFrame, outlier_ids: DataFrame, d: int) -> DataFrame:
-    """(point_id, nn_dist, dataset_quantile): nearest-neighbour distance of outliers among all points'.  (C18)"""
-    from ..baselines.neighbours import kth_distances
-
-    nn = kth_distances(points, 1, d)
-    ranked = nn.withColumn("dataset_quantile", F.percent_rank().over(W.orderBy("dist")))
-    return ranked.join(F.broadcast(outlier_ids.select("point_id")), "point_id").select("point_id", F.col("dist").alias("nn_dist"), "dataset_quantile")
+    """(point_id, nn_dist, dataset_quantile): nearest-neighbour distance of outliers among all points'.  One
+    dimension takes tables of any size, more dimensions the guard of the all-pairs baselines.  (C18)"""
+    from ..baselines.neighbours import kth_distances, nearest_gaps
+    from .points import with_ordinal
+
+    nn = nearest_gaps(points) if d == 1 else kth_distances(points, 1, d, method="block")
+    ranked = with_ordinal(nn, ["dist", "point_id"], name="o")
+    # equal distances share their first place
+    first = ranked.groupBy("dist").agg(F.min("o").alias("first"))
+    n = ranked.agg(F.count("*").alias("n"))
+    some = ranked.join(F.broadcast(outlier_ids.select("point_id").distinct()) if outlier_ids.count() <= 100_000 else outlier_ids.select("point_id").distinct(), "point_id")
+    share = F.when(F.col("n") > 1, (F.col("first") - 1) / (F.col("n") - 1)).otherwise(0.0)
+    return some.join(first, "dist").join(F.broadcast(n), F.lit(True)).select("point_id", F.col("dist").alias("nn_dist"), share.alias("dataset_quantile"))

@@ -13,8 +13,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.distance import distance_expr, vector
-from .engine import Miner, Settings, pick_winner
-from .kernel import Pass, facility_pass
+from ..functions.draws import draws
+from ..plans.schedule import plan_phase
+from ..sources.shared import new_path, stored, written
+from .engine import Miner, Settings, StreamMiner
+from .kernel import FacilityScan, facility_pass
 
 TAGGED = (
     "stream_key string, kind string, phase int, median_id long, vec array<double>, weight_before double, weight_after double, born_phase int, is_candidate boolean, "
@@ -50,11 +53,14 @@ class MinerResult:
         return self.verdicts.where("verdict = 'outlier'").join(place, ["stream_key", "median_id"])
 
     def final(self, recent_only: bool = True) -> tuple[DataFrame, DataFrame]:
-        """(medians, outliers); ``recent_only``: those of the last phase.  (M30)"""
+        """(medians, outliers); ``recent_only``: those of the last phase, medians without the outliers that it
+        retired.  (M30)"""
         if not recent_only:
             return self.medians, self.outliers
         last = self.phase_log.groupBy("stream_key").agg(F.max("phase").alias("last"))
-        return self.medians.join(last, "stream_key").where("phase = last").drop("last"), self.outliers.join(last, "stream_key").where("settled_phase = last").drop("last")
+        held = self.medians.join(last, "stream_key").where("phase = last").drop("last")
+        gone = self.verdicts.where("verdict = 'outlier'").select("stream_key", "median_id")
+        return held.join(gone, ["stream_key", "median_id"], "left_anti"), self.outliers.join(last, "stream_key").where("settled_phase = last").drop("last")
 
 
 ARROW = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "boolean": pa.bool_(), "array<double>": pa.list_(pa.float64())}
@@ -82,7 +88,9 @@ def _arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def mine_outliers(points: DataFrame, settings: Settings = Settings()) -> MinerResult:
-    """Every stream on its own: one exchange by stream key, then the phases in the stream's task."""
+    """Many streams, each on its own: one exchange by stream key, then the phases in the stream's task, which
+    holds the stream.  A single long stream goes through ``mine_single_stream``, a huge one through
+    ``mine_shards``."""
 
     def run(table: pa.Table) -> pa.Table:
         ids, x, w = _columns(table)
@@ -91,90 +99,142 @@ def mine_outliers(points: DataFrame, settings: Settings = Settings()) -> MinerRe
     return MinerResult(points.select("stream_key", "ordinal", "point_id", "vec", "weight").groupBy("stream_key").applyInArrow(run, TAGGED))
 
 
-class _SparkRuns(Miner):
-    """Runs of a phase as tasks; the block is broadcast (``num`` points and the medians at most)."""
+STATE = "state"
 
-    spark = None
 
-    def solve(self, plan, limits, ids, x, w, carried):
-        held = self.spark.sparkContext.broadcast((ids, x, w))
-        settings, phase, d = self.s, self.phase, self.d
+def _stretch(settings: Settings, n: int, key: str, state: str | None, last: bool):
+    """Reads a stretch of one stream, batch by batch: log rows, and the state that the next one needs."""
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            miner = Miner(settings, d)
-            miner.phase = phase
-            for batch in batches:
-                for r in batch.column(0).to_pylist():
-                    p = miner.one_pass(r, plan.price, limits, *held.value, carried)
-                    yield pa.RecordBatch.from_arrays([pa.array([r]), pa.array([p.read]), pa.array([len(p.rows)]), pa.array([float(p.service)]), pa.array([p.stop_reason])], ["run", "read", "medians", "service", "stop_reason"])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        stream = None
+        for batch in batches:
+            if batch.num_rows:
+                ids, x, w = _columns(pa.Table.from_batches([batch]))
+                stream = stream or StreamMiner(settings, x.shape[1], state, n=n)
+                stream.add(ids, x, w)
+        if stream is None:
+            return
+        if last:
+            stream.flush(final=True)
+        rows = rows_of(stream.miner.log, key).to_pylist()
+        if not last:
+            rows.append({"stream_key": key, "kind": STATE, "stop_reason": stream.state()})
+        for at in range(0, max(len(rows), 1), 10_000):
+            yield from pa.Table.from_pylist(rows[at : at + 10_000], schema=SCHEMA).to_batches()
 
-        logs = self.spark.range(plan.runs).repartition(plan.runs).mapInArrow(run, "run long, read long, medians long, service double, stop_reason string").collect()  # one row a run
-        nothing = np.zeros(0)
-        passes = [Pass(np.zeros(r.medians, np.int64), nothing, nothing, nothing, nothing, nothing, r.read, r.service, plan.price, r.stop_reason, run=r.run) for r in sorted(logs)]
-        won = pick_winner(passes, settings.winner).run
-        passes[won] = self.one_pass(won, plan.price, limits, ids, x, w, carried)  # draws are fixed: it can be replayed
-        held.unpersist()
-        return passes
+    return run
 
 
-def mine_single_stream(points: DataFrame, settings: Settings = Settings()) -> MinerResult:
-    """One long stream: a driver loop over phases, each reading its block by an ordinal range and
-    spreading the phase's runs over tasks.  The driver holds one block and the medians."""
+def mine_single_stream(points: DataFrame, settings: Settings = Settings(), *, stretch: int = 1_000_000, path: str | None = None) -> MinerResult:
+    """One long stream, of any length: its ordered points are written once, then read in stretches of
+    ``stretch`` ordinals.  A stretch is one task that takes its rows batch by batch, from the state that the
+    stretch before left to its own, which is written with its log rows below ``path``.  No task or driver
+    holds the stream: a task holds a batch, the points that are not read yet, the medians, and the log.
+
+    A call with the same ``path`` goes on after the last stretch that was written.  In limit-driven mode
+    an open phase must not cross a border, so the rest of the stream is one stretch."""
     spark = points.sparkSession
-    n = points.agg(F.max("ordinal")).head()[0] or 0
-    key = (points.select("stream_key").head() or ["all"])[0]
-    miner, at, phases = None, 0, 0
-    declared = settings.n_declared or n
-    while at < n and (settings.max_phases is None or phases < settings.max_phases):
-        upto = n if settings.mode == "limit_driven" else min(at + settings.num, n)
-        block = points.where(F.col("ordinal").between(at + 1, upto)).select("ordinal", "point_id", "vec", "weight").toPandas()
-        ids, x, w = _arrays(block)
-        if miner is None:
-            miner = _SparkRuns(settings, x.shape[1])
-            miner.spark = spark
-        at += miner.step(ids, x, w, declared)
-        phases += 1
-    table = rows_of(miner.finish(), key) if miner else SCHEMA.empty_table()
-    return MinerResult(spark.createDataFrame(table, TAGGED))
+    base = path or new_path(spark, "stream")
+    held = points.select("stream_key", "ordinal", "point_id", "vec", "weight").repartitionByRange("ordinal").sortWithinPartitions("ordinal")
+    held = spark.read.parquet(f"{base}/points") if _exists(spark, f"{base}/points/_SUCCESS") else written(held, f"{base}/points")
+    n = held.agg(F.max("ordinal")).head()[0] or 0
+    if not n:
+        return MinerResult(spark.createDataFrame([], TAGGED))
+    key = held.select("stream_key").head()[0]
+    size = n if settings.mode == "limit_driven" else max(stretch, settings.num)
+    state, tables = None, []
+    for i, at in enumerate(range(0, n, size)):
+        where = f"{base}/log-{i}"
+        if not _exists(spark, f"{where}/_SUCCESS"):
+            rows = held.where(F.col("ordinal").between(at + 1, at + size)).coalesce(1).sortWithinPartitions("ordinal")
+            written(rows.mapInArrow(_stretch(settings, settings.n_declared or n, key, state, at + size >= n), TAGGED), where)
+        tables.append(where)
+        state = spark.read.schema(TAGGED).parquet(where).where(F.col("kind") == STATE).select("stop_reason").head()
+        state = state[0] if state else None
+    return MinerResult(spark.read.schema(TAGGED).parquet(*tables))
+
+
+def _exists(spark, path: str) -> bool:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
 
 
 def sharded_medians(points: DataFrame, *, shards: int, price: float, settings: Settings = Settings(), fan_in: int = 64) -> DataFrame:
-    """One huge stream as (shard, median_id, vec, weight): stretches of ordinals are condensed side
-    by side at one shared price, then merged ``fan_in`` at a time.  An approximation: the order of
-    points counts within a stretch only.  Weights add up to the stream's.  (M22)"""
+    """One huge stream as (median_id, vec, weight): stretches of ordinals are condensed side
+    by side at one shared price, then merged ``fan_in`` at a time; every round's medians are written.  An
+    approximation: the order of points counts within a stretch only.  Weights add up to the stream's.  (M22)"""
     schema = "shard long, ordinal long, point_id long, vec array<double>, weight double"
 
     def condense(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("ordinal", kind="stable")
         ids, x, w = _arrays(pdf)
-        u = Miner(settings, x.shape[1])
-        from ..functions.draws import draws
-
-        p = facility_pass(x, w, draws(settings.draws, settings.seed, 0, 0, ids, settings.constant), price, rule=settings.opening_rule, distance=u.s.distance)
+        p = facility_pass(x, w, draws(settings.draws, settings.seed, 0, 0, ids, settings.constant), price, rule=settings.opening_rule, distance=settings.distance)
         return pd.DataFrame({"shard": pdf["shard"].iloc[0], "ordinal": pdf["ordinal"].to_numpy()[p.rows], "point_id": ids[p.rows], "vec": list(x[p.rows]), "weight": p.weight})
 
     n = points.agg(F.max("ordinal")).head()[0] or 1
     out = points.withColumn("shard", F.floor((F.col("ordinal") - 1) * shards / F.lit(n)).cast("long")).select(*(f.split()[0] for f in schema.split(", ")))
-    out = out.groupBy("shard").applyInPandas(condense, schema)
+    out = stored(out.groupBy("shard").applyInPandas(condense, schema), "shards")
     while shards > 1:
         shards = -(-shards // fan_in)
-        out = out.withColumn("shard", F.floor(F.col("shard") / fan_in).cast("long")).groupBy("shard").applyInPandas(condense, schema)
+        out = stored(out.withColumn("shard", F.floor(F.col("shard") / fan_in).cast("long")).groupBy("shard").applyInPandas(condense, schema), "shards")
     return out.select(F.col("point_id").alias("median_id"), "vec", "weight")
 
 
+def shared_price(points: DataFrame, settings: Settings, d: int, phase: int = 1) -> float:
+    """The price of a phase of the whole stream: what ``sharded_medians`` should be given."""
+    from ..plans.schedule import initial_floor
+
+    row = initial_floor(points, settings.k, settings.beta, d=d, distance=settings.distance, zero_floor=settings.zero_floor).head()
+    n = settings.n_declared or points.count()
+    floor = settings.floor if settings.floor is not None else (row["floor"] if row else 0.0)
+    return plan_phase(phase, floor * settings.beta ** (phase - 1), k=settings.k, n=n, gamma=settings.gamma, beta=settings.beta, log_base=settings.log_base).price
+
+
+def mine_shards(points: DataFrame, d: int, settings: Settings = Settings(), *, shards: int, price: float | None = None) -> dict[str, DataFrame]:
+    """A huge stream in shards, with verdicts.  Phases are ``num`` ordinals each, as in one stream.
+
+    The shards' medians are found at one shared price.  A confirming scan then assigns every point to
+    its nearest median (a broadcast of medians, behind a check of their number) and counts who gains
+    weight in which phase; a median stalls in a phase that gives it no point but itself.  Ageing and settling
+    follow the same rule as the miner's, over these counts.  (M22)
+
+    Returns medians, stalls (median_id, phase, stalled) and verdicts."""
+    price = shared_price(points, settings, d) if price is None else price
+    medians = stored(sharded_medians(points, shards=shards, price=price, settings=settings), "medians")
+    phase = F.floor((F.col("ordinal") - 1) / settings.num) + 1
+    near = assign(points, medians, d, settings.distance, keep=("ordinal",))
+    hits = near.where(F.col("point_id") != F.col("median_id")).groupBy("median_id", phase.cast("int").alias("phase")).agg(F.sum("weight").alias("gained"))
+    born = points.select(F.col("point_id").alias("median_id"), phase.cast("int").alias("born")).join(F.broadcast(medians.select("median_id")), "median_id")
+    last = points.agg(F.max(phase).cast("int").alias("last"))
+    every = born.join(F.broadcast(last), F.lit(True)).select("median_id", F.explode(F.sequence("born", "last")).alias("phase"))  # one row
+    stalls = stored(every.join(hits, ["median_id", "phase"], "left").select("median_id", "phase", F.col("gained").isNull().alias("stalled")), "stalls")
+    return {"medians": medians, "stalls": stalls, "verdicts": settle(stalls, settings.outlier_phases)}
+
+
 MOST_MEDIANS = 200_000
 
 
-def assign(points: DataFrame, medians: DataFrame, d: int, distance: str = "euclidean") -> DataFrame:
-    """(stream_key, point_id, weight, median_id, dist): the nearest median of each point; ties go to
-    the smaller id.  Medians are broadcast behind a check of their number.  (M25)"""
-    medians = medians.select(F.col("median_id"), F.col("vec").alias("mvec"))
-    if medians.count() > MOST_MEDIANS:
+def assign(points: DataFrame, medians: DataFrame, d: int, distance: str = "euclidean", keep: tuple[str, ...] = ()) -> DataFrame:
+    """(stream_key, point_id, weight, median_id, dist, ``keep``): each row's nearest median; ties go to the
+    smaller id.  Medians with a stream_key are for the points of that stream; without one they are for
+    all.  (M25)
+
+    A stream's medians are one array beside its points, and the nearest is its least element: points are
+    neither multiplied nor moved while the medians can be broadcast (a check of their number).  Beyond
+    that, keyed medians meet their points by an exchange."""
+    few = medians.count() <= MOST_MEDIANS
+    one = F.sort_array(F.collect_list(F.struct("median_id", "vec"))).alias("_ms")
+    if "stream_key" in medians.columns:
+        held = medians.groupBy("stream_key").agg(one)
+        both = points.join(F.broadcast(held) if few else held, "stream_key")
+    elif few:
+        both = points.join(F.broadcast(medians.agg(one)), F.lit(True))
+    else:
         raise ValueError(f"more than {MOST_MEDIANS} medians: condense them first (sharded_medians)")
-    gap = distance_expr(distance, vector("vec", d), vector("mvec", d))
-    best = points.join(F.broadcast(medians), F.lit(True)).withColumn("dist", gap)
-    best = best.groupBy("stream_key", "point_id", "weight").agg(F.min(F.struct("dist", "median_id")).alias("m"))
-    return best.select("stream_key", "point_id", "weight", "m.median_id", "m.dist")
+    gap = lambda m: distance_expr(distance, vector("vec", d), [m["vec"].getItem(i) for i in range(d)])
+    best = F.array_min(F.transform("_ms", lambda m: F.struct(gap(m).alias("dist"), m["median_id"].alias("median_id"))))
+    out = both.select("stream_key", "point_id", "weight", *keep, best.alias("_m"))
+    return out.select("stream_key", "point_id", "weight", "_m.median_id", "_m.dist", *keep)
 
 
 def explain_outliers(outliers: DataFrame, medians: DataFrame, d: int) -> DataFrame:
@@ -237,7 +297,6 @@ def stop_audit(assignments: DataFrame, price: float, cost_cap: float) -> DataFra
 
 def pass_assignments(points: DataFrame, price: float, settings: Settings = Settings(), run: int = 0, phase: int = 1) -> DataFrame:
     """(stream_key, ordinal, point_id, weight, median_id, dist, opens): one facility pass per stream."""
-    from ..functions.draws import draws
 
     def go(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("ordinal", kind="stable")
@@ -248,3 +307,27 @@ def pass_assignments(points: DataFrame, price: float, settings: Settings = Setti
         return pd.DataFrame({"stream_key": pdf["stream_key"].iloc[0], "ordinal": pdf["ordinal"].to_numpy(), "point_id": ids, "weight": w, "median_id": ids[p.rows][p.to], "dist": p.dist, "opens": opens})
 
     return points.groupBy("stream_key").applyInPandas(go, "stream_key string, ordinal long, point_id long, weight double, median_id long, dist double, opens boolean")
+
+
+def pass_stream(points: DataFrame, price: float, settings: Settings = Settings(), run: int = 0, phase: int = 1) -> DataFrame:
+    """``pass_assignments`` of one long stream: one task reads it in order, batch by batch, and holds a batch and
+    the open medians only (a pass is sequential by definition; ``sharded_medians`` is its parallel form)."""
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scan = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            table = pa.Table.from_batches([batch])
+            ids, x, w = _columns(table)
+            scan = scan or FacilityScan(x.shape[1], price, rule=settings.opening_rule, distance=settings.distance, keep=True)
+            m = len(scan.rows)
+            scan.feed(ids, x, w, draws(settings.draws, settings.seed, run, phase, ids, settings.constant))
+            opens = np.zeros(len(ids), bool)
+            opens[scan.rows[m:] - (scan.read - len(ids))] = True
+            to, dist = np.array(scan.ids, np.int64)[scan.to], scan.dist
+            scan.kept.clear()
+            yield pa.RecordBatch.from_arrays([table.column("stream_key").combine_chunks(), table.column("ordinal").combine_chunks(), pa.array(ids), pa.array(w), pa.array(to), pa.array(dist), pa.array(opens)], ["stream_key", "ordinal", "point_id", "weight", "median_id", "dist", "opens"])
+
+    rows = points.select("stream_key", "ordinal", "point_id", "vec", "weight").coalesce(1).sortWithinPartitions("ordinal")
+    return rows.mapInArrow(go, "stream_key string, ordinal long, point_id long, weight double, median_id long, dist double, opens boolean")

@@ -9,39 +9,32 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from ..functions.coding import Feature, feature_columns
+from ..sources.shared import stored
 
-#: Buckets of a global order.
-RANGES = 200
 NULLS = ("error", "drop", "impute")
 
 
 def with_ordinal(df: DataFrame, keys: list, stream_key: str | None = None, name: str = "ordinal") -> DataFrame:
     """A dense ordinal from 1 in the order of ``keys``.
 
-    Per stream it is a window over the stream's own rows.  A single stream is never ranked in one
-    task: quantiles of the first key cut the rows into RANGES buckets, rows are ranked within their
-    bucket, and each bucket starts at the sum of the counts before it (RANGES rows, broadcast).
+    Per stream it is a window over the stream's own rows.  A single stream is never ranked in one task:
+    rows are range-partitioned by all keys, sorted within their part, and written once with their place
+    in it; each part starts at the sum of the counts before it (one number a part, broadcast).  Plan
+    it over the columns that are needed: they are what is written.
     """
     if stream_key:
         return df.withColumn(name, F.row_number().over(W.partitionBy(stream_key).orderBy(*keys)).cast("long"))
-    first = F.col(keys[0]) if isinstance(keys[0], str) else keys[0]
-    kind = df.select(first).schema[0].dataType
-    if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
-        place = F.unix_micros(first.cast("timestamp")).cast("double")
-    elif isinstance(kind, T.StringType):  # follows the order of the first characters
-        place = sum((F.ascii(F.substring(first, i + 1, 1)).cast("double") / 256.0**i for i in range(6)), F.lit(0.0))
-    else:
-        place = first.cast("double")
-    bounds = df.agg(F.percentile_approx(place, [i / RANGES for i in range(1, RANGES)], 10_000)).head()[0] or []
-    bucket = F.size(F.filter(F.array(*(F.lit(float(b)) for b in sorted(set(bounds)))), lambda b: b <= place)) if bounds else F.lit(0)
-    placed = df.withColumn("_bucket", bucket)
-    counts = placed.groupBy("_bucket").agg(F.count("*").alias("_n"))
-    before = counts.select(F.col("_bucket"), F.coalesce(F.sum("_n").over(W.orderBy("_bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
-    inside = F.row_number().over(W.partitionBy("_bucket").orderBy(*keys))
-    return placed.join(F.broadcast(before), "_bucket").withColumn(name, (F.col("_before") + inside).cast("long")).drop("_bucket", "_before")
+    at = "_at"
+    while at in df.columns:
+        at += "_"
+    placed = stored(df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn(at, F.monotonically_increasing_id()), "ordered")
+    part, inside = F.shiftright(at, 33), F.col(at).bitwiseAND(F.lit((1 << 33) - 1))
+    counts = placed.groupBy(part.alias(f"{at}p")).agg(F.count("*").alias(f"{at}n"))
+    before = counts.select(f"{at}p", F.coalesce(F.sum(f"{at}n").over(W.orderBy(f"{at}p").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias(f"{at}b"))
+    out = placed.join(F.broadcast(before), part == F.col(f"{at}p"))
+    return out.withColumn(name, (F.col(f"{at}b") + inside + 1).cast("long")).drop(at, f"{at}p", f"{at}b")
 
 
 def to_points(df: DataFrame, order_by: list, features: list[Feature | str] | None = None, *, vector: str | None = None, point_id: str | None = None, stream_key: str | Column | None = None, weight: str | None = None, nulls: str = "error", impute: float = 0.0) -> DataFrame:
@@ -54,7 +47,9 @@ def to_points(df: DataFrame, order_by: list, features: list[Feature | str] | Non
     parts = feature_columns(df, features) if features else None
     vec = F.array(*parts) if parts else F.col(vector).cast("array<double>")
     key = F.lit("all") if stream_key is None else (F.col(stream_key) if isinstance(stream_key, str) else stream_key)
-    out = df.withColumn("_vec", vec).withColumn("_key", key.cast("string"))
+    order = [(F.col(k) if isinstance(k, str) else k).alias(f"_k{i}") for i, k in enumerate(order_by)]
+    ident = [F.col(point_id).cast("long").alias("_id")] if point_id else []
+    out = df.select(*order, *ident, vec.alias("_vec"), key.cast("string").alias("_key"), (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("_weight"))
     missing = F.col("_vec").isNull() | F.exists("_vec", lambda x: x.isNull())
     if nulls == "drop":
         out = out.where(~missing)
@@ -62,13 +57,13 @@ def to_points(df: DataFrame, order_by: list, features: list[Feature | str] | Non
         out = out.withColumn("_vec", F.transform("_vec", lambda x: F.coalesce(x, F.lit(impute))))
     bad = F.coalesce(missing, F.lit(True)) | F.exists("_vec", lambda x: F.isnan(x) | (F.abs(x) == float("inf")))
     out = out.withColumn("_vec", F.when(bad, F.raise_error(F.lit("a coordinate is null, NaN or infinite")).cast("array<double>")).otherwise(F.col("_vec")))
-    out = with_ordinal(out, order_by, "_key" if stream_key is not None else None, "_ordinal")
+    out = with_ordinal(out, [f"_k{i}" for i in range(len(order))], "_key" if stream_key is not None else None, "_ordinal")
     return out.select(
         F.col("_key").alias("stream_key"),
-        F.col("_ordinal").cast("long").alias("ordinal"),
-        (F.col(point_id) if point_id else F.col("_ordinal")).cast("long").alias("point_id"),
+        F.col("_ordinal").alias("ordinal"),
+        F.col("_id" if point_id else "_ordinal").alias("point_id"),
         F.col("_vec").alias("vec"),
-        (F.col(weight).cast("double") if weight else F.lit(1.0)).alias("weight"),
+        F.col("_weight").alias("weight"),
     )
 
 

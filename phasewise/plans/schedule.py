@@ -78,11 +78,11 @@ def phase_schedule(spark: SparkSession, floor1: float | Column, *, k: int, n: in
 def initial_floor(points: DataFrame, k: int, beta: float, *, d: int, distance: str = "euclidean", zero_floor: str = "distinct") -> DataFrame:
     """(stream_key, closest, floor): the closest pair of the first k + 1 points, over beta.
 
-    ``zero_floor="distinct"`` takes the first k + 1 different points, "error" fails on a zero."""
+    ``zero_floor="distinct"`` takes the first k + 1 different points, "error" fails on a zero, "allow" keeps it."""
     if zero_floor == "distinct":
         firsts = points.groupBy("stream_key", "vec").agg(F.min("ordinal").alias("ordinal"))
         head = firsts.withColumn("r", F.row_number().over(W.partitionBy("stream_key").orderBy("ordinal"))).where(F.col("r") <= k + 1)
-    elif zero_floor == "error":
+    elif zero_floor in ("error", "allow"):
         head = points.where(F.col("ordinal") <= k + 1)
     else:
         raise ValueError(f"unknown zero_floor {zero_floor!r}")

@@ -11,8 +11,10 @@ from ..operators import measures as ms
 from ..operators import miner as mn
 from ..operators.engine import Settings
 from ..plans.schedule import log, multiplier
-from ..sources.tables import events_points, lineitem_points, orders_points, table
-from .core import EV, FIXED, NEAR, events_miner, fixed_medians
+from ..sources.shared import stored
+from ..sources.tables import customer_points, events_points, lineitem_points, nation_points, orders_points, table
+from .core import EV, NEAR, PRICED, USERS_SQL, events_miner, fixed_medians, pass_sql, users_miner
+from .miner_sql import EVENTS, USERS, VERDICTS, miner_sql
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -28,37 +30,52 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-P2 = "p as (select l_orderkey, row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) as id, l_quantity as x, cast(round(l_discount * 100) as double) as y from lineitem), q as (select * from p where id <= 1000)"
-
-
-def plane(spark, sf, rows: int = 1000):
-    """Quantity and discount (in hundredths) of the first lineitems."""
-    p = lineitem_points(spark, sf, rows)
-    return p.withColumn("vec", F.array(F.col("vec")[0], F.round(F.col("vec")[2] * 100)))
+CUSTOMERS = "q as (select c_custkey as id, c_acctbal / 100 as x, c_nationkey::double as y from customer)"
+PLANE_GAP = "sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y))"
+KNN = f"with {CUSTOMERS}, d as (select a.id, {PLANE_GAP} as g, row_number() over (partition by a.id order by {PLANE_GAP}) as r from q a join q b on a.id <> b.id), k as (select id as point_id, g from d where r = 3) select point_id, round(g, 6) as dist from k order by g desc, point_id limit 7"
 
 
-PLANE_GAP = "sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y))"
-KNN = f"with {P2}, d as (select a.id, {PLANE_GAP} as g, row_number() over (partition by a.id order by {PLANE_GAP}) as r from q a join q b on a.id <> b.id), k as (select id as point_id, g from d where r = 3) select point_id, round(g, 6) as dist from k order by g desc, point_id limit 7"
+def plane(spark, sf):
+    """Quantity and price (in thousands) of all lineitems."""
+    return lineitem_points(spark, sf).withColumn("vec", F.array(F.col("vec")[0], F.col("vec")[1] / 1000))
 
 
 def _knn(method):
-    return lambda spark, sf: bn.knn_rank(plane(spark, sf), 3, 7, d=2, method=method).select("point_id", F.round("dist", 6).alias("dist"))
+    return lambda spark, sf: bn.knn_rank(customer_points(spark, sf), 3, 7, d=2, method=method).select("point_id", F.round("dist", 6).alias("dist"))
 
 
 for _m, _name in (("join", "knn_rank_top"), ("block", "knn_rank_block"), ("pruned", "knn_rank_pruned")):
     Q[_name], SQL[_name] = _knn(_m), KNN
 
-DB = f"with {P2}, n as (select a.id, count(b.id) as near from q a left join q b on a.id <> b.id and {PLANE_GAP} <= 3 group by 1) select id as point_id, near from n where near <= 20"
+
+@query("knn_rank_cells", KNN)
+def knn_rank_cells(spark, sf):
+    return bn.knn_rank_cells(customer_points(spark, sf), 3, 7, d=2).select("point_id", F.round("dist", 6).alias("dist"))
+
+
+@query("knn_rank_lineitem")
+def knn_rank_lineitem(spark, sf):
+    """The same over all lineitems: too many pairs for SQL, tested against all pairs on a small table."""
+    return bn.knn_rank_cells(plane(spark, sf), 3, 7, d=2)
+
+
+DB = f"with {CUSTOMERS}, n as (select a.id, count(b.id) as near from q a left join q b on a.id <> b.id and {PLANE_GAP} <= 3 group by 1) select id as point_id, near from n where near <= (select floor(count(*) * (1 - 0.99) + 1e-9) from q)"
 
 
 def _db(method):
-    return lambda spark, sf: bn.db_outliers(plane(spark, sf), 3.0, 0.98, d=2, method=method)
+    return lambda spark, sf: bn.db_outliers(customer_points(spark, sf), 3.0, 0.99, d=2, method=method)
 
 
 Q["db_nested"], SQL["db_nested"] = _db("nested"), DB
 Q["db_grid"], SQL["db_grid"] = _db("grid"), DB
 
 
+@query("db_grid_lineitem")
+def db_grid_lineitem(spark, sf):
+    """Distance-fraction outliers of all lineitems: too many pairs for SQL, tested on a small table."""
+    return bn.db_outliers(plane(spark, sf), 3.0, 0.998, d=2, method="grid")
+
+
 @query("window_knn", f"with {EV}, n as (select a.id, count(b.id) as near from e a left join e b on a.id <> b.id and abs(a.ordinal - b.ordinal) <= 50 and abs(a.cents - b.cents) <= 100 group by 1) select id as point_id, near, near < 2 as is_outlier from n")
 def window_knn(spark, sf):
     return bn.window_knn(events_points(spark, sf, scale=100.0), 100.0, 2, 50, d=1)
@@ -69,9 +86,10 @@ def window_knn_approx(spark, sf):
     return bn.window_knn(events_points(spark, sf, scale=100.0), 100.0, 2, 50, d=1, approx=0.5)
 
 
-@query("lof", f"with {EV}, s as (select * from e where ordinal <= 500), d as (select a.id as a, b.id as b, abs(a.cents - b.cents)::double as g, row_number() over (partition by a.id order by abs(a.cents - b.cents), b.id) as r from s a join s b on a.id <> b.id), n as (select * from d where r <= 5), k as (select a, max(g) as kd from n group by a), l as (select n.a, 1.0 / greatest(avg(greatest(n.g, k.kd)), 1e-12) as lrd from n join k on k.a = n.b group by n.a) select n.a as point_id, round(avg(y.lrd) / any_value(x.lrd), 6) as lof from n join l x on x.a = n.a join l y on y.a = n.b group by n.a")
+@query("lof", "with s as (select c_custkey as id, cast(round(c_acctbal * 100) as bigint) as c from customer), d as (select a.id as a, b.id as b, abs(a.c - b.c)::double as g, row_number() over (partition by a.id order by abs(a.c - b.c), b.id) as r from s a join s b on a.id <> b.id), n as (select * from d where r <= 5), k as (select a, max(g) as kd from n group by a), l as (select n.a, 1.0 / greatest(avg(greatest(n.g, k.kd)), 1e-12) as lrd from n join k on k.a = n.b group by n.a) select n.a as point_id, round(avg(y.lrd) / any_value(x.lrd), 6) as lof from n join l x on x.a = n.a join l y on y.a = n.b group by n.a")
 def lof(spark, sf):
-    return bn.lof(events_points(spark, sf, upto=500, scale=100.0), 5, d=1).select("point_id", F.round("lof", 6).alias("lof"))
+    p = customer_points(spark, sf).withColumn("vec", F.array(F.round(F.col("vec")[0] * 10_000)))
+    return bn.lof(p, 5, d=1).select("point_id", F.round("lof", 6).alias("lof"))
 
 
 STAT = {"zscore": "with s as (select avg(value) as c, stddev_samp(value) as w from events) select event_id as point_id, round(abs(value - c) / w, 6) as score from events, s where abs(value - c) / w > 3",
@@ -123,17 +141,17 @@ def mean_miner_light(spark, sf):
     return bm.mean_miner(events_points(spark, sf), 5, 500, 2, rule="light", min_weight=20.0)
 
 
-SMALL = f"with {EV}, s as (select * from e where ordinal <= 60), g as (select a.id as p, b.id as m, abs(a.cents - b.cents) as g from s a, s b)"
+SMALL = "with s as (select n_nationkey as id, (n_nationkey * n_nationkey * 7 + n_nationkey * 3) % 101 as c from nation), g as (select a.id as p, b.id as m, abs(a.c - b.c) as g from s a, s b)"
 
 
-@query("exact_kmedian_k1", SMALL + " select sum(g)::bigint as cost, m as m1 from g group by m order by cost, m1 limit 1")
+@query("exact_kmedian_k1", SMALL + " select sum(g)::bigint as cost, m::bigint as m1 from g group by m order by cost, m1 limit 1")
 def exact_kmedian_k1(spark, sf):
-    return bm.exact_kmedian(events_points(spark, sf, upto=60, scale=100.0), 1, 1, "manhattan").select(F.col("cost").cast("long").alias("cost"), "m1")
+    return bm.exact_kmedian(nation_points(spark, sf), 1, 1, "manhattan").select(F.col("cost").cast("long").alias("cost"), "m1")
 
 
-@query("exact_kmedian_k2", SMALL + " select sum(least(a.g, b.g))::bigint as cost, a.m as m1, b.m as m2 from g a join g b on a.p = b.p and a.m < b.m group by 2, 3 order by cost, m1, m2 limit 1")
+@query("exact_kmedian_k2", SMALL + " select sum(least(a.g, b.g))::bigint as cost, a.m::bigint as m1, b.m::bigint as m2 from g a join g b on a.p = b.p and a.m < b.m group by a.m, b.m order by cost, m1, m2 limit 1")
 def exact_kmedian_k2(spark, sf):
-    return bm.exact_kmedian(events_points(spark, sf, upto=60, scale=100.0), 2, 1, "manhattan").select(F.col("cost").cast("long").alias("cost"), "m1", "m2")
+    return bm.exact_kmedian(nation_points(spark, sf), 2, 1, "manhattan").select(F.col("cost").cast("long").alias("cost"), "m1", "m2")
 
 
 def _cost(column):
@@ -144,67 +162,96 @@ for _c, _sql in (("kmedian_cost", "sum(dist)"), ("ssq", "sum(dist * dist)"), ("m
     Q[_c], SQL[_c] = _cost(_c), f"{NEAR} select round({_sql}, 3) as {_c} from a"
 
 
-def charged(spark, sf):
-    """Charges of a pass that opens exactly the fixed medians."""
-    fixed = F.col("point_id") % 1000 == 0
-    return mn.assign(events_points(spark, sf), fixed_medians(spark, sf), 1).withColumn("opens", fixed)
+CHARGES = {"service_cost": "p.service / 100.0", "facility_cost": "20.0 * len(p.x)", "total_cost": "p.service / 100.0 + 20.0 * len(p.x)"}
+for _c, _sql in CHARGES.items():
+    Q[_c] = lambda spark, sf, c=_c: ms.online_cost(mn.pass_stream(events_points(spark, sf, scale=100.0), 2000.0), 2000.0).select(F.round(F.col(c) / 100, 2).alias(c))
+    SQL[_c] = pass_sql(PRICED) + f" select round(({_sql})::double, 2) as {_c} from done"
 
 
-CHARGE = f"with {EV}, {FIXED}, a as (select id, min(abs(value - mv)) as dist, id % 1000 = 0 as opens from e, m group by id), c as (select sum(case when opens then 0 else dist end) as s, sum(opens::int) * 20.0 as f from a)"
-for _c, _sql in (("service_cost", "s"), ("facility_cost", "f"), ("total_cost", "s + f")):
-    Q[_c] = lambda spark, sf, c=_c: ms.online_cost(charged(spark, sf), 20.0).select(F.round(c, 3).alias(c))
-    SQL[_c] = f"{CHARGE} select round({_sql}, 3)::double as {_c} from c"
+OUT = "o as (select stream_key, v.id as median_id, v.w as weight, v.first as first_phase, v.settled as settled_phase from (select stream_key, unnest(verdicts) as v from result) where v.verdict = 'outlier')"
 
 
-@query("outlier_count", "with e as (select event_id as id, value from events), s as (select avg(value) as c, stddev_samp(value) as w from e) select count(*) as outliers, count(*)::double as outlier_weight from e, s where abs(value - c) / w > 3")
+@query("outlier_count", USERS_SQL + f", {OUT} select count(distinct median_id) as outliers, coalesce(sum(weight), 0)::double as outlier_weight from o")
 def outlier_count(spark, sf):
-    v = bs.stat_outliers(events_points(spark, sf), "zscore", 3.0).select(F.col("point_id").alias("median_id"), F.lit(1.0).alias("weight"), F.lit("outlier").alias("verdict"))
-    return ms.outlier_count(v)
+    return ms.outlier_count(users_miner(spark, sf).verdicts)
 
 
-@query("miner_outliers")
+@query("miner_outliers", USERS_SQL + f", {OUT} select o.stream_key, median_id, round(x, 6) as x, weight, first_phase, settled_phase from o join points on points.stream_key = o.stream_key and points.id = median_id")
 def miner_outliers(spark, sf):
-    return events_miner(spark, sf).outliers.drop("vec")
+    return users_miner(spark, sf).outliers.select("stream_key", "median_id", F.round(F.col("vec")[0], 6).alias("x"), "weight", "first_phase", "settled_phase")
 
 
-PHASES = "p as (select (ordinal - 1) // 1000 as phase, count(distinct cents // 1000)::int as medians_out, count(*) as points_read from e group by 1)"
+@query("miner_outliers_stream", miner_sql(EVENTS, k=3, num=500, runs=3, growth="on_breach") + VERDICTS + " where v.verdict = 'outlier'")
+def miner_outliers_stream(spark, sf):
+    return events_miner(spark, sf).verdicts.where("verdict = 'outlier'")
 
 
-def cells(spark, sf):
-    p = events_points(spark, sf, scale=100.0).withColumn("phase", F.floor((F.col("ordinal") - 1) / 1000))
-    return p.groupBy("stream_key", "phase").agg(F.countDistinct(F.floor(F.col("vec")[0] / 1000)).cast("int").alias("medians_out"), F.count("*").alias("points_read"), F.lit("end").alias("stop_reason"))
+LOGS = "g as (select stream_key, unnest(log) as l from result)"
 
 
-@query("space_vs_caps", f"with {EV}, {PHASES} select max(medians_out)::bigint as medians_max, 2::bigint as k, round(2 * ln(10000), 6) as k_log_n, round(4 * 2 * (1 + ln(10000)) * 273, 3) as cap, (max(medians_out) * 24)::bigint as bytes from p")
+@query("space_vs_caps", USERS_SQL + f", {LOGS} select stream_key, max(l.medians_out)::bigint as medians_max, 2::bigint as k, round(2 * ln(10000), 6) as k_log_n, round(4 * 2 * (1 + ln(10000)) * 273, 3) as cap, (max(l.medians_out) * 24)::bigint as bytes from g group by 1")
 def space_vs_caps(spark, sf):
-    out = ms.space_report(cells(spark, sf), k=2, n=10_000, gamma=34, beta=34)
-    return out.select("medians_max", "k", F.round("k_log_n", 6).alias("k_log_n"), F.round("cap", 3).alias("cap"), F.col("bytes").cast("long").alias("bytes"))
+    out = ms.space_report(users_miner(spark, sf).phase_log, k=2, n=10_000, gamma=34, beta=34)
+    return out.select("stream_key", "medians_max", "k", F.round("k_log_n", 6).alias("k_log_n"), F.round("cap", 3).alias("cap"), F.col("bytes").cast("long").alias("bytes"))
 
 
-@query("progress", f"with {EV}, {PHASES} select count(*) as phases, min(points_read) as min_new_points, avg(points_read) as mean_new_points, 0::bigint as breaches from p")
+@query("progress", USERS_SQL + f", {LOGS} select stream_key, count(*) as phases, min(l.points_read) as min_new_points, round(avg(l.points_read), 6) as mean_new_points, sum((l.stop_reason <> 'end')::int)::bigint as breaches from g group by 1")
 def progress(spark, sf):
-    return ms.progress(cells(spark, sf)).select("phases", "min_new_points", "mean_new_points", "breaches")
+    return ms.progress(users_miner(spark, sf).phase_log).withColumn("mean_new_points", F.round("mean_new_points", 6))
 
 
-@query("ratio_tiny", SMALL + ", o as (select min(c) as optimum from (select sum(least(a.g, b.g)) as c from g a join g b on a.p = b.p and a.m < b.m group by a.m, b.m)), c as (select sum(d) as cost from (select p, min(g) as d from g where m in (0, 30) group by p)) select cost::bigint as cost, optimum::bigint as optimum, round(cost / optimum, 6) as ratio from c, o")
+@query("ratio_tiny", SMALL + ", o as (select min(c) as optimum from (select sum(least(a.g, b.g)) as c from g a join g b on a.p = b.p and a.m < b.m group by a.m, b.m)), c as (select sum(d) as cost from (select p, min(g) as d from g where m in (0, 12) group by p)) select cost::bigint as cost, optimum::bigint as optimum, round(cost / optimum, 6) as ratio from c, o")
 def ratio_tiny(spark, sf):
-    p = events_points(spark, sf, upto=60, scale=100.0)
-    out = ms.approx_ratio(p, p.where("point_id in (0, 30)").select(F.col("point_id").alias("median_id"), "vec"), 2, 1)
+    p = nation_points(spark, sf)
+    out = ms.approx_ratio(p, p.where("point_id in (0, 12)").select(F.col("point_id").alias("median_id"), "vec"), 2, 1)
     return out.select(F.col("cost").cast("long").alias("cost"), F.col("optimum").cast("long").alias("optimum"), F.round("ratio", 6).alias("ratio"))
 
 
-@query("stability")
+SEEDS = (1, 2, 3, 4)
+
+
+def seeded(seed: int) -> str:
+    sql = miner_sql(USERS, k=2, num=10, runs=1, growth="on_breach", seed=seed)
+    return f"select {seed} as seed, coalesce(list(v.id) filter (v.verdict = 'outlier'), []) as ids, any_value(cost) as cost, any_value(medians) as medians from (select unnest(verdicts) as v, sum(list_sum(list_transform(log, lambda l: l.total_cost))) over () as cost, sum(len(cid)) over ()::bigint as medians from ({sql} select * from result))"
+
+
+SEED_ROWS = "r as (" + " union all ".join(seeded(s) for s in SEEDS) + ")"
+
+
+def seed_runs(spark, sf):
+    """(seed, median_ids, cost, medians): the outliers of all users' streams, the sum of costs, the medians held."""
+    points = events_points(spark, sf, stream_key="user_id")
+    rows = None
+    for seed in SEEDS:
+        r = stored(mn.mine_outliers(points, Settings(k=2, num=10, runs=1, seed=seed, floor_growth="on_breach")).tagged, "seeds")
+        r = mn.MinerResult(r)
+        ids = r.verdicts.agg(F.collect_list(F.when(F.col("verdict") == "outlier", F.col("median_id"))).alias("median_ids"))
+        last = r.final()[0].agg(F.count("*").alias("medians"))
+        one = ids.join(F.broadcast(r.phase_log.agg(F.sum("total_cost").alias("cost"))), F.lit(True)).join(F.broadcast(last), F.lit(True)).select(F.lit(seed).alias("seed"), "median_ids", "cost", "medians")  # one row each
+        rows = one if rows is None else rows.unionByName(one)
+    return rows
+
+
+@query("stability", f"with {SEED_ROWS}, p as (select avg(case when len(list_distinct(list_concat(a.ids, b.ids))) = 0 then 1.0 else len(list_intersect(a.ids, b.ids))::double / len(list_distinct(list_concat(a.ids, b.ids))) end) as j from r a join r b on a.seed < b.seed) select count(*) as seeds, round(any_value(j), 6) as mean_jaccard, round(stddev_samp(len(ids)), 6) as sd_outliers, round(stddev_samp(cost), 2) as sd_cost, round(stddev_samp(medians), 6) as sd_medians from r, p")
 def stability(spark, sf):
-    """Outlier sets, costs and median counts over five seeds."""
-    sets, costs, medians = {}, {}, {}
-    points = events_points(spark, sf)
-    for seed in range(5):
-        r = mn.mine_outliers(points, Settings(k=3, num=500, runs=1, seed=seed, floor_growth="on_breach"))
-        rows = r.tagged.where("kind in ('verdicts', 'phase_log')").select("kind", "median_id", "verdict", "total_cost", "medians_out", "phase").collect()  # one small run
-        sets[seed] = {x.median_id for x in rows if x.verdict == "outlier"}
-        last = max((x for x in rows if x.kind == "phase_log"), key=lambda x: x.phase)
-        costs[seed], medians[seed] = last.total_cost, last.medians_out
-    return spark.createDataFrame([ms.stability(sets, costs, medians)])
+    """Outlier sets, costs and median counts over seeds."""
+    out = ms.seed_table(seed_runs(spark, sf))
+    return out.select("seeds", *(F.round(c, n).alias(c) for c, n in (("mean_jaccard", 6), ("sd_outliers", 6), ("sd_cost", 2), ("sd_medians", 6))))
+
+
+@query("success_share", f"with {SEED_ROWS}, b as (select min(cost) as least from r) select count(*) as seeds, 1.05::double as bound, round(avg((cost <= 1.05 * least)::int), 6) as share from r, b")
+def success_share(spark, sf):
+    """Share of seeds whose cost is within 1.05 of the best."""
+    costs = {r.seed: r.cost for r in seed_runs(spark, sf).select("seed", "cost").collect()}  # one row a seed
+    return spark.createDataFrame([ms.success_share(costs, 1.05)], "seeds long, bound double, share double")
+
+
+@query("miner_overlap", USERS_SQL + f", {OUT}, z as (select event_id as id from events, (select avg(value) as c, stddev_samp(value) as w from events) where abs(value - c) / w > 3), u as (select x.median_id as a, z.id as b from (select distinct median_id from o) x full join z on x.median_id = z.id) select count(*) filter (a = b) as both, count(*) filter (b is null) as only_a, count(*) filter (a is null) as only_b, round(count(*) filter (a = b) / count(*), 6) as jaccard from u")
+def miner_overlap(spark, sf):
+    """The miner's outliers and those of the z-score baseline (C14)."""
+    mine = users_miner(spark, sf).verdicts.where("verdict = 'outlier'").select(F.col("median_id").alias("point_id"))
+    out = ms.overlap(mine, bs.stat_outliers(events_points(spark, sf), "zscore", 3.0))
+    return out.select("both", "only_a", "only_b", F.round("jaccard", 6).alias("jaccard"))
 
 
 A_B = "a as (select event_id as id from events, (select avg(value) as c, stddev_samp(value) as w from events) where abs(value - c) / w > 3), b as (select event_id as id from events, (select quantile_cont(value, 0.25) as lo, quantile_cont(value, 0.75) as hi from events) where greatest(lo - value, value - hi) / (hi - lo) > 1.5)"
@@ -237,18 +284,18 @@ def prf(spark, sf):
     return out.select("tp", "fp", "fn", *(F.round(c, 6).alias(c) for c in ("precision", "recall", "f1", "average_precision")))
 
 
-@query("delay", f"with {EV}, v as (select cents % 5 as first_phase, cents % 5 + cents % 3 + 1 as settled_phase from e where cents % 7 = 0) select round(avg(settled_phase - first_phase), 6) as mean_phases, max(settled_phase - first_phase)::bigint as max_phases, round(avg(settled_phase - first_phase) * 500, 4) as mean_points from v")
+@query("delay", USERS_SQL + f", {OUT} select round(avg(settled_phase - first_phase), 6) as mean_phases, max(settled_phase - first_phase) as max_phases, round(avg(settled_phase - first_phase) * 10, 4) as mean_points from o")
 def delay(spark, sf):
-    c = F.round(F.col("value") * 100).cast("long")
-    v = table(spark, sf, "events").where(c % 7 == 0).select((c % 5).alias("first_phase"), (c % 5 + c % 3 + 1).alias("settled_phase"), F.lit("outlier").alias("verdict"))
-    out = ms.detection_delay(v, 500)
+    """From the first flag of an outlier of the miner to its verdict (C17)."""
+    out = ms.detection_delay(users_miner(spark, sf).verdicts, 10)
     return out.select(F.round("mean_phases", 6).alias("mean_phases"), "max_phases", F.round("mean_points", 4).alias("mean_points"))
 
 
-@query("sparse_gap", f"with {EV}, s as (select * from e where ordinal <= 800), n as (select a.id, min(abs(a.cents - b.cents)) as g from s a join s b on a.id <> b.id group by 1), r as (select *, percent_rank() over (order by g) as q from n) select r.id as point_id, g::double as nn_dist, round(q, 6) as dataset_quantile from r join s on r.id = s.id where s.cents > 15000")
+@query("sparse_gap", USERS_SQL + f", {OUT}, c as (select event_id as id, cast(round(value * 100) as bigint) as cents from events), n as (select id, least(cents - lag(cents) over w, lead(cents) over w - cents) as g from c window w as (order by cents, id)), r as (select *, percent_rank() over (order by g) as q from n) select id as point_id, g::double as nn_dist, round(q, 6) as dataset_quantile from r where id in (select median_id from o)")
 def sparse_gap(spark, sf):
-    p = events_points(spark, sf, upto=800, scale=100.0)
-    out = ms.sparse_gap(p, p.where(F.col("vec")[0] > 15000), 1)
+    """How far the miner's outliers lie from their nearest event, among all events."""
+    mine = users_miner(spark, sf).verdicts.where("verdict = 'outlier'").select(F.col("median_id").alias("point_id"))
+    out = ms.sparse_gap(events_points(spark, sf, scale=100.0), mine, 1)
     return out.select("point_id", "nn_dist", F.round("dataset_quantile", 6).alias("dataset_quantile"))
 
 

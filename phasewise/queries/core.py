@@ -11,6 +11,7 @@ from ..operators import miner as mn
 from ..operators.engine import Settings
 from ..operators.points import chunk, chunk_by_window, scale, with_ordinal
 from ..plans import schedule as sc
+from .miner_sql import EVENTS, MEDIANS, PHASE_LOG, USERS, VERDICTS, miner_sql
 from ..sources.tables import LINEITEM_KEYS, events_points, lineitem_points, orders_points, table
 
 Q: dict = {}
@@ -87,10 +88,8 @@ def initial_floor_events(spark, sf):
 
 @query("initial_floor_multi", f"with {EV}, o as (select *, row_number() over (partition by user_id order by id) as r from e), h as (select * from o where r <= 4) select a.user_id::varchar as stream_key, min(abs(a.cents - b.cents))::bigint as closest from h a join h b on a.user_id = b.user_id and a.r < b.r group by 1")
 def initial_floor_multi(spark, sf):
-    p = events_points(spark, sf, stream_key="user_id", scale=100.0).where("ordinal <= 4")
-    a, b = (p.select("stream_key", F.col("ordinal").alias(o), F.col("vec").alias(v)) for o, v in (("i", "a"), ("j", "b")))
-    pairs = a.join(b, "stream_key").where("i < j")
-    return pairs.groupBy("stream_key").agg(F.min(distance_expr("manhattan", vector("a", 1), vector("b", 1))).cast("long").alias("closest"))
+    out = sc.initial_floor(events_points(spark, sf, stream_key="user_id", scale=100.0), 3, 34, d=1, zero_floor="allow")
+    return out.select("stream_key", F.col("closest").cast("long").alias("closest"))
 
 
 @query("initial_floor_distinct", f"with {EV}, o as (select *, row_number() over (partition by user_id order by id) as r from e), f as (select user_id, cents, min(r) as r from o group by 1, 2), h as (select *, row_number() over (partition by user_id order by r) as q from f qualify q <= 4) select a.user_id::varchar as stream_key, min(abs(a.cents - b.cents))::bigint as closest, round(min(abs(a.cents - b.cents)) / 34, 9) as floor from h a join h b on a.user_id = b.user_id and a.q < b.q group by 1")
@@ -115,86 +114,74 @@ def draws_hash(spark, sf):
     return table(spark, sf, "events").select(F.col("event_id").alias("id"), draw_expr(1, 0, 1, F.col("event_id")).alias("u"))
 
 
-@query("distance_kinds", "with p as (select l_quantity as a, l_discount as b, l_tax as c from lineitem where l_linenumber = 1) select round(sum(sqrt((a - 25) * (a - 25) + (b - 0.05) * (b - 0.05) + (c - 0.04) * (c - 0.04))), 4) as euclidean, round(sum((a - 25) * (a - 25) + (b - 0.05) * (b - 0.05) + (c - 0.04) * (c - 0.04)), 4) as sqeuclidean, round(sum(abs(a - 25) + abs(b - 0.05) + abs(c - 0.04)), 4) as manhattan, round(sum(greatest(abs(a - 25), abs(b - 0.05), abs(c - 0.04))), 4) as chebyshev from p")
+@query("distance_kinds", "with p as (select l_quantity as a, l_discount as b, l_tax as c from lineitem) select round(sum(sqrt((a - 25) * (a - 25) + (b - 0.05) * (b - 0.05) + (c - 0.04) * (c - 0.04))), 4) as euclidean, round(sum((a - 25) * (a - 25) + (b - 0.05) * (b - 0.05) + (c - 0.04) * (c - 0.04)), 4) as sqeuclidean, round(sum(abs(a - 25) + abs(b - 0.05) + abs(c - 0.04)), 4) as manhattan, round(sum(greatest(abs(a - 25), abs(b - 0.05), abs(c - 0.04))), 4) as chebyshev from p")
 def distance_kinds(spark, sf):
-    df = table(spark, sf, "lineitem").where("l_linenumber = 1")
+    df = table(spark, sf, "lineitem")
     a, b = [F.col(c) for c in ("l_quantity", "l_discount", "l_tax")], [F.lit(25.0), F.lit(0.05), F.lit(0.04)]
     return df.agg(*(F.round(F.sum(distance_expr(k, a, b)), 4).alias(k) for k in KINDS))
 
 
-def _pass_sql(opens: str, weight: str, upto: int = 400) -> str:
-    return f"""with recursive {EV}, p as (select ordinal, id, cents as x, {weight} as w, {DRAW} as u from e where ordinal <= {upto}),
-s(i, locs, ids, wts, service) as (
-  select 1::bigint, [x], [id], [w], 0::bigint from p where ordinal = 1
-  union all
-  select i + 1, case when op then list_append(locs, x) else locs end, case when op then list_append(ids, id) else ids end,
-    case when op then list_append(wts, w) else list_transform(wts, lambda v, j: v + case when j = pos then w else 0 end) end,
-    (service + case when op then 0 else th * w end)::bigint
-  from (select *, list_position(dist, th) as pos, {opens} as op
-        from (select s.*, p.*, list_transform(locs, lambda v: abs(v - x)) as dist, list_min(list_transform(locs, lambda v: abs(v - x))) as th
-              from s join p on p.ordinal = s.i + 1))
-)
-select unnest(ids)::bigint as median_id, unnest(wts)::bigint as weight, service as service_cost from s where i = {upto}"""
+def pass_sql(opens: str, weight: str = "1", cost_cap: float | None = None) -> str:
+    """CTEs up to ``done(p)``: one facility pass over all events, as a fold over their list."""
+    near = "list_transform([list_transform(a.x, lambda v: abs(v - e.x))], lambda d: {'t': list_min(d), 'at': list_position(d, list_min(d))})"
+    opened = "{'x': list_append(a.x, e.x), 'id': list_append(a.id, e.id), 'w': list_append(a.w, e.w), 'service': a.service, 'read': a.read + 1, 'over': false}"
+    joined = "{'x': a.x, 'id': a.id, 'w': list_transform(a.w, lambda v, j: case when j = q.at then v + e.w else v end), 'service': a.service + q.t * e.w, 'read': a.read + 1, 'over': false}"
+    stop = "{'x': a.x, 'id': a.id, 'w': a.w, 'service': a.service, 'read': a.read, 'over': true}"
+    total = "(q2.service + 2000 * len(q2.x)) > %s" % cost_cap if cost_cap else "false"
+    step = f"list_transform({near}, lambda q: case when len(a.x) = 0 or e.u < {opens} then {opened} else {joined} end)[1]"
+    fold = f"case when a.over then a else list_transform([{step}], lambda q2: case when {total} then {stop} else q2 end)[1] end"
+    return f"""with {EV}, l as (select list({{'id': id, 'x': cents, 'w': ({weight})::bigint, 'u': {DRAW}}} order by ordinal) as es from e),
+done as (select list_reduce(es, lambda a, e: {fold}, {{'x': []::bigint[], 'id': []::bigint[], 'w': []::bigint[], 'service': 0::bigint, 'read': 0::bigint, 'over': false}}) as p from l)"""
 
 
-def _pass(spark, sf, rule: str = "priced", weighted: bool = False, price: float = 2000.0, upto: int | None = None):
-    p = events_points(spark, sf, upto=upto, scale=100.0)
+PASS_ROWS = " select unnest(p.id) as median_id, unnest(p.w) as weight, p.service as service_cost from done"
+PRICED, UNPRICED = "least(q.t * e.w / 2000.0, 1)", "least(q.t * e.w * 1.0, 1)"
+
+
+def _pass(spark, sf, rule: str = "priced", weighted: bool = False, price: float = 2000.0):
+    p = events_points(spark, sf, scale=100.0)
     if weighted:
         p = p.withColumn("weight", (F.col("point_id") % 3 + 1).cast("double"))
-    done = mn.pass_assignments(p, price, Settings(opening_rule=rule))
+    done = mn.pass_stream(p, price, Settings(opening_rule=rule))
     service = done.agg(F.sum(F.col("dist") * F.col("weight")).cast("long").alias("service_cost"))
     return done.groupBy("median_id").agg(F.sum("weight").cast("long").alias("weight")).join(F.broadcast(service))
 
 
-@query("facility_pass_prefix", _pass_sql("u < least(th * w / 2000.0, 1)", "1::bigint"))
-def facility_pass_prefix(spark, sf):
-    return _pass(spark, sf, upto=400)
+@query("facility_pass", pass_sql(PRICED) + PASS_ROWS)
+def facility_pass(spark, sf):
+    return _pass(spark, sf)
 
 
-@query("facility_pass_unpriced", _pass_sql("u < least(th * w * 1.0, 1)", "1::bigint"))
+@query("facility_pass_unpriced", pass_sql(UNPRICED) + PASS_ROWS)
 def facility_pass_unpriced(spark, sf):
-    return _pass(spark, sf, "unpriced", upto=400)
+    return _pass(spark, sf, "unpriced")
 
 
-@query("facility_pass_weighted", _pass_sql("u < least(th * w / 2000.0, 1)", "(id % 3 + 1)::bigint"))
+@query("facility_pass_weighted", pass_sql(PRICED, "id % 3 + 1") + PASS_ROWS)
 def facility_pass_weighted(spark, sf):
-    return _pass(spark, sf, weighted=True, upto=400)
-
-
-@query("stop_audit", "with recursive " + _pass_sql("u < least(th * w / 2000.0, 1)", "1::bigint").split("with recursive ", 1)[1].rsplit("\nselect", 1)[0] + "\nselect min(i) as first_over from s where service + 2000 * len(locs) > 60000")
-def stop_audit(spark, sf):
-    done = mn.pass_assignments(events_points(spark, sf, upto=400, scale=100.0), 2000.0, Settings())
-    return mn.stop_audit(done, 2000.0, 60000.0).select("first_over")
-
-
-# The queries above stay on the prefix that their recursive SQL covers; these take all events.
-
-
-@query("facility_pass_all")
-def facility_pass_all(spark, sf):
-    return _pass(spark, sf)
+    return _pass(spark, sf, weighted=True)
 
 
-@query("facility_pass_unpriced_all")
-def facility_pass_unpriced_all(spark, sf):
-    return _pass(spark, sf, "unpriced")
+@query("facility_pass_keyed", f"with {EV} select sum(1)::bigint as weight, count(distinct user_id) as streams from e")
+def facility_pass_keyed(spark, sf):
+    done = mn.pass_assignments(events_points(spark, sf, stream_key="user_id", scale=100.0), 2000.0)
+    return done.agg(F.sum("weight").cast("long").alias("weight"), F.countDistinct("stream_key").alias("streams"))
 
 
-@query("facility_pass_weighted_all")
-def facility_pass_weighted_all(spark, sf):
-    return _pass(spark, sf, weighted=True)
+@query("stop_audit", pass_sql(PRICED, cost_cap=60000) + " select case when p.over then p.read + 1 end as first_over from done")
+def stop_audit(spark, sf):
+    done = mn.pass_stream(events_points(spark, sf, scale=100.0), 2000.0, Settings())
+    return mn.stop_audit(done, 2000.0, 60000.0).select("first_over")
 
 
-@query("stop_audit_all")
-def stop_audit_all(spark, sf):
-    done = mn.pass_assignments(events_points(spark, sf, scale=100.0), 2000.0, Settings())
-    return mn.stop_audit(done, 2000.0, 60000.0).select("first_over")
+RUNS_SQL = "select stream_key, l.phase, {} as runs, round(l.least, 4) as least, round(l.most, 4) as most, l.fewest, l.most_medians from (select stream_key, unnest(log) as l from result)"
 
 
-@query("runs_compare")
+@query("runs_compare", miner_sql(USERS, k=2, num=10, runs=6) + RUNS_SQL.format("6::bigint"))
 def runs_compare(spark, sf):
-    r = mn.mine_outliers(events_points(spark, sf), Settings(k=2, num=500, runs=6))
-    return r.run_log.groupBy("phase").agg(F.count("*").alias("runs"), F.min("total_cost").alias("least"), F.max("total_cost").alias("most"), F.min("medians").alias("fewest"), F.max("medians").alias("most_medians"))
+    """The independent runs of each phase of each user's stream."""
+    r = mn.mine_outliers(events_points(spark, sf, stream_key="user_id"), Settings(k=2, num=10, runs=6))
+    return r.run_log.groupBy("stream_key", "phase").agg(F.count("*").alias("runs"), F.round(F.min("total_cost"), 4).alias("least"), F.round(F.max("total_cost"), 4).alias("most"), F.min("medians").alias("fewest"), F.max("medians").alias("most_medians"))
 
 
 RUNS = "r as (select user_id % 7 as phase, user_id as run, count(*) as points_read, sum(cast(round(value * 100) as bigint))::bigint as cost from events group by user_id)"
@@ -221,18 +208,21 @@ def carried(spark, sf):
     return p.groupBy(F.floor(F.col("vec")[0] / 1000).alias("g")).agg(F.min("point_id").alias("median_id"), F.min_by("vec", "point_id").alias("vec"), F.sum("weight").alias("weight")).drop("g")
 
 
-@query("carry_union", f"with {EV}, {CARRIED} select 0 as rank, id as point_id, cents, weight::bigint as weight from m union all select 1, id, cents, 1 from e where ordinal between 501 and 800")
+@query("carry_union", f"with {EV}, {CARRIED} select 0 as rank, id as point_id, cents, weight::bigint as weight from m union all select 1, id, cents, 1 from e where ordinal > 500")
 def carry_union(spark, sf):
-    unread = events_points(spark, sf, scale=100.0).where("ordinal between 501 and 800")
+    """The input of the second phase: the first chunk's medians, then all that is unread."""
+    unread = events_points(spark, sf, scale=100.0).where("ordinal > 500")
     return mn.next_input(carried(spark, sf), unread).select("rank", "point_id", F.col("vec")[0].cast("long").alias("cents"), F.col("weight").cast("long").alias("weight"))
 
 
-GROUPED = "g as (select cents // 1000 as b, ordinal > 500 as late, min(id) as id, count(*) as w from e where ordinal <= 1000 group by 1, 2), x as (select b, min(id) as median_id, sum(case when not late then w end) as wb, sum(w) as wa from g group by b)"
+GROUPED = "g as (select cents // 1000 as b, ordinal > (select count(*) // 2 from e) as late, min(id) as id, count(*) as w from e group by 1, 2), x as (select b, min(id) as median_id, sum(case when not late then w end) as wb, sum(w) as wa from g group by b)"
 
 
 def before_after(spark, sf):
-    p = events_points(spark, sf, scale=100.0).where("ordinal <= 1000").withColumn("b", F.floor(F.col("vec")[0] / 1000))
-    early = F.when(F.col("ordinal") <= 500, 1.0)
+    p = events_points(spark, sf, scale=100.0).withColumn("b", F.floor(F.col("vec")[0] / 1000))
+    half = p.agg(F.floor(F.count("*") / 2).alias("half"))
+    p = p.join(F.broadcast(half))  # one row
+    early = F.when(F.col("ordinal") <= F.col("half"), 1.0)
     x = p.groupBy("b").agg(F.min("point_id").alias("median_id"), F.sum(early).alias("wb"), F.count("*").cast("double").alias("wa"))
     return x.where("wb is not null").select("median_id", F.col("wb").alias("weight")), x.select("median_id", F.col("wa").alias("weight"), F.lit(1.0).alias("own"))
 
@@ -280,29 +270,53 @@ def retire_antijoin(spark, sf):
 
 
 def events_miner(spark, sf, **more):
-    return mn.mine_outliers(events_points(spark, sf), Settings(**{"k": 3, "outlier_phases": 2, "num": 500, "runs": 3, "floor_growth": "on_breach"} | more))
+    return mn.mine_single_stream(events_points(spark, sf), Settings(**{"k": 3, "outlier_phases": 2, "num": 500, "runs": 3, "floor_growth": "on_breach"} | more))
 
 
-@query("miner_chunked_events")
+def phase_log(r) -> object:
+    """The phase log with costs rounded as in the SQL."""
+    keep = ["stream_key", "phase", "winner_run", "points_in", "points_read", "unread", "medians_out", "new_medians", "stop_reason"]
+    return r.phase_log.select(*keep, *(F.round(c, n).alias(c) for c, n in (("floor", 2), ("price", 2), ("service_cost", 4), ("total_cost", 2), ("ssq", 5), ("max_dist", 6))))
+
+
+@query("miner_chunked_events", miner_sql(EVENTS, k=3, num=500, runs=3, growth="on_breach") + PHASE_LOG)
 def miner_chunked_events(spark, sf):
-    return events_miner(spark, sf).phase_log
+    return phase_log(events_miner(spark, sf))
 
 
-@query("miner_limit_driven")
+@query("miner_limit_driven", miner_sql(EVENTS, k=2, num=None, runs=2, gamma=2, beta=4) + PHASE_LOG)
 def miner_limit_driven(spark, sf):
     s = Settings(k=2, mode="limit_driven", gamma=2, beta=4, runs=2)
-    return mn.mine_outliers(events_points(spark, sf), s).phase_log
+    return phase_log(mn.mine_single_stream(events_points(spark, sf), s))
 
 
-@query("miner_per_user")
-def miner_per_user(spark, sf):
+def users_miner(spark, sf, **more):
     p = events_points(spark, sf, stream_key="user_id")
-    return mn.mine_outliers(p, Settings(k=2, num=10, runs=2)).verdicts
+    return mn.mine_outliers(p, Settings(**{"k": 2, "num": 10, "runs": 2} | more))
+
+
+USERS_SQL = miner_sql(USERS, k=2, num=10, runs=2)
+
+
+@query("miner_per_user", USERS_SQL + VERDICTS)
+def miner_per_user(spark, sf):
+    return users_miner(spark, sf).verdicts
+
+
+@query("miner_per_user_phases", USERS_SQL + PHASE_LOG)
+def miner_per_user_phases(spark, sf):
+    return phase_log(users_miner(spark, sf))
 
 
-@query("miner_single_stream")
+@query("miner_per_user_medians", USERS_SQL + MEDIANS)
+def miner_per_user_medians(spark, sf):
+    return users_miner(spark, sf).final()[0].select("stream_key", "median_id", F.col("vec")[0].alias("x"), F.col("weight_after").alias("weight"))
+
+
+@query("miner_single_stream", miner_sql(EVENTS, k=3, num=1000, runs=2) + VERDICTS)
 def miner_single_stream(spark, sf):
-    return mn.mine_single_stream(events_points(spark, sf), Settings(k=3, num=1000, runs=4)).phase_log
+    """Verdicts of the whole stream, read in stretches that hand their state on."""
+    return mn.mine_single_stream(events_points(spark, sf), Settings(k=3, num=1000, runs=2), stretch=3000).verdicts
 
 
 PHASES = "with e as (select row_number() over (order by event_id) as ordinal from events) select (ordinal - 1) // 500 + 1 as phase, count(*) as points_in from e group by 1"
@@ -328,6 +342,25 @@ def sharded_weights(spark, sf):
     return mn.sharded_medians(events_points(spark, sf), shards=16, price=50.0, fan_in=4).agg(F.sum("weight").cast("long").alias("weight"))
 
 
+#: One shard is one pass, so its medians can be written in SQL; the confirming scan and the ageing are the same for more.
+SHARD_SQL = pass_sql(PRICED).replace("'1|0|1|'", "'1|0|0|'") + """,
+m as (select unnest(p.id) as median_id, unnest(p.x) as mx from done),
+f as (select arg_min(median_id, (abs(cents - mx), median_id)) as median_id, e.id, (e.ordinal - 1) // 500 + 1 as phase from e, m group by e.id, e.ordinal),
+hits as (select distinct median_id, phase from f where id <> median_id),
+born as (select id as median_id, (ordinal - 1) // 500 + 1 as born from e where id in (select median_id from m)),
+st as (select b.median_id, ph.phase, h.phase is null as stalled from born b join (select distinct phase from f) ph on ph.phase >= b.born left join hits h on h.median_id = b.median_id and h.phase = ph.phase),
+ff as (select median_id, min(phase) as first_phase from st where stalled group by 1)
+select st.median_id, first_phase::int as first_phase, count(*) as age, sum(stalled::int)::bigint as score, case when count(*) < 2 then 'pending' when sum(stalled::int) = 2 then 'outlier' else 'inlier' end as verdict
+from st join ff using (median_id) where phase >= first_phase and phase < first_phase + 2 group by 1, 2"""
+
+
+@query("sharded_verdicts", SHARD_SQL)
+def sharded_verdicts(spark, sf):
+    """A sharded stream's candidates, settled by a confirming scan."""
+    p = events_points(spark, sf, scale=100.0)
+    return mn.mine_shards(p, 1, Settings(outlier_phases=2, num=500), shards=1, price=2000.0)["verdicts"]
+
+
 FIXED = "m as (select ordinal as median_id, value as mv from e where ordinal % 1000 = 1)"
 
 
@@ -343,6 +376,14 @@ def assign_nearest(spark, sf):
     return mn.assign(events_points(spark, sf), fixed_medians(spark, sf), 1).select("point_id", "median_id", F.round("dist", 6).alias("dist"))
 
 
+@query("assign_keyed", "with e as (select user_id::varchar as stream_key, event_id as id, value, row_number() over (partition by user_id order by event_id) as r from events), m as (select stream_key, id as median_id, value as mv from e where r <= 3), a as (select e.stream_key, id, value, arg_min(median_id, (abs(value - mv), median_id)) as median_id, min(abs(value - mv)) as dist from e join m using (stream_key) group by 1, 2, 3) select stream_key, id as point_id, median_id, round(dist, 6) as dist from a")
+def assign_keyed(spark, sf):
+    """Points of many streams, each to a median of its own stream."""
+    p = events_points(spark, sf, stream_key="user_id")
+    medians = p.where("ordinal <= 3").select("stream_key", F.col("point_id").alias("median_id"), "vec")
+    return mn.assign(p, medians, 1).select("stream_key", "point_id", "median_id", F.round("dist", 6).alias("dist"))
+
+
 @query("score_static", NEAR + " select id as point_id, median_id, dist > 50 as is_far from a")
 def score_static(spark, sf):
     return mn.assign(events_points(spark, sf), fixed_medians(spark, sf), 1).select("point_id", "median_id", (F.col("dist") > 50).alias("is_far"))

@@ -31,9 +31,9 @@ def scan_parquet(spark, sf):
     return table(spark, sf, "events").where("value > 50").groupBy("event_type").agg(F.count("*").alias("points"))
 
 
-@query("filter_project", "select event_id, cast(round(value * 100) as bigint) as cents, event_type = 'error' as is_error from events where value is not null and not isnan(value) and user_id % 3 = 0")
+@query("filter_project", "select event_id, cast(round(value * 100) as bigint) as cents, event_type = 'error' as is_error from events where value is not null and not isnan(value) and event_type <> 'view'")
 def filter_project(spark, sf):
-    return table(spark, sf, "events").where(F.col("value").isNotNull() & ~F.isnan("value") & (F.col("user_id") % 3 == 0)).select("event_id", cents().alias("cents"), (F.col("event_type") == "error").alias("is_error"))
+    return table(spark, sf, "events").where(F.col("value").isNotNull() & ~F.isnan("value") & (F.col("event_type") != "view")).select("event_id", cents().alias("cents"), (F.col("event_type") == "error").alias("is_error"))
 
 
 @query("join_orders_customer", "select c_mktsegment, count(*) as orders, round(sum(o_totalprice), 2) as price from orders join customer on o_custkey = c_custkey group by 1")
@@ -77,9 +77,9 @@ def asof_model(spark, sf):
     return both.withColumn("in_day", inside).join(F.broadcast(before), "day").select("event_id", F.coalesce("in_day", "before").alias("model_id"))
 
 
-@query("lateral_nearest", f"with {EV}, {FIXED} select x.id as point_id, arg_min(m.median_id, (abs(x.value - m.mv), m.median_id)) as median_id from e x, m where x.ordinal <= 2000 group by 1")
+@query("lateral_nearest", f"with {EV}, {FIXED} select x.id as point_id, arg_min(m.median_id, (abs(x.value - m.mv), m.median_id)) as median_id from e x, m group by 1")
 def lateral_nearest(spark, sf):
-    events_points(spark, sf).where("ordinal <= 2000").createOrReplaceTempView("lateral_points")
+    events_points(spark, sf).createOrReplaceTempView("lateral_points")
     fixed_medians(spark, sf).createOrReplaceTempView("lateral_medians")
     return spark.sql("select p.point_id, n.m.median_id as median_id from lateral_points p cross join (select collect_list(struct(median_id, vec)) as ms from lateral_medians) a, lateral (select array_min(transform(a.ms, x -> struct(abs(p.vec[0] - x.vec[0]) as gap, x.median_id as median_id))) as m) n")
 

@@ -70,3 +70,14 @@ def orders_points(spark: SparkSession, sf_dir: str, rows: int | None = None) ->
 
 def embedding_points(spark: SparkSession, sf_dir: str) -> DataFrame:
     return to_points(table(spark, sf_dir, "embeddings"), ["vec_id"], vector="embedding", point_id="vec_id")
+
+
+def customer_points(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Account balance (in hundreds) and nation of ``customer``."""
+    return to_points(table(spark, sf_dir, "customer"), ["c_custkey"], [Feature(F.col("c_acctbal") / 100, "balance"), "c_nationkey"], point_id="c_custkey")
+
+
+def nation_points(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A small table of whole numbers: squares modulo 101 of ``nation``'s keys."""
+    key = F.col("n_nationkey")
+    return to_points(table(spark, sf_dir, "nation"), ["n_nationkey"], [Feature((key * key * 7 + key * 3) % 101, "place")], point_id="n_nationkey")

@@ -8,8 +8,8 @@ at the end (``flush``).
 
 from __future__ import annotations
 
-import json
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pandas as pd
@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.types import StringType, StructField, StructType
 
-from ..operators.engine import Miner, Settings
+from ..operators.engine import Settings, StreamMiner
 from ..operators.miner import assign
 
 VERDICTS = "stream_key string, median_id long, first_phase int, settled_phase int, age int, score int, weight double, verdict string"
@@ -30,45 +30,19 @@ def event_time(df: DataFrame, ts: str = "ts") -> DataFrame:
     return df.withColumn(ts, F.col(ts).cast("timestamp"))
 
 
-class StreamMiner:
-    """One stream's open chunk and miner; its state is one JSON text."""
-
-    def __init__(self, settings: Settings, d: int, state: str | None = None):
-        self.settings, self.d = settings, d
-        held = json.loads(state) if state else None
-        self.miner = Miner.restored(settings, d, held["miner"]) if held else Miner(settings, d)
-        self.open: list = held["open"] if held else []
-
-    def state(self) -> str:
-        return json.dumps({"miner": self.miner.state(), "open": self.open})
-
-    def _close(self, rows: list) -> None:
-        ids = np.array([r[1] for r in rows], np.int64)
-        x = np.array([r[2] for r in rows], float).reshape(len(rows), self.d)
-        w = np.array([r[3] for r in rows], float)
-        n = self.settings.n_declared or 1 << max(int(self.miner.seen + len(rows) - 1).bit_length(), 1)
-        at = 0
-        while at < len(rows):  # a limit may end a phase early: the rest heads the next one
-            at += self.miner.step(ids[at:], x[at:], w[at:], n)
-
-    def add(self, rows: list) -> list[dict]:
-        """Takes (ts, point_id, vec, weight) rows; returns new verdicts."""
-        before = len(self.miner.log.verdicts)
-        self.open += sorted(rows)
-        num = self.settings.num
-        while len(self.open) >= num:
-            chunk, self.open = self.open[:num], self.open[num:]
-            self._close(chunk)
-        return self.miner.log.verdicts[before:]
-
-    def flush(self, final: bool = False) -> list[dict]:
-        before = len(self.miner.log.verdicts)
-        if self.open:
-            chunk, self.open = self.open, []
-            self._close(chunk)
-        if final:
-            self.miner.finish()
-        return self.miner.log.verdicts[before:]
+def _take(stream: StreamMiner, rows: list) -> list[dict]:
+    """Gives (ts, point_id, vec, weight) rows in their order; returns new verdicts."""
+    before = len(stream.miner.log.verdicts)
+    if rows:
+        rows = sorted(rows)
+        stream.add(np.array([r[1] for r in rows], np.int64), np.array([r[2] for r in rows], float).reshape(len(rows), stream.d), np.array([r[3] for r in rows], float))
+    return stream.miner.log.verdicts[before:]
+
+
+def _chunked(settings: Settings) -> Settings:
+    if settings.mode != "chunked":
+        raise ValueError("a stream is mined in chunks: the state between batches holds no open phase")
+    return settings
 
 
 def _frame(key: str, verdicts: list[dict]) -> pd.DataFrame:
@@ -77,7 +51,7 @@ def _frame(key: str, verdicts: list[dict]) -> pd.DataFrame:
 
 class _Processor(StatefulProcessor):
     def __init__(self, settings: Settings, d: int, idle_ms: int | None):
-        self.settings, self.d, self.idle_ms = settings, d, idle_ms
+        self.settings, self.d, self.idle_ms = _chunked(settings), d, idle_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.handle = handle
@@ -90,7 +64,7 @@ class _Processor(StatefulProcessor):
         stream = self._stream()
         batch = pd.concat(list(rows), ignore_index=True)
         taken = [(str(t), int(i), [float(c) for c in v], float(w)) for t, i, v, w in zip(batch["ts"], batch["point_id"], batch["vec"], batch["weight"], strict=True)]
-        out = stream.add(taken)
+        out = _take(stream, taken)
         self.held.update((stream.state(),))
         if self.idle_ms is not None:
             for timer in list(self.handle.listTimers()):
@@ -100,7 +74,9 @@ class _Processor(StatefulProcessor):
 
     def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
         stream = self._stream()
-        out = stream.flush()
+        before = len(stream.miner.log.verdicts)
+        stream.flush()
+        out = stream.miner.log.verdicts[before:]
         self.held.update((stream.state(),))
         yield _frame(key[0], out)
 
@@ -125,11 +101,11 @@ def batch_miner(path: str, settings: Settings, d: int):
         state = None
         if batch > 0:
             state = spark.read.schema("json string").json(f"{path}/state={batch - 1}").head()[0]
-        stream = StreamMiner(settings, d, state)
+        stream = StreamMiner(_chunked(settings), d, state)
         out = []
         rows = df.select("ts", "point_id", "vec", "weight").orderBy("ts", "point_id").toLocalIterator()  # one partition at a time
-        for r in rows:
-            out += stream.add([(str(r.ts), r.point_id, list(r.vec), r.weight)])
+        while some := [(str(r.ts), r.point_id, list(r.vec), r.weight) for r in islice(rows, 10_000)]:
+            out += _take(stream, some)
         frame = _frame("all", out).astype({"median_id": "int64"} if out else {})
         spark.createDataFrame(frame, VERDICTS).write.mode("overwrite").parquet(f"{path}/verdicts/batch={batch}")
         spark.createDataFrame([(stream.state(),)], "json string").write.mode("overwrite").json(f"{path}/state={batch}")
