@@ -133,12 +133,12 @@ for _n, _name in ((1, "lloyd_one_step"), (3, "lloyd_3")):
 
 @query("mean_miner")
 def mean_miner(spark, sf):
-    return bm.mean_miner(events_points(spark, sf), 3, 500, 2, rule="farthest")
+    return bm.mean_miner(events_points(spark, sf, stream_key="user_id"), 2, 10, 2, rule="farthest", farthest=1)
 
 
 @query("mean_miner_light")
 def mean_miner_light(spark, sf):
-    return bm.mean_miner(events_points(spark, sf), 5, 500, 2, rule="light", min_weight=20.0)
+    return bm.mean_miner(events_points(spark, sf, stream_key="user_id"), 3, 10, 2, rule="light", min_weight=3.0)
 
 
 SMALL = "with s as (select n_nationkey as id, (n_nationkey * n_nationkey * 7 + n_nationkey * 3) % 101 as c from nation), g as (select a.id as p, b.id as m, abs(a.c - b.c) as g from s a, s b)"

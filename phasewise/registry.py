@@ -20,9 +20,9 @@ def oracle_sql() -> dict:
 
 
 def flagship(spark, sf_dir: str):
-    """Phase log of the chunked miner on ``events``."""
+    """Phase log of the chunked miner on ``events``, one long stream."""
     from .operators.engine import Settings
-    from .operators.miner import mine_outliers
+    from .operators.miner import mine_single_stream
     from .sources.tables import events_points
 
-    return mine_outliers(events_points(spark, sf_dir), Settings(k=3, outlier_phases=2, num=100)).phase_log
+    return mine_single_stream(events_points(spark, sf_dir), Settings(k=3, outlier_phases=2, num=100)).phase_log

@@ -8,6 +8,7 @@ at the end (``flush``).
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from itertools import islice
 
@@ -130,6 +131,13 @@ def score_stream(points: DataFrame, medians: DataFrame, d: int, far: float) -> D
     return out.select("stream_key", "ts", "point_id", "b.median_id", "b.dist", (F.col("b.dist") > far).alias("is_far"))
 
 
+def late_rows(query) -> int:
+    """Rows that came below the watermark and were dropped, over the progress that the query still holds.
+    Spark holds rows against the watermark of the batch before; rows that were pre-aggregated count once."""
+    progress = [p if isinstance(p, dict) else json.loads(p.json) for p in query.recentProgress]
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in progress for op in p.get("stateOperators", []))
+
+
 def windowed_counts(events: DataFrame, width: str, watermark: str) -> DataFrame:
     """Counts by event-time window, closed by the watermark."""
     return event_time(events).withWatermark("ts", watermark).groupBy(F.window("ts", width)).agg(F.count("*").alias("points"), F.avg("value").alias("mean"))
@@ -142,4 +150,4 @@ def with_verdicts(points: DataFrame, verdicts: DataFrame, within: str) -> DataFr
     return points.join(v, (F.col("stream_key") == F.col("v_key")) & (F.col("point_id") == F.col("median_id")) & bound)
 
 
-__all__ = ["StreamMiner", "assign", "batch_miner", "event_time", "live_points", "mine_outliers_stream", "score_stream", "windowed_counts", "with_verdicts"]
+__all__ = ["StreamMiner", "assign", "batch_miner", "event_time", "late_rows", "live_points", "mine_outliers_stream", "score_stream", "windowed_counts", "with_verdicts"]

@@ -1,6 +1,9 @@
 """Operators on DataFrames: points, baselines, streams, SQL surface."""
 
+import os
+
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -174,6 +177,19 @@ def test_scores_and_windows_on_a_stream(spark, sf, tmp_path):
     assert spark.table("counts").count() == 29  # the last window stays open
 
 
+def test_late_rows_are_counted(spark, tmp_path):
+    source = tmp_path / "in"
+    source.mkdir()
+    schema, frame = "event_id long, user_id long, ts timestamp_ntz, value double", lambda rows: pd.DataFrame(rows, columns=["event_id", "user_id", "ts", "value"]).astype({"ts": "datetime64[us]"})
+    for i, day in enumerate(("2024-01-01", "2024-01-09", "2024-01-10", "2024-01-02")):  # the last file is late
+        frame([(i * 10 + j, 1, f"{day} 00:00:0{j}", 1.0) for j in range(3)]).to_parquet(source / f"{i}.parquet")
+        os.utime(source / f"{i}.parquet", (1000 + i, 1000 + i))
+    points = live.live_points(src.read_stream(spark, str(source), schema))
+    q = points.writeStream.format("memory").queryName("late").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination(240)
+    assert live.late_rows(q) == 3
+
+
 def test_sources_and_sinks(spark, tmp_path):
     df = spark.createDataFrame([(1, "a"), (2, "b")], "phase int, v string")
     src.write_phases(df, str(tmp_path / "p"))
