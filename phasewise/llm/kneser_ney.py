@@ -22,6 +22,7 @@ probability is that of an empty model (q = 1); extra columns are ignored.
 
 from __future__ import annotations
 
+import math
 import os
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -37,6 +38,8 @@ from .words import U, WordHashes, mix, texts
 
 #: Tokens that are read at a time, and bigrams that a counting task holds.
 PORTION, HELD = 1_000_000, 3_000_000
+#: Bytes of input for a part of the model, and an estimate that says nothing (a plan without files).
+PART_BYTES, UNKNOWN = 16 << 20, 1 << 50
 BEGIN, END = U(0x1B873593CC9E2D51), U(0x85EBCA6B27D4EB2F)
 WORD_COLUMNS = (("count", np.int64), ("left", np.int64))
 LEFT_COLUMNS = (("total", np.int64), ("n1", np.int64), ("n2", np.int64), ("n3", np.int64))
@@ -300,10 +303,18 @@ class KneserNey:
         return np.log10(p), count
 
 
+def parts_for(docs: DataFrame) -> int:
+    """Parts that grow with the texts: one for every PART_BYTES that the plan reads, by its own estimate (the
+    files' sizes), and no fewer than the shuffle has."""
+    size = docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue()
+    least = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return max(least, math.ceil(size / PART_BYTES)) if 0 < size < UNKNOWN else least
+
+
 def train(docs: DataFrame, parts: int | None = None) -> KneserNey:
     """The model of all texts of ``docs``."""
     spark = docs.sparkSession
-    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = parts or parts_for(docs)
     uri = new_path(spark, "kneser-ney")
     schema = "part int, blob binary"
     blocks = docs.select("text").mapInArrow(_count(parts), schema)
