@@ -16,7 +16,7 @@ import numpy as np
 
 from ..functions.draws import draws
 from ..plans.schedule import grow, plan_phase
-from .kernel import FacilityScan, StopLimits, facility_pass
+from .kernel import FacilityScan, Meeting, Pool, StopLimits, blocks, facility_pass
 
 
 @dataclass(frozen=True)
@@ -175,15 +175,21 @@ class Miner:
         self.limits = StopLimits(self.plan.cost_cap if s.cost_cap is None else s.cost_cap, self.plan.median_cap if s.median_cap is None else s.median_cap, s.cost_basis)
         if self.floor is None:
             self.limits = replace(self.limits, cost_cap=float("inf"))
-        self.passes = [FacilityScan(self.d, self.plan.price, rule=s.opening_rule, distance=s.distance, limits=self.limits, carried=len(self.ids), run=run) for run in range(self.plan.runs)]
+        self.pool = Pool(self.d, s.distance)
+        self.passes = [FacilityScan(self.d, self.plan.price, rule=s.opening_rule, distance=s.distance, limits=self.limits, carried=len(self.ids), run=run, pool=self.pool) for run in range(self.plan.runs)]
         self.fed = 0
         self._scan(self.ids, self.x, self.w)
 
     def _scan(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> None:
         s = self.s
-        for p in self.passes:
-            if p.stop_reason == "end":
-                p.feed(ids, x, w, draws(s.draws, s.seed, p.run, self.phase, ids, s.constant))
+        reading = [(p, draws(s.draws, s.seed, p.run, self.phase, ids, s.constant)) for p in self.passes if p.stop_reason == "end"]
+        for part in blocks(len(ids)):
+            if not reading:
+                break
+            meeting = Meeting(x[part], self.pool)
+            for p, u in reading:
+                p.block(ids[part], meeting, w[part], u[part])
+            reading = [(p, u) for p, u in reading if p.stop_reason == "end"]
 
     def feed(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray) -> bool:
         """Reads points into the open phase; False once all its runs have stopped."""

@@ -12,10 +12,11 @@ number of points needs no more memory than its medians; ``facility_pass`` takes
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 
-from ..functions.distance import block_distances, distances
+from ..functions.distance import block_distances
 
 #: Points whose distances are taken at a time.
 BLOCK = 64
@@ -38,17 +39,50 @@ def _opens(theta: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, rule:
     return u < np.minimum(load, 1.0)
 
 
+class Pool:
+    """The medians that any run of a phase has opened: runs read the same points, so their distances to a block
+    are taken once for all of them."""
+
+    def __init__(self, d: int, distance: str):
+        self.distance, self._at, self.place = distance, np.empty((64, d)), {}
+
+    def add(self, row: int, x: np.ndarray) -> int:
+        i = self.place.get(row)
+        if i is None:
+            i = self.place[row] = len(self.place)
+            if i == len(self._at):
+                self._at = np.concatenate([self._at, np.empty_like(self._at)])
+            self._at[i] = x
+        return i
+
+    def coordinates(self, places: np.ndarray) -> np.ndarray:
+        return self._at[places]
+
+
+class Meeting:
+    """A block of points, and its distances to the medians of the pool that were open before it."""
+
+    def __init__(self, x: np.ndarray, pool: Pool):
+        self.x, self.distance = x, pool.distance
+        self.gaps = block_distances(pool.distance, x, pool._at[: len(pool.place)])
+
+    @cached_property
+    def inner(self) -> np.ndarray:
+        return block_distances(self.distance, self.x, self.x)
+
+
 class FacilityScan:
     """What one run has done so far.  ``rows``, ``ids`` and ``at`` are the open medians: their places in the
     input, ids and coordinates; ``stop_reason`` is "end" while no limit has been met."""
 
-    def __init__(self, d: int, price: float, *, rule: str = "priced", distance: str = "euclidean", limits: StopLimits = StopLimits(), carried: int = 0, run: int = 0, keep: bool = False):
+    def __init__(self, d: int, price: float, *, rule: str = "priced", distance: str = "euclidean", limits: StopLimits = StopLimits(), carried: int = 0, run: int = 0, keep: bool = False, pool: Pool | None = None):
         """``carried`` leading points are medians of earlier phases (for ``gained_raw``); ``keep`` holds every
-        point's median and distance."""
+        point's median and distance; ``pool`` is shared by the runs of a phase."""
         if rule not in RULES:
             raise ValueError(f"unknown opening rule {rule!r}")
         self.price, self.rule, self.distance, self.limits, self.carried, self.run = price, rule, distance, limits, carried, run
-        self._at, self._weight = np.empty((64, d)), np.zeros(64)
+        self.pool = pool or Pool(d, distance)
+        self._places, self._weight = np.zeros(64, np.int64), np.zeros(64)
         self._gained, self._raw = np.zeros(64, bool), np.zeros(64, bool)
         self._rows: list[int] = []
         self.ids: list[int] = []
@@ -56,7 +90,7 @@ class FacilityScan:
         self.kept: list[tuple[np.ndarray, np.ndarray]] | None = [] if keep else None
 
     rows = property(lambda self: np.array(self._rows, np.int64))
-    at = property(lambda self: self._at[: len(self._rows)])
+    at = property(lambda self: self.pool.coordinates(self._places[: len(self._rows)]))
     weight = property(lambda self: self._weight[: len(self._rows)])
     gained = property(lambda self: self._gained[: len(self._rows)])
     gained_raw = property(lambda self: self._raw[: len(self._rows)])
@@ -67,27 +101,27 @@ class FacilityScan:
 
     def _open(self, row: int, ident: int, x: np.ndarray, w: float) -> int:
         m = len(self._rows)
-        if m == len(self._at):
-            self._at = np.concatenate([self._at, np.empty_like(self._at)])
-            self._weight, self._gained, self._raw = (np.concatenate([v, np.zeros_like(v)]) for v in (self._weight, self._gained, self._raw))
-        self._at[m], self._weight[m] = x, w
+        if m == len(self._weight):
+            self._places, self._weight, self._gained, self._raw = (np.concatenate([v, np.zeros_like(v)]) for v in (self._places, self._weight, self._gained, self._raw))
+        self._places[m], self._weight[m] = self.pool.add(row, x), w
         self._rows.append(row), self.ids.append(ident)
         return m
 
     def feed(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, u: np.ndarray) -> None:
-        for start in range(0, len(x), BLOCK):
+        for part in blocks(len(x)):
             if self.stop_reason != "end":
                 return
-            part = slice(start, start + BLOCK)
-            self._block(ids[part], x[part], w[part], u[part])
+            self.block(ids[part], Meeting(x[part], self.pool), w[part], u[part])
 
-    def _block(self, ids: np.ndarray, x: np.ndarray, w: np.ndarray, u: np.ndarray) -> None:
+    def block(self, ids: np.ndarray, meeting: Meeting, w: np.ndarray, u: np.ndarray) -> None:
+        """Reads the next block; all runs that share a pool read a block before any reads the next."""
+        x = meeting.x
         limits, price, size, start = self.limits, self.price, len(x), self.read
         counted = limits.cost_basis == "total"
         # distances to the medians opened before this block, then only corrections by new ones
         theta, near = np.full(size, np.inf), np.zeros(size, np.int64)
         if self._rows:
-            gaps = block_distances(self.distance, x, self.at)
+            gaps = meeting.gaps[:, self._places[: len(self._rows)]]
             near = gaps.argmin(1)
             theta = gaps[np.arange(size), near]
         opens = _opens(theta, w, u, price, self.rule)
@@ -121,7 +155,7 @@ class FacilityScan:
                     break
                 to[stop] = self._open(start + stop, int(ids[stop]), x[stop], w[stop])
                 if stop + 1 < size:
-                    gap = distances(self.distance, x[stop + 1 :], x[stop])
+                    gap = meeting.inner[stop + 1 :, stop]
                     closer = (gap < theta[stop + 1 :]).nonzero()[0]  # ties stay with the earlier median
                     if len(closer):
                         gap, closer = gap[closer], closer + (stop + 1)
@@ -137,6 +171,10 @@ class FacilityScan:
             self.kept.append((to[:taken], gone))
 
 
+def blocks(n: int) -> list[slice]:
+    return [slice(start, start + BLOCK) for start in range(0, n, BLOCK)]
+
+
 def facility_pass(x: np.ndarray, w: np.ndarray, u: np.ndarray, price: float, *, ids: np.ndarray | None = None, **how) -> FacilityScan:
     """One pass over all points; ``how`` goes to ``FacilityScan``."""
     scan = FacilityScan(x.shape[1], price, keep=True, **how)
