@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.distance import distance_expr, vector
+from ..functions.distance import block_distances, distance_expr, vector
 from ..functions.draws import draws
 from ..plans.schedule import plan_phase
 from ..sources.shared import new_path, stored, written
@@ -211,7 +211,28 @@ def mine_shards(points: DataFrame, d: int, settings: Settings = Settings(), *, s
     return {"medians": medians, "stalls": stalls, "verdicts": settle(stalls, settings.outlier_phases)}
 
 
-MOST_MEDIANS = 200_000
+MOST_MEDIANS, MOST_ELEMENTS = 200_000, 128
+
+
+def _assign_blocks(points: DataFrame, medians: DataFrame, distance: str, keep: tuple[str, ...]) -> DataFrame:
+    rows = medians.select("median_id", "vec").orderBy("median_id").collect()  # MOST_MEDIANS at most
+    held = points.sparkSession.sparkContext.broadcast((np.array([r.median_id for r in rows], np.int64), np.array([list(r.vec) for r in rows], float)))
+    columns = ["stream_key", "point_id", "weight", *keep]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, at = held.value
+        for batch in batches:
+            for start in range(0, batch.num_rows, 1024):
+                part = batch.slice(start, 1024)
+                x = np.array(part.column(0).to_pylist(), float).reshape(part.num_rows, -1)
+                gap = block_distances(distance, x, at)
+                near = gap.argmin(1)  # ids are in order: ties go to the smaller one
+                found = [pa.array(ids[near]), pa.array(gap[np.arange(len(near)), near])]
+                yield pa.RecordBatch.from_arrays([*part.columns[1:4], *found, *part.columns[4:]], ["stream_key", "point_id", "weight", "median_id", "dist", *keep])
+
+    kinds = {f.name: f.dataType.simpleString() for f in points.schema.fields}
+    schema = ", ".join(f"`{c}` {kinds[c]}" for c in columns[:3]) + ", median_id bigint, dist double" + "".join(f", `{c}` {kinds[c]}" for c in keep)
+    return points.select("vec", *columns).mapInArrow(run, schema)
 
 
 def assign(points: DataFrame, medians: DataFrame, d: int, distance: str = "euclidean", keep: tuple[str, ...] = ()) -> DataFrame:
@@ -221,13 +242,16 @@ def assign(points: DataFrame, medians: DataFrame, d: int, distance: str = "eucli
 
     A stream's medians are one array beside its points, and the nearest is its least element: points are
     neither multiplied nor moved while the medians can be broadcast (a check of their number).  Beyond
-    that, keyed medians meet their points by an exchange."""
+    that, keyed medians meet their points by an exchange.  More than MOST_ELEMENTS medians for all points
+    meet them in matrices of blocks, with the same distances."""
     few = medians.count() <= MOST_MEDIANS
     one = F.sort_array(F.collect_list(F.struct("median_id", "vec"))).alias("_ms")
     if "stream_key" in medians.columns:
         held = medians.groupBy("stream_key").agg(one)
         both = points.join(F.broadcast(held) if few else held, "stream_key")
     elif few:
+        if medians.count() > MOST_ELEMENTS:
+            return _assign_blocks(points, medians, distance, keep)
         both = points.join(F.broadcast(medians.agg(one)), F.lit(True))
     else:
         raise ValueError(f"more than {MOST_MEDIANS} medians: condense them first (sharded_medians)")

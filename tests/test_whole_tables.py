@@ -45,6 +45,15 @@ def test_a_point_goes_to_a_median_of_its_own_stream(spark):
     assert got == [("a", 7), ("b", 8), ("b", 8)]  # rows that repeat stay
 
 
+def test_blocks_of_medians_find_the_same(spark, sf, monkeypatch):
+    p = src.events_points(spark, sf)
+    m = p.where("ordinal % 7 = 1").select(F.col("point_id").alias("median_id"), "vec")
+    rows = lambda: sorted(map(tuple, mn.assign(p, m, 1, keep=("ordinal",)).collect()))
+    blocks = rows()
+    monkeypatch.setattr(mn, "MOST_ELEMENTS", 10_000)
+    assert m.count() > 128 and blocks == rows()
+
+
 def test_a_stream_goes_on_where_it_was_written(spark, sf, tmp_path):
     """Stretches hand their state on; a call after a loss reads what is there and does the rest."""
     import shutil
