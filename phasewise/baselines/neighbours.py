@@ -140,8 +140,8 @@ def kth_distances_of(some: DataFrame, points: DataFrame, k: int, d: int, distanc
                 others = np.array(part.column(1).to_pylist(), float).reshape(-1, d)
                 gap = block_distances(distance, x, others)
                 gap[np.equal.outer(ids, part.column(0).to_numpy())] = np.inf
-                best = np.sort(np.concatenate([best, gap], 1), 1)[:, :k]
-        near = [[g for g in row if g < np.inf] for row in best.tolist()]
+                best = np.partition(np.concatenate([best, gap], 1), k - 1, axis=1)[:, :k]
+        near = [sorted(g for g in row if g < np.inf) for row in best.tolist()]
         yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(near, pa.list_(pa.float64()))], ["point_id", "near"])
 
     near = points.select("point_id", "vec").mapInArrow(run, "point_id long, near array<double>")
@@ -159,11 +159,12 @@ def knn_rank_cells(points: DataFrame, k: int = 3, top_n: int = 7, *, d: int, mos
     out: list = []
     side = max((span[f"hi{i}"] - span[f"lo{i}"] for i in range(d)), default=0.0) if span["n"] else 0.0
     while side > 0:
-        cells = points.groupBy(*(c.alias(f"c{i}") for i, c in enumerate(cell_of("vec", side, d)))).agg(F.count("*").alias("c"), F.slice(F.collect_list(F.struct("point_id", "vec")), 1, k).alias("members")).where(F.col("c") <= k)
-        some = cells.select(F.explode("members").alias("m")).select("m.*")
-        n = some.count()
+        cell = F.array(*cell_of("vec", side, d))
+        cells = points.groupBy(cell.alias("cell")).agg(F.count("*").alias("c")).where(F.col("c") <= k)
+        n = cells.agg(F.coalesce(F.sum("c"), F.lit(0))).head()[0]
         if n > most_rows:
             raise ValueError(f"{n} points in sparse cells: more than {most_rows} (raise most_rows to go on)")
+        some = points.withColumn("cell", cell).join(F.broadcast(cells), "cell")  # most_rows cells at most
         out = kth_distances_of(some, points, k, d)[:top_n] if n >= min(top_n, span["n"]) else []
         if n >= span["n"] or len(out) == top_n and out[-1][0] > side * d**0.5:
             break
