@@ -306,7 +306,7 @@ class KneserNey:
 def parts_for(docs: DataFrame) -> int:
     """Parts that grow with the texts: one for every PART_BYTES that the plan reads, by its own estimate (the
     files' sizes), and no fewer than the shuffle has."""
-    size = docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue()
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))  # an int or a Scala BigInt
     least = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return max(least, math.ceil(size / PART_BYTES)) if 0 < size < UNKNOWN else least
 

@@ -182,6 +182,19 @@ def test_kneser_ney(docs):
     assert sum(p("<s>", x) for x in counts) + p("<s>", "\x00none") == pytest.approx(1)
 
 
+def test_kneser_ney_parts_follow_the_input(spark, docs, tmp_path, monkeypatch):
+    path = f"file://{tmp_path}/documents"
+    docs.write.parquet(path)
+    read = spark.read.parquet(path)
+    assert kneser_ney.parts_for(read) == kneser_ney.parts_for(docs) == 4
+    want = sorted(kneser_ney.train_and_score(read, parts=2).select("doc_id", "score").collect())
+    monkeypatch.setattr(kneser_ney, "PART_BYTES", 4096)
+    assert kneser_ney.parts_for(read.where("doc_id is not null")) > 4
+    got = sorted(kneser_ney.train_and_score(read).select("doc_id", "score").collect())
+    assert [r.doc_id for r in got] == [r.doc_id for r in want]
+    assert [r.score for r in got] == pytest.approx([r.score for r in want])
+
+
 def test_mix(docs):
     rows = mixing.mixed_words(docs).collect()
     assert all(0 <= r.taken <= 3 * r.size for r in rows)
