@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from phasewise.baselines import neighbours as bn
 from phasewise.functions.draws import draws
 from phasewise.operators import kernel as kn
 from phasewise.operators import miner as mn
@@ -41,3 +42,34 @@ def test_a_stream_writes_what_is_asked_for(spark):
     key = lambda df: sorted(map(str, df.collect()))
     assert key(some.phase_log) == key(whole.phase_log) and key(some.verdicts) == key(whole.verdicts) and key(some.final()[0]) == key(whole.final()[0])
     assert some.run_log.count() == 0 and 0 < some.medians.count() < whole.medians.count()
+
+
+def brute(values, k):
+    """{id: its k nearest others as (distance, id)}"""
+    return {i: sorted((float(np.sqrt(((a - b) ** 2).sum())), j) for j, b in enumerate(values) if i != j)[:k] for i, a in enumerate(values)}
+
+
+@pytest.mark.parametrize("prune", [False, True])
+def test_neighbours_among_copies_and_in_many_blocks(spark, monkeypatch, prune):
+    monkeypatch.setattr(bn, "BLOCK", 16)
+    rng = np.random.default_rng(5)
+    some = rng.integers(0, 40, (90, 2)).astype(float)
+    values = np.concatenate([some, some[:60], some[:30], some[:10], some[:10], rng.random((60, 2)) * 500])
+    p = spark.createDataFrame([("all", i + 1, i, v.tolist(), 1.0) for i, v in enumerate(values)], "stream_key string, ordinal long, point_id long, vec array<double>, weight double")
+    want = brute(values, 3)
+    got = {r.point_id: [(x["dist"], x["id"]) for x in r.near] for r in bn.nearest_lists(p, 3, 2, prune=prune).collect()}
+    assert got == want
+    whole = sorted(((-near[-1][0], i) for i, near in want.items()))[:7]
+    for rows in (bn.knn_rank(p, 3, 7, d=2), bn.knn_rank_cells(p, 3, 7, d=2, most_rows=5)):
+        assert [(-r.dist, r.point_id) for r in rows.collect()] == whole
+    model = bn.LofModel(np.arange(len(values)), values, 3).scores().set_index("point_id")["lof"]
+    assert all(r.lof == pytest.approx(model[r.point_id]) for r in bn.lof(p, 3, d=2).collect())
+
+
+def test_baselines_take_large_tables(spark):
+    n = 60_000
+    p = spark.range(n).selectExpr("'all' as stream_key", "id + 1 as ordinal", "id as point_id", "array(double(id % 97)) as vec", "1.0D as weight")
+    assert [(r.point_id, r.dist) for r in bn.knn_rank(p, 3, 2, d=1, method="block").collect()] == [(0, 0.0), (1, 0.0)]
+    assert [(r.point_id, r.dist) for r in bn.knn_rank_cells(p, 3, 2, d=1, most_rows=50).collect()] == [(0, 0.0), (1, 0.0)]
+    assert bn.lof(p, 3, d=1).where("lof = 1").count() == n
+    assert bn.db_outliers(p, 1.0, 0.99, d=1).count() == bn.db_outliers(p, 1.0, 0.99, d=1, method="grid").count() == 0
