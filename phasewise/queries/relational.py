@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..sources.shared import stored
 from ..sources.tables import events_points, table
 from .core import EV, FIXED, fixed_medians
 
@@ -79,9 +80,17 @@ def asof_model(spark, sf):
 
 @query("lateral_nearest", f"with {EV}, {FIXED} select x.id as point_id, arg_min(m.median_id, (abs(x.value - m.mv), m.median_id)) as median_id from e x, m group by 1")
 def lateral_nearest(spark, sf):
+    """A point meets the medians in its cell of values and the nearest on either side of it: all others are beyond."""
     events_points(spark, sf).createOrReplaceTempView("lateral_points")
-    fixed_medians(spark, sf).createOrReplaceTempView("lateral_medians")
-    return spark.sql("select p.point_id, n.m.median_id as median_id from lateral_points p cross join (select collect_list(struct(median_id, vec)) as ms from lateral_medians) a, lateral (select array_min(transform(a.ms, x -> struct(abs(p.vec[0] - x.vec[0]) as gap, x.median_id as median_id))) as m) n")
+    stored(fixed_medians(spark, sf).selectExpr("vec[0] as x", "median_id").groupBy("x").agg(F.min("median_id").alias("median_id")), "medians").createOrReplaceTempView("lateral_medians")
+    cells = spark.sql("select floor(vec[0] / 0.25) as cell from lateral_points group by 1")
+    stored(cells, "cells").createOrReplaceTempView("lateral_cells")
+    # of each cell, the places of medians from the last below it to the first above it
+    ends = spark.sql("select c.cell, coalesce(max(case when m.x < c.cell * 0.25D then m.x end), min(m.x)) as lo, coalesce(min(case when m.x > (c.cell + 1) * 0.25D then m.x end), max(m.x)) as hi from lateral_cells c cross join lateral_medians m group by c.cell")
+    stored(ends, "ends").createOrReplaceTempView("lateral_ends")
+    near = spark.sql("select e.cell, collect_list(struct(m.median_id, m.x)) as ms from lateral_ends e join lateral_medians m on m.x between e.lo and e.hi group by e.cell")
+    stored(near, "near").createOrReplaceTempView("lateral_near")
+    return spark.sql("select p.point_id, n.m.median_id as median_id from lateral_points p join lateral_near a on a.cell = floor(p.vec[0] / 0.25), lateral (select array_min(transform(a.ms, x -> struct(abs(p.vec[0] - x.x) as gap, x.median_id as median_id))) as m) n")
 
 
 @query("agg_phase", f"with {EV} select (ordinal - 1) // 1000 as phase, count(*) as points, sum(cents)::bigint as cents, count(distinct user_id) as users from e group by 1")

@@ -73,3 +73,12 @@ def test_baselines_take_large_tables(spark):
     assert [(r.point_id, r.dist) for r in bn.knn_rank_cells(p, 3, 2, d=1, most_rows=50).collect()] == [(0, 0.0), (1, 0.0)]
     assert bn.lof(p, 3, d=1).where("lof = 1").count() == n
     assert bn.db_outliers(p, 1.0, 0.99, d=1).count() == bn.db_outliers(p, 1.0, 0.99, d=1, method="grid").count() == 0
+
+
+def test_the_lateral_join_meets_few_medians(spark):
+    from phasewise.queries import core, relational
+
+    sf = "/root/testdata/sf0.01"
+    got = sorted(map(tuple, relational.lateral_nearest(spark, sf).collect()))
+    assert got == sorted(map(tuple, mn.assign(core.events_points(spark, sf), core.fixed_medians(spark, sf), 1).select("point_id", "median_id").collect()))
+    assert spark.sql("select max(size(ms)) from lateral_near").head()[0] < core.fixed_medians(spark, sf).count()
