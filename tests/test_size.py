@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from phasewise.baselines import neighbours as bn
 from phasewise.functions.draws import draws
@@ -82,3 +83,48 @@ def test_the_lateral_join_meets_few_medians(spark):
     got = sorted(map(tuple, relational.lateral_nearest(spark, sf).collect()))
     assert got == sorted(map(tuple, mn.assign(core.events_points(spark, sf), core.fixed_medians(spark, sf), 1).select("point_id", "median_id").collect()))
     assert spark.sql("select max(size(ms)) from lateral_near").head()[0] < core.fixed_medians(spark, sf).count()
+
+
+CELLS = [
+    Settings(runs=1, k=k, outlier_phases=o, num=num, gamma=gamma, beta=beta, floor_growth=growth, **more)
+    for num, o, growth in ((4, 3, "on_breach"), (9, 1, "every_phase"), (9, 2, "on_breach"), (4, 2, "every_phase")) for k, gamma, beta in ((1, 18.0, 3.0), (4, 18.0, 3.0), (4, 34.0, 3.0), (2, 34.0, 34.0))
+    for more in ({}, {"median_cap": 7, "max_stalled_phases": 99}, {"include_first_phase": False, "warmup_phases": 2}, {"floor": 9.0}, {"cost_cap": 60.0}, {"candidate_rule": "stalled_light"})
+]
+
+
+@pytest.mark.parametrize("kind", ["few", "fine", "equal", "late", "heavy", "again", "plane"])
+def test_cells_that_share_their_work_are_miners(kind):
+    from phasewise.operators.engine import Miner, NoProgress
+    from phasewise.operators.sweeping import sweep_stream
+
+    rng = np.random.default_rng(8)
+    x, w, ids = rng.integers(0, 12, (90, 1)) / 2, np.ones(90), rng.permutation(900)[:90]
+    if kind in ("fine", "heavy"):
+        x = np.concatenate([rng.random((45, 1)) * 9, rng.random((45, 1)) * 300])
+    elif kind in ("equal", "late"):
+        x[: 90 if kind == "equal" else 40] = 5.0
+    elif kind == "plane":
+        x = np.concatenate([x, x[::-1]], axis=1)
+    w = rng.integers(1, 9, 90) / 2.0 if kind == "heavy" else w
+    ids = ids // 9 if kind == "again" else ids  # ids that repeat
+    want = {}
+    for s in CELLS:
+        try:
+            log = Miner(s, x.shape[1]).run(ids, x, w)
+        except NoProgress:
+            with pytest.raises(NoProgress):
+                sweep_stream([s], ids, x, w)
+        else:
+            want[s] = (len(log.phases), sum(v["verdict"] == "outlier" for v in log.verdicts), sum(float(p["total_cost"]) for p in log.phases), log.phases[-1]["medians_out"])
+    assert len(want) > 0.8 * len(CELLS) and dict(zip(want, sweep_stream(list(want), ids, x, w), strict=True)) == want
+
+
+def test_a_sweep_moves_points_once(spark, sf):
+    """Before, every point went to every cell, and each cell was a run of its own."""
+    from phasewise.plans import workloads as wl
+    from phasewise.sources.tables import events_points
+
+    p = events_points(spark, sf, stream_key="user_id").unionByName(line_points(spark, [3, 3, 9, 4, 4, 80]).withColumn("stream_key", F.lit(None).cast("string")))
+    out = wl.sweep(p, Settings(runs=1, floor_growth="on_breach"), {"k": [1, 5], "outlier_phases": [1, 3], "num": [5, 20]})
+    assert "Generate" not in out._jdf.queryExecution().executedPlan().toString()
+    assert {r.streams for r in out.collect()} == {p.select("stream_key").distinct().count()}
