@@ -86,7 +86,7 @@ class LineSweep:
     """All groups of one stream on one coordinate."""
 
     def __init__(self, ids: list[int], x: list[float], w: list[float]):
-        self.ids, self.x, self.w = ids, x, w
+        self.ids, self.x, self.w, self.least = ids, x, w, min(w)  # a median weighs no less than a point
         self.known: dict[tuple, float] = {}  # draws
         self.firsts: dict[tuple, float | None] = {}
 
@@ -135,52 +135,59 @@ class LineSweep:
         self.set_floors(g, xs, s)
         prices = [c.price for c in g.cells]
         high, low = max(prices), min(prices)
-        places = sorted(g.x)
-        sure = min(map(sub, places[1:], places), default=math.inf) * min(g.w, default=1.0)
-        if sure and sure >= high:  # every carried median opens again, whatever its draw
-            at, weight, age, opened = g.x.copy(), g.w.copy(), g.age.copy(), g.ids.copy()
+        zeros, gained, service = [0] * fresh, [], 0.0
+        if self._far(sorted(g.x + xs), high):  # every point opens, whatever its draw
+            opened, at, weight, age = g.ids + ids, g.x + xs, g.w + ws, g.age + zeros
         else:
-            ids, xs, ws = g.ids + ids, g.x + xs, g.w + ws
-            places, at, weight, age, opened = [], [], [], [], []
-        old = g.age[len(at) :] + [0] * fresh
-        m, service = len(at), 0.0
-        which, gained = dict(zip(at, range(m), strict=True)), [False] * m
-        for ident, x, w, a in zip(ids, xs, ws, old, strict=True):
-            near = which.get(x)
-            if near is not None:
+            places, held = sorted(g.x), len(g.x)
+            if not self._far(places, high):  # carried medians may join one another
+                places, held = [], 0
+            ids, xs, ws, age = g.ids[held:] + ids, g.x[held:] + xs, g.w[held:] + ws, g.age[held:] + zeros
+            which, rows, m = dict(zip(g.x[:held], range(held), strict=True)), [], held
+            for row, x in enumerate(xs):
+                near = which.get(x)
+                if near is not None:
+                    gained.append((near, ws[row]))
+                    continue
+                i = bisect_left(places, x)
+                if m:
+                    t = places[i] - x if i < m else math.inf
+                    if i and x - places[i - 1] < t:
+                        t = x - places[i - 1]
+                    load = t * ws[row]
+                    if not load or load < high:
+                        u = self.draw(s.seed, phase, ids[row])
+                        if not self.opens(u, load, high):
+                            if self.opens(u, load, low):
+                                return self.parted(g, u, load)
+                            near, j = m, i
+                            while j < m and places[j] - x == t:
+                                near, j = min(near, which[places[j]]), j + 1
+                            j = i - 1
+                            while j >= 0 and x - places[j] == t:
+                                near, j = min(near, which[places[j]]), j - 1
+                            service += load
+                            gained.append((near, ws[row]))
+                            continue
+                places.insert(i, x)
+                which[x] = m
+                rows.append(row)
+                m += 1
+            opened, at = g.ids[:held] + [ids[r] for r in rows], g.x[:held] + [xs[r] for r in rows]
+            weight, age = g.w[:held] + [ws[r] for r in rows], g.age[:held] + [age[r] for r in rows]
+            for near, w in gained:
                 weight[near] += w
-                gained[near] = True
-                continue
-            i = bisect_left(places, x)
-            if m:
-                t = places[i] - x if i < m else math.inf
-                if i and x - places[i - 1] < t:
-                    t = x - places[i - 1]
-                load = t * w
-                if not load or load < high:
-                    u = self.draw(s.seed, phase, ident)
-                    if not self.opens(u, load, high):
-                        if self.opens(u, load, low):
-                            return self.parted(g, u, load)
-                        near, j = m, i
-                        while j < m and places[j] - x == t:
-                            near, j = min(near, which[places[j]]), j + 1
-                        j = i - 1
-                        while j >= 0 and x - places[j] == t:
-                            near, j = min(near, which[places[j]]), j - 1
-                        service += load
-                        weight[near] += w
-                        gained[near] = True
-                        continue
-            places.insert(i, x)
-            which[x] = m
-            at.append(x), weight.append(w), gained.append(False), age.append(a), opened.append(ident)
-            m += 1
+        m = len(at)
         g.cells = [c for c in g.cells if c.close(service + c.price * m, m)]
         g.phase, g.read = phase, g.read + fresh
-        self.settle(g, s, opened, at, weight, gained, age)
+        self.settle(g, s, opened, at, weight, {near for near, _ in gained}, age)
         return None
 
+    def _far(self, places: list[float], price: float) -> bool:
+        """True where these places in order are so far apart that each opens at this price."""
+        load = min(map(sub, places[1:], places), default=math.inf) * self.least
+        return load > 0 and load >= price
+
     @staticmethod
     def opens(u: float, load: float, price: float) -> bool:
         load = load / price if price > 0 else float(load > 0)
@@ -193,24 +200,19 @@ class LineSweep:
         return [Group(cells, g.read, g.phase, g.outliers, g.ids, g.x, g.w, g.age) for cells in apart]
 
     @staticmethod
-    def settle(g: Group, s: Settings, opened: list[int], at: list[float], weight: list[float], gained: list[bool], age: list[int]) -> None:
+    def settle(g: Group, s: Settings, opened: list[int], at: list[float], weight: list[float], gained: set[int], age: list[int]) -> None:
         """Ages the candidates, watches what has not grown, and hands over what is not retired."""
-        most, first, watching, stay, ages = s.outlier_phases, 2 if s.include_first_phase else 1, g.phase > s.warmup_phases, [], []
-        for j, a in enumerate(age):
-            if a:
-                a = a + 1 if a > 0 and not gained[j] else -abs(a) - 1
-                if a > most:
-                    continue
-                if a < -most:
-                    a = 0
-            elif watching and not gained[j]:
-                a = first
-                if a > most:
-                    continue
-            stay.append(j), ages.append(a)
-        if len(stay) < len(age):
-            g.outliers += len(age) - len(stay)
-            opened, at, weight = [opened[j] for j in stay], [at[j] for j in stay], [weight[j] for j in stay]
+        most = s.outlier_phases
+        first = 0 if g.phase <= s.warmup_phases else 2 if s.include_first_phase else 1
+        ages = [a + 1 if a > 0 else a - 1 if a else first for a in age]
+        for j in gained:
+            ages[j] = -abs(age[j]) - 1 if age[j] else 0
+        if min(ages) < -most:
+            ages = [a if a >= -most else 0 for a in ages]
+        if max(ages) > most:
+            stay = [j for j, a in enumerate(ages) if a <= most]
+            g.outliers += len(ages) - len(stay)
+            opened, at, weight, ages = ([v[j] for j in stay] for v in (opened, at, weight, ages))
         g.ids, g.x, g.w, g.age = opened, at, weight, ages
 
 

@@ -128,3 +128,10 @@ def test_a_sweep_moves_points_once(spark, sf):
     out = wl.sweep(p, Settings(runs=1, floor_growth="on_breach"), {"k": [1, 5], "outlier_phases": [1, 3], "num": [5, 20]})
     assert "Generate" not in out._jdf.queryExecution().executedPlan().toString()
     assert {r.streams for r in out.collect()} == {p.select("stream_key").distinct().count()}
+
+
+def test_points_that_are_not_ranked_keep_their_order(spark, sf):
+    from phasewise.sources.tables import events_points
+
+    ranked, plain = ([(r.stream_key, r.point_id, r.vec) for r in events_points(spark, sf, stream_key="user_id", ranked=ranked).orderBy("stream_key", "ordinal").collect()] for ranked in (True, False))
+    assert ranked == plain
