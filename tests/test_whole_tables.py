@@ -149,3 +149,14 @@ def test_shards_with_verdicts(spark, sf):
     n = p.count()
     assert out["medians"].agg(F.sum("weight")).head()[0] == n
     assert {r.verdict for r in out["verdicts"].collect()} <= {"outlier", "inlier", "pending"} and out["verdicts"].count()
+
+
+def test_constants_come_from_the_table(spark, tmp_path):
+    """Before, the grid was made up and no table was read."""
+    spark.createDataFrame([(i, v) for i, v in enumerate([None, float("nan"), -3.0, 0.5, 18.9, 18.2, 62.0, 96.0, 180.99, 181.0])], "event_id long, value double").write.parquet(f"{tmp_path}/events.parquet")
+    (tmp_path / "sql").mkdir()
+    duckdb.sql(f"copy (select * from '{tmp_path}/events.parquet/*.parquet') to '{tmp_path}/sql/events.parquet'")
+    got = sorted((r.gamma, r.beta) for r in registry.queries()["constants_grid"](spark, str(tmp_path)).collect())
+    want = duckdb.connect()
+    want.execute(f"create view events as select * from '{tmp_path}/sql/events.parquet'")
+    assert got == sorted(want.execute(registry.oracle_sql()["constants_grid"]).fetchall()) == [(g, b) for g in (18, 62, 96, 180) for b in (18, 62, 96, 180) if g + 4 * (1 + 4 * (b + g)) <= g * b and b >= 3 * g + 2] and got
