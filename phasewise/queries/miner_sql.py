@@ -4,11 +4,12 @@ phase's input.  Written from the method's rules, apart from the engine, to check
 from __future__ import annotations
 
 
-def miner_sql(points: str, *, k: int, num: int | None, runs: int, outlier_phases: int = 2, gamma: float = 34, beta: float = 34, growth: str = "every_phase", seed: int = 1, caps: tuple[float | None, float | None] = (None, None)) -> str:
+def miner_sql(points: str, *, k: int, num: int | None, runs: int, outlier_phases: int = 2, gamma: float = 34, beta: float = 34, growth: str = "every_phase", seed: int = 1, caps: tuple[float | None, float | None] = (None, None), floor: float | None = None) -> str:
     """CTEs up to ``result(stream_key, phase, cid, cx, cw, verdicts, log)``, one row a stream.
 
     ``points`` is SQL of (stream_key, ordinal, id, x); ``num`` None takes all the rest as a phase's input;
-    ``caps``: a cost cap and a median cap in place of the phase's own, where given."""
+    ``caps``: a cost cap and a median cap in place of the phase's own, ``floor``: a first floor in place of the
+    points' own, where given."""
     m = 1 + 4 * (gamma + beta)
     price = f"coalesce(floor, 0) / ({k} * (1 + ln(n)))"
     cost_cap = str(caps[0]) if caps[0] else f"coalesce(4 * floor * {m}, 'infinity'::double)"
@@ -34,12 +35,13 @@ def miner_sql(points: str, *, k: int, num: int | None, runs: int, outlier_phases
         when not list_contains(won.id, c.id) then {'id': c.id, 'first': c.first, 'age': c.age, 'score': c.score, 'w': c.w, 'verdict': 'absorbed', 'settled': phase}
         else list_transform([{'age': c.age + 1, 'score': c.score + (not won.g[list_position(won.id, c.id)])::int}], lambda y: {'id': c.id, 'first': c.first, 'age': y.age, 'score': y.score, 'w': won.w[list_position(won.id, c.id)],
                'verdict': case when y.age < %d then null when y.score = %d then 'outlier' else 'inlier' end, 'settled': phase})[1] end)""" % (outlier_phases, outlier_phases)
+    first = "select stream_key, %r::double as floor from s" % floor if floor is not None else f"select a.stream_key, min(abs(a.x - b.x)) / {beta} as floor from few a join few b on a.stream_key = b.stream_key and a.o < b.o group by 1"
     grown = {"every_phase": f"floor * {beta}", "on_breach": f"case when won.reason <> 'end' then floor * {beta} else floor end", "none": "floor"}[growth]
     return f"""with recursive points as ({points}),
 s as (select stream_key, count(*) as n, list({{'id': id::bigint, 'x': x::double, 'w': 1.0::double}} order by ordinal) as pts from points group by 1),
 firsts as (select stream_key, x, min(ordinal) as o from (select *, row_number() over (partition by stream_key order by ordinal) as r from points) where {head} group by 1, 2),
 few as (select * from firsts qualify row_number() over (partition by stream_key order by o) <= {k + 1}),
-floors as (select a.stream_key, min(abs(a.x - b.x)) / {beta} as floor from few a join few b on a.stream_key = b.stream_key and a.o < b.o group by 1),
+floors as ({first}),
 t(stream_key, n, pts, nxt, phase, floor, cid, cx, cw, cands, verdicts, log) using key (stream_key) as (
   select s.stream_key, n, pts, 0::bigint, 0, floor::double, []::bigint[], []::double[], []::double[], []::{candidate}, []::{candidate}, []::{log}
   from s left join floors on s.stream_key = floors.stream_key

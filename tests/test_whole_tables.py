@@ -160,3 +160,10 @@ def test_constants_come_from_the_table(spark, tmp_path):
     want = duckdb.connect()
     want.execute(f"create view events as select * from '{tmp_path}/sql/events.parquet'")
     assert got == sorted(want.execute(registry.oracle_sql()["constants_grid"]).fetchall()) == [(g, b) for g in (18, 62, 96, 180) for b in (18, 62, 96, 180) if g + 4 * (1 + 4 * (b + g)) <= g * b and b >= 3 * g + 2] and got
+
+
+def test_handover_is_every_users(spark, sf):
+    """Before, ten made-up points were handed over and no table was read."""
+    cols, want = by_sql(sf, registry.oracle_sql()["handover_phases"])
+    got = [tuple(r[c] for c in cols) for r in registry.queries()["handover_phases"](spark, sf).collect()]
+    assert sorted(got) == sorted(want) and len({r[0] for r in got}) == src.table(spark, sf, "events").select("user_id").distinct().count()
