@@ -135,3 +135,18 @@ def test_points_that_are_not_ranked_keep_their_order(spark, sf):
 
     ranked, plain = ([(r.stream_key, r.point_id, r.vec) for r in events_points(spark, sf, stream_key="user_id", ranked=ranked).orderBy("stream_key", "ordinal").collect()] for ranked in (True, False))
     assert ranked == plain
+
+
+@pytest.mark.parametrize("d", [1, 3])
+def test_places_within_a_radius_are_counted_in_blocks(spark, monkeypatch, d):
+    """Before, every place was copied into all the cells around it, and the copies could be broadcast."""
+    rng = np.random.default_rng(6)
+    x = np.concatenate([rng.integers(0, 30, (150, d)), rng.integers(0, 8, (100, d)), np.full((9, d), 4)]).astype(float)
+    p = spark.createDataFrame([("all", i + 1, i, v, 1.0) for i, v in enumerate(x.tolist())], "stream_key string, ordinal long, point_id long, vec array<double>, weight double")
+    near = (np.sqrt(((x[:, None] - x[None]) ** 2).sum(2)) <= 5.0).sum(1) - 1
+    for places, leaf in ((4096, 64), (16, 4)):
+        monkeypatch.setattr(bn, "PLACES", places, raising=False), monkeypatch.setattr(bn, "LEAF", leaf, raising=False)
+        out = bn.db_outliers(p, 5.0, 0.8, d=d)
+        plan = out._jdf.queryExecution().executedPlan().toString()
+        assert "Generate" not in plan and "Broadcast" not in plan
+        assert {r.point_id: r.near for r in out.collect()} == {i: c for i, c in enumerate(near) if c <= 0.2 * len(x)}
