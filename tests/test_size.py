@@ -150,3 +150,26 @@ def test_places_within_a_radius_are_counted_in_blocks(spark, monkeypatch, d):
         plan = out._jdf.queryExecution().executedPlan().toString()
         assert "Generate" not in plan and "Broadcast" not in plan
         assert {r.point_id: r.near for r in out.collect()} == {i: c for i, c in enumerate(near) if c <= 0.2 * len(x)}
+
+
+@pytest.mark.parametrize("full", [1, 64])
+def test_cells_are_halved_before_points_are_measured(spark, monkeypatch, full):
+    """Before, every point of a cell that was not dense enough by itself went to the 49 cells around."""
+    monkeypatch.setattr(bn, "FULL", full, raising=False)
+    rng = np.random.default_rng(7)
+    x = np.concatenate([np.round(rng.random((900, 2)) * 9 - 4), rng.normal(0, 2, (300, 2)), [[40.0, -7.0]]])
+    p = spark.createDataFrame([("all", i + 1, i, v, 1.0) for i, v in enumerate(x.tolist())], "stream_key string, ordinal long, point_id long, vec array<double>, weight double")
+    near = (np.sqrt(((x[:, None] - x[None]) ** 2).sum(2)) <= 3.0).sum(1) - 1
+    out = bn.db_outliers(p, 3.0, 0.95, d=2, method="grid")
+    assert "Generate" not in out._jdf.queryExecution().executedPlan().toString()
+    assert {r.point_id: r.near for r in out.collect()} == {i: c for i, c in enumerate(near) if c <= 60}
+
+
+def test_lineitems_are_ranked_by_their_keys_alone(spark, sf):
+    from phasewise.operators.points import to_points
+    from phasewise.sources import tables as st
+
+    df = st.table(spark, sf, "lineitem").select(*st.LINEITEM_KEYS).withColumn("l_shipdate", F.to_date("l_shipdate"))
+    want, got = to_points(df, st.LINEITEM_KEYS, st.LINEITEM_FEATURES), st.lineitem_points(spark, sf)
+    assert got.dtypes == want.dtypes and sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    assert not {"_k0", "l_partkey"} & set(spark.read.parquet(*got.inputFiles()).columns)  # what is written
