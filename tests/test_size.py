@@ -173,3 +173,15 @@ def test_lineitems_are_ranked_by_their_keys_alone(spark, sf):
     want, got = to_points(df, st.LINEITEM_KEYS, st.LINEITEM_FEATURES), st.lineitem_points(spark, sf)
     assert got.dtypes == want.dtypes and sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
     assert not {"_k0", "l_partkey"} & set(spark.read.parquet(*got.inputFiles()).columns)  # what is written
+
+
+@pytest.mark.parametrize("kind", ["mixed", "copies"])
+def test_cells_rank_without_the_blocks_of_all_points(spark, monkeypatch, kind):
+    """Before, many points alone in their cells, or copies everywhere, sent all points to the blocks."""
+    rng = np.random.default_rng(4)
+    x = {"mixed": np.concatenate([np.round(rng.random((500, 2)) * 6), rng.random((300, 2)) * 9]), "copies": np.repeat(rng.random((50, 2)) * 6, 5, 0)}[kind]
+    p = spark.createDataFrame([("all", i + 1, i, v, 1.0) for i, v in enumerate(x.tolist())], "stream_key string, ordinal long, point_id long, vec array<double>, weight double")
+    kth = {i: near[-1][0] for i, near in brute(x, 3).items()}
+    monkeypatch.setattr(bn, "knn_rank", None)
+    got = [(r.point_id, r.dist) for r in bn.knn_rank_cells(p, 3, 7, d=2, most_rows=20).collect()]
+    assert got == sorted(kth.items(), key=lambda r: (-r[1], r[0]))[:7]
